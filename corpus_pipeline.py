@@ -1,12 +1,63 @@
-"""Corpus pipeline; its stages follow."""
+"""Corpus pipeline: toxicity filter, near-duplicate removal, pseudonyms, packing.
 
-STAGES = []
+Each stage takes (spark, docs, sf_dir) and returns a DataFrame; all but the last return the
+columns of documents. ``run`` writes each stage's rows to the shared folder and reads them again.
+SQL cannot express the stages (a trained model, fingerprints, keyed digests, a tokenizer), so there is none; tests
+hold them against brute force.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Callable
+
+import public_tokenizers
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from nodeweave.llm import neardup, packing, pii, store, toxicity
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the factorization machine doesn't reject; a null text is clean."""
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
+    columns = docs.columns
+    return toxicity.score(docs, toxicity.train(docs, labels)).filter("predicted = 0").select(*columns)
+
+
+def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The document of least doc_id of each group of near copies (five words, similarity 0.8)."""
+    groups = neardup.near_groups(docs).filter(F.col("doc_id") != F.col("component_id")).select("doc_id")
+    return docs.join(groups, "doc_id", "left_anti").select(*docs.columns)
+
+
+def pseudonymise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All documents, personal values replaced; n_chars follows the new text."""
+    columns = docs.columns
+    out = pii.pseudonymise(docs)
+    if "n_chars" in columns:
+        out = out.withColumn("n_chars", F.when(F.col("n_values") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")))
+    return out.select(*columns)
+
+
+def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of all documents in sequences of 2,048 ids."""
+    return packing.pack(docs, public_tokenizers.path("byte_bpe_50k.json"))
+
+
+STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
+    ("toxicity", drop_toxic),
+    ("simhash_near_dedup", drop_copies),
+    ("pii", pseudonymise),
+    ("packing", pack),
+]
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    """Apply the stages to documents."""
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The stages applied to documents, each written and read again."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
+    for i, (name, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
+        if i < len(STAGES) - 1:
+            docs = store.materialize(docs, f"stage-{name}")
     return docs
