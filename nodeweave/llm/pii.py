@@ -22,24 +22,31 @@ from pyspark.sql import functions as F
 KEY = "change-this-key"
 ROUNDS = 10
 
-# Formats of personal data.
-MAIL = r"(?<![\p{L}\p{N}._%+-])[\p{L}\p{N}._%+-]{1,64}+@(?:[\p{L}\p{N}-]{1,63}\.){1,8}\p{L}{2,24}"
-SECRET = r"(?i:\b(?:password|passwd|pwd|token|secret|api[_-]?key|access[_-]?key))\s{0,3}[=:]\s{0,3}[\"']?[^\s\"'|,;]{8,200}"
-ACCESS_KEY = r"(?<![\p{L}\p{N}])A[KS]IA[0-9A-Z]{16}(?![\p{L}\p{N}])"
-ADDRESS = r"(?<![\d.])(?:(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)\.){3}(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)(?!\d|\.\d)"
-DATE = r"(?<![\d.\-/])(?:\d{4}-\d{2}-\d{2}|\d{1,2}\.\d{1,2}\.\d{4}|\d{1,2}/\d{1,2}/\d{4})(?!\d|[.\-/]\d)"
-SOCIAL = r"(?<![\d-])\d{3}-\d{2}-\d{4}(?!\d|-\d)"
-ACCOUNT = r"(?<![\p{L}\p{N}])[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![\p{L}\p{N}])"
-PHONE = r"(?<![\p{L}\p{N}])(?:\+\d{1,3}[ .-]?(?:\(\d{1,4}\)|\d{1,4})(?:[ .-]?\d{2,4}){2,4}|\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}|\d{3}[ .-]\d{3}[ .-]\d{4})(?!\d)"
-CARD = r"(?<![\p{L}\p{N}])\d(?:[ -]?\d){12,18}(?!\d)"
-KINDS = (("mail", MAIL), ("secret", SECRET), ("access_key", ACCESS_KEY), ("address", ADDRESS), ("date", DATE), ("social", SOCIAL), ("account", ACCOUNT), ("phone", PHONE), ("card", CARD))
-PATTERN = "|".join(p for _, p in KINDS)
+# Formats of personal data. Each starts where no letter or digit precedes (START).
+START = r"(?<![\p{L}\p{N}_])"
+MAIL = r"(?<![.%+-])[\p{L}\p{N}._%+-]{1,64}+@(?:[\p{L}\p{N}-]{1,63}\.){1,8}\p{L}{2,24}"
+SECRET = r"(?i:password|passwd|pwd|token|secret|api[_-]?key|access[_-]?key)\s{0,3}[=:]\s{0,3}[\"']?[^\s\"'|,;]{8,200}"
+ACCESS_KEY = r"A[KS]IA[0-9A-Z]{16}(?![\p{L}\p{N}])"
+ACCOUNT = r"[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![\p{L}\p{N}])"
+ADDRESS = r"(?<!\.)(?:(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)\.){3}(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)(?!\d|\.\d)"
+DATE = r"(?<![.\-/])(?:\d{4}-\d{2}-\d{2}|\d{1,2}\.\d{1,2}\.\d{4}|\d{1,2}/\d{1,2}/\d{4})(?!\d|[.\-/]\d)"
+SOCIAL = r"(?<!-)\d{3}-\d{2}-\d{4}(?!\d|-\d)"
+PHONE = r"(?:\+\d{1,3}[ .-]?(?:\(\d{1,4}\)|\d{1,4})(?:[ .-]?\d{2,4}){2,4}|\(\d{2,4}\)[ .-]?\d{3,4}[ .-]?\d{3,4}|\d{3}[ .-]\d{3}[ .-]\d{4})(?!\d)"
+CARD = r"\d(?:[ -]?\d){12,18}(?!\d)"
+WORDS = (("mail", MAIL), ("secret", SECRET), ("access_key", ACCESS_KEY), ("account", ACCOUNT))
+NUMBERS = (("address", ADDRESS), ("date", DATE), ("social", SOCIAL), ("phone", PHONE), ("card", CARD))
+KINDS = WORDS + NUMBERS
+#: One scan: the boundary is tested once for all kinds, and number formats only before digits.
+PATTERN = START + "(?:" + "|".join(p for _, p in WORDS) + r"|(?=[\d+(])(?:" + "|".join(p for _, p in NUMBERS) + "))"
+#: Put around a found value; a text's own first character of it is escaped.
+MARK, ESCAPED = "\u0001m", "\u0001e"
 #: Day 0 and number of days of the dates that are permuted among all years.
 FIRST_DAY, DAY_ROOT = "1900-01-01", 270
 
 
-def _number(digits: Column) -> Column:
-    return F.coalesce(F.try_to_number(F.when(digits == "", F.lit("0")).otherwise(digits), F.lit("9" * 19)).cast("bigint"), F.lit(0))
+def let(value: Column, then) -> Column:
+    """``then(value)`` with the value computed and planned once."""
+    return F.transform(F.array(value), then)[0]
 
 
 def _keyed(key: str, kind: str, *parts: Column) -> Column:
@@ -73,6 +80,10 @@ def _power(n: Column) -> Column:
 
 def _permuted_digits(digits: Column, kind: str, key: str) -> Column:
     """A digit string of 2 to 30 digits, permuted among those of its length."""
+    return let(digits, lambda d: _permuted(d, kind, key))
+
+
+def _permuted(digits: Column, kind: str, key: str) -> Column:
     n = F.length(digits)
     h = F.floor(n / 2).cast("int")
     kind_n = F.concat(F.lit(kind), n.cast("string"))
@@ -112,11 +123,13 @@ def luhn_sum(digits: Column, odd_doubled: bool) -> Column:
 
 
 def _card(value: Column, key: str) -> Column:
-    d = _digits(value)
-    body = F.concat(F.substring(d, 1, 1), _permuted_digits(F.substr(d, F.lit(2), F.length(d) - 2), "card", key))
-    check = F.pmod(10 - luhn_sum(body, True) % 10, F.lit(10))
-    ok = (F.length(d).between(13, 19)) & (luhn_sum(d, False) % 10 == 0)
-    return F.when(ok, _refill(value, F.concat(body, check.cast("string")))).otherwise(value)
+    def valid(d: Column) -> Column:
+        body = F.concat(F.substring(d, 1, 1), _permuted_digits(F.substr(d, F.lit(2), F.length(d) - 2), "card", key))
+        full = let(body, lambda b: F.concat(b, F.pmod(10 - luhn_sum(b, True) % 10, F.lit(10)).cast("string")))
+        return F.when(F.length(d).between(13, 19) & (luhn_sum(d, False) % 10 == 0), full)
+
+    new = let(_digits(value), valid)
+    return let(new, lambda n: F.when(n.isNotNull(), _refill(value, n)).otherwise(value))
 
 
 def _mod97(text: Column) -> Column:
@@ -130,24 +143,27 @@ def _mod97(text: Column) -> Column:
 
 
 def _account(value: Column, key: str) -> Column:
-    plain = F.regexp_replace(value, " ", "")
-    country, body = F.substring(plain, 1, 2), F.substr(plain, F.lit(5))
-    ok = F.length(plain).between(15, 34) & (_mod97(F.concat(body, F.substring(plain, 1, 4))) == 1)
-    digits = _digits(body)
-    new = F.when(F.length(digits) >= 2, _refill(body, _permuted_digits(digits, "account", key))).otherwise(body)
-    check = F.lpad((98 - _mod97(F.concat(new, country, F.lit("00")))).cast("string"), 2, "0")
-    packed = F.concat(country, check, new)
-    # spaces return to their places
-    spaced = F.aggregate(F.split(value, ""), F.struct(F.lit("").alias("s"), F.lit(1).alias("i")), lambda acc, c: F.struct(F.concat(acc["s"], F.when(c == " ", c).otherwise(F.substr(packed, acc["i"], F.lit(1)))).alias("s"), (acc["i"] + (c != " ").cast("int")).alias("i")))["s"]
-    return F.when(ok, spaced).otherwise(value)
+    def valid(plain: Column) -> Column:
+        country, body = F.substring(plain, 1, 2), F.substr(plain, F.lit(5))
+        ok = F.length(plain).between(15, 34) & (_mod97(F.concat(body, F.substring(plain, 1, 4))) == 1)
+        new = F.when(F.length(_digits(body)) >= 2, _refill(body, _permuted_digits(_digits(body), "account", key))).otherwise(body)
+        packed = let(new, lambda n: F.concat(country, F.lpad((98 - _mod97(F.concat(n, country, F.lit("00")))).cast("string"), 2, "0"), n))
+        return F.when(ok, packed)
+
+    def spaced(packed: Column) -> Column:  # spaces return to their places
+        step = lambda acc, c: F.struct(F.concat(acc["s"], F.when(c == " ", c).otherwise(F.substr(packed, acc["i"], F.lit(1)))).alias("s"), (acc["i"] + (c != " ").cast("int")).alias("i"))
+        woven = F.aggregate(F.split(value, ""), F.struct(F.lit("").alias("s"), F.lit(1).alias("i")), step)["s"]
+        return F.when(packed.isNotNull(), woven).otherwise(value)
+
+    return let(let(F.replace(value, F.lit(" "), F.lit("")), valid), spaced)
 
 
 def _address(value: Column, key: str) -> Column:
-    o = F.transform(F.split(value, r"\."), lambda x: x.cast("bigint"))
     root = F.lit(65536).cast("bigint")
-    got = feistel(o[0] * 256 + o[1], o[2] * 256 + o[3], root, root, "address", key)
-    l, r = got["l"], got["r"]
-    return F.concat_ws(".", *[x.cast("string") for x in (F.shiftright(l, 8), l % 256, F.shiftright(r, 8), r % 256)])
+    octets = F.transform(F.split(value, r"\."), lambda x: x.cast("bigint"))
+    got = let(octets, lambda o: feistel(o[0] * 256 + o[1], o[2] * 256 + o[3], root, root, "address", key))
+    spelled = lambda g: F.concat_ws(".", *[x.cast("string") for x in (F.shiftright(g["l"], 8), g["l"] % 256, F.shiftright(g["r"], 8), g["r"] % 256)])
+    return let(got, spelled)
 
 
 def _social(value: Column, key: str) -> Column:
@@ -155,51 +171,63 @@ def _social(value: Column, key: str) -> Column:
     ok = area.between(1, 899) & (area != 666) & (group > 0) & (serial > 0)
     place = F.when(area > 666, area - 2).otherwise(area - 1)
     got = feistel(place * 99 + group - 1, serial - 1, F.lit(898 * 99).cast("bigint"), F.lit(9999).cast("bigint"), "social", key)
-    p = F.floor(got["l"] / 99)
-    new_area = F.when(p >= 665, p + 2).otherwise(p + 1)
-    text = F.concat_ws("-", F.lpad(new_area.cast("string"), 3, "0"), F.lpad((got["l"] % 99 + 1).cast("string"), 2, "0"), F.lpad((got["r"] + 1).cast("string"), 4, "0"))
-    return F.when(ok, text).otherwise(value)
 
+    def spelled(g: Column) -> Column:
+        p = F.floor(g["l"] / 99)
+        new_area = F.when(p >= 665, p + 2).otherwise(p + 1)
+        return F.concat_ws("-", F.lpad(new_area.cast("string"), 3, "0"), F.lpad((g["l"] % 99 + 1).cast("string"), 2, "0"), F.lpad((g["r"] + 1).cast("string"), 4, "0"))
 
-def _date(value: Column, key: str) -> Column:
-    iso, dotted = value.contains("-"), value.contains(".")
-    p = F.split(value, r"[-./]")
-    a, b, c = p[0].cast("int"), p[1].cast("int"), p[2].cast("int")
-    month_first = ~iso & ~dotted & (a <= 12)
-    year = F.when(iso, a).otherwise(c)
-    month = F.when(iso | dotted, b).when(month_first, a).otherwise(b)
-    day = F.when(iso, c).when(dotted, a).when(month_first, b).otherwise(a)
-    spelled = lambda y, m, d: F.concat_ws("-", F.lpad(y.cast("string"), 4, "0"), F.lpad(m.cast("string"), 2, "0"), F.lpad(d.cast("string"), 2, "0"))
-    there = F.try_to_timestamp(spelled(year, month, day), F.lit("yyyy-MM-dd")).cast("date")
-    first = F.lit(FIRST_DAY).cast("date")
+    return F.when(ok, let(got, spelled)).otherwise(value)
+
+
+def _moved(there: Column, key: str) -> Column:
+    """A date permuted among all of 1900 to 2099, or among its year's days where it lies outside."""
+    first, root = F.lit(FIRST_DAY).cast("date"), F.lit(DAY_ROOT).cast("bigint")
     index = F.datediff(there, first).cast("bigint")
-    root = F.lit(DAY_ROOT).cast("bigint")
-    inside = index.between(0, DAY_ROOT * DAY_ROOT - 1)
-    got = feistel(F.floor(index / DAY_ROOT), index % DAY_ROOT, root, root, "date", key)
-    near = F.date_add(first, (got["l"] * DAY_ROOT + got["r"]).cast("int"))
-    # other years: a permutation of the year's days (365 = 73 x 5, 366 = 61 x 6)
-    begin = F.make_date(year, F.lit(1), F.lit(1))
-    leap = F.dayofyear(F.make_date(year, F.lit(12), F.lit(31))) == 366
+    back = lambda g: F.date_add(first, (g["l"] * DAY_ROOT + g["r"]).cast("int"))
+    near = let(feistel(F.floor(index / DAY_ROOT), index % DAY_ROOT, root, root, "date", key), back)
+    begin = F.trunc(there, "year")
+    # 365 = 73 x 5 and 366 = 61 x 6
+    leap = F.dayofyear(F.date_add(F.add_months(begin, 12), -1)) == 366
     wide, narrow = F.when(leap, F.lit(61)).otherwise(F.lit(73)).cast("bigint"), F.when(leap, F.lit(6)).otherwise(F.lit(5)).cast("bigint")
     at = F.datediff(there, begin).cast("bigint")
-    same = feistel(F.floor(at / narrow), at % narrow, wide, narrow, "day", key)
-    new = F.when(inside, near).otherwise(F.date_add(begin, (same["l"] * narrow + same["r"]).cast("int")))
+    same = let(feistel(F.floor(at / narrow), at % narrow, wide, narrow, "day", key), lambda g: F.date_add(begin, (g["l"] * narrow + g["r"]).cast("int")))
+    return F.when(index.between(0, DAY_ROOT * DAY_ROOT - 1), near).otherwise(same)
+
+
+def _date(value: Column, key: str) -> Column:
+    iso, dotted = value.contains("-"), value.contains(".")
+
+    def parse(p: Column) -> Column:
+        """Year, month, day and the notation: y-m-d, d.m.y, m/d/y, or d/m/y where the first can't be a month."""
+        a, b, c = p[0].cast("int"), p[1].cast("int"), p[2].cast("int")
+        parts = lambda y, m, d, how: F.struct(y.alias("y"), m.alias("m"), d.alias("d"), F.lit(how).alias("how"), (F.length(p[0]) == 1).alias("one"), (F.length(p[1]) == 1).alias("two"))
+        return F.when(iso, parts(a, b, c, "ymd")).when(dotted, parts(c, b, a, "d.m")).when(a <= 12, parts(c, a, b, "m/d")).otherwise(parts(c, b, a, "d/m"))
+
     pad = lambda x, n: F.lpad(x.cast("string"), n, "0")
-    # widths as written, so that 3.4.1999 and 03.04.1999 are notations of one date; one digit grows if it must
-    y, m, d = F.lpad(F.year(new).cast("string"), 4, "0"), F.month(new), F.dayofmonth(new)
-    one, two = F.length(p[0]) == 1, F.length(p[1]) == 1
-    wide1 = lambda x: F.when(one & (x < 10), x.cast("string")).otherwise(pad(x, 2))
-    wide2 = lambda x: F.when(two & (x < 10), x.cast("string")).otherwise(pad(x, 2))
-    text = F.when(iso, F.concat_ws("-", y, pad(m, 2), pad(d, 2))).when(dotted, F.concat_ws(".", wide1(d), wide2(m), y)).when(month_first, F.concat_ws("/", wide1(m), wide2(d), y)).otherwise(F.concat_ws("/", wide1(d), wide2(m), y))
-    return F.when(there.isNotNull() & (year >= 1), text).otherwise(value)
+    short = lambda x, brief: F.when(brief & (x < 10), x.cast("string")).otherwise(pad(x, 2))
+
+    def spell(q: Column, new: Column) -> Column:
+        y, m, d = pad(F.year(new), 4), F.month(new), F.dayofmonth(new)
+        day_first, month_first = (short(d, q["one"]), short(m, q["two"])), (short(m, q["one"]), short(d, q["two"]))
+        return F.when(q["how"] == "ymd", F.concat_ws("-", y, pad(m, 2), pad(d, 2))).when(q["how"] == "d.m", F.concat_ws(".", *day_first, y)).when(q["how"] == "m/d", F.concat_ws("/", *month_first, y)).otherwise(F.concat_ws("/", *day_first, y))
+
+    def move(q: Column) -> Column:
+        there = F.try_to_timestamp(F.concat_ws("-", pad(q["y"], 4), pad(q["m"], 2), pad(q["d"], 2)), F.lit("yyyy-MM-dd")).cast("date")
+        return let(there, lambda t: F.when(t.isNotNull(), let(_moved(t, key), lambda new: spell(q, new))).otherwise(value))
+
+    return let(let(F.split(value, r"[-./]"), parse), move)
 
 
 def _phone(value: Column, key: str) -> Column:
-    d = _digits(value)
     kept = F.length(_digits(F.regexp_extract(value, r"^\+\d{1,3}(?=[ .(-])", 0)))
-    body = F.substr(d, kept + 1)
-    ok = F.length(d).between(7, 15) & (F.length(body) >= 4)
-    return F.when(ok, _refill(value, F.concat(F.substr(d, F.lit(1), kept), _permuted_digits(body, "phone", key)))).otherwise(value)
+
+    def move(d: Column) -> Column:
+        body = F.substr(d, kept + 1)
+        ok = F.length(d).between(7, 15) & (F.length(body) >= 4)
+        return F.when(ok, _refill(value, F.concat(F.substr(d, F.lit(1), kept), _permuted_digits(body, "phone", key)))).otherwise(value)
+
+    return let(_digits(value), move)
 
 
 def _mail(value: Column, key: str) -> Column:
@@ -224,12 +252,12 @@ def kind_of(value: Column) -> Column:
     return out
 
 
-def pseudonym(value: Column, key: str = KEY) -> Column:
-    """The pseudonym of one found value; itself where validation fails."""
+def pseudonym(value: Column, kind: Column, key: str = KEY) -> Column:
+    """The pseudonym of a found value of this kind; itself where validation fails."""
     makers = {"mail": _mail, "secret": _secret, "access_key": _access_key, "address": _address, "date": _date, "social": _social, "account": _account, "phone": _phone, "card": _card}
     out = value
-    for name, pattern in reversed(KINDS):
-        out = F.when(value.rlike(f"^(?:{pattern})$"), makers[name](value, key)).otherwise(out)
+    for name, make in makers.items():
+        out = F.when(kind == name, make(value, key)).otherwise(out)
     return out
 
 
@@ -237,14 +265,21 @@ def pseudonymise(docs: DataFrame, key: str = KEY) -> DataFrame:
     """``docs`` with values in text replaced, n_values (how many were) and kinds (distinct, sorted)."""
     rest = [c for c in docs.columns if c not in ("n_values", "kinds")]
     may = F.col("text").rlike("[0-9@=:]")
-    found = F.regexp_extract_all(F.col("text"), F.lit(PATTERN), F.lit(0))
-    cut = docs.select(*rest).withColumn("__found", F.when(may, found))
-    some = F.size("__found") > 0
-    cut = cut.withColumn("__new", F.when(some, F.transform("__found", lambda m: pseudonym(m, key))))
-    cut = cut.withColumn("__between", F.when(some, F.split("text", PATTERN, -1)))
-    woven = F.array_join(F.zip_with("__between", F.concat("__new", F.array(F.lit(""))), lambda a, b: F.concat(a, b)), "")
-    changed = F.filter(F.zip_with("__found", "__new", lambda a, b: F.struct(a.alias("a"), b.alias("b"))), lambda p: p["a"] != p["b"])
-    kinds = F.array_sort(F.array_distinct(F.transform(changed, lambda p: kind_of(p["a"]))))
+    marked = F.regexp_replace(F.replace(F.col("text"), F.lit("\u0001"), F.lit(ESCAPED)), F.lit(PATTERN), F.lit(f"{MARK}$0{MARK}"))
+    # pieces at odd places (from 0) are found values
+    cut = docs.select(*rest, F.when(may, marked).alias("__marked"))
+    cut = cut.select(*rest, F.when(F.col("__marked").contains(MARK), F.split("__marked", MARK)).alias("__pieces"))
+
+    def one(piece: Column, i: Column) -> Column:
+        kind = F.when(i % 2 == 1, kind_of(piece))
+        return F.struct(piece.alias("old"), F.when(kind.isNotNull(), pseudonym(piece, kind, key)).otherwise(piece).alias("new"), kind.alias("kind"))
+
+    some = F.col("__pieces").isNotNull()
+    cut = cut.select(*rest, F.when(some, F.transform("__pieces", one)).alias("__parts"))
+    some = F.col("__parts").isNotNull()
+    woven = F.replace(F.array_join(F.transform("__parts", lambda p: p["new"]), ""), F.lit(ESCAPED), F.lit("\u0001"))
+    changed = F.filter("__parts", lambda p: p["old"] != p["new"])
+    kinds = F.array_sort(F.array_distinct(F.transform(changed, lambda p: p["kind"])))
     out = {c: F.col(c) for c in rest} | {"text": F.when(some, woven).otherwise(F.col("text"))}
     return cut.select(*[v.alias(c) for c, v in out.items()], F.when(some, F.size(changed)).otherwise(F.lit(0)).alias("n_values"), F.when(some, kinds).otherwise(F.array().cast("array<string>")).alias("kinds"))
 
