@@ -28,8 +28,8 @@ from pyspark.sql import DataFrame, SparkSession
 from .encode import slices
 from .store import small_batches, texts
 
-MEMO_UNITS = 500_000
-MEMO_WORDS = 700_000
+MEMO_UNITS = 1_000_000
+MEMO_WORDS = 1_000_000
 MEMO_CHARS = 40
 _REPLAYS: dict = {}
 

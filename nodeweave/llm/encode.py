@@ -13,8 +13,8 @@ import os
 from itertools import chain
 
 #: Units and words kept in a worker's memos before those start anew; bounds memory, not results.
-MEMO_UNITS = 500_000
-MEMO_WORDS = 700_000
+MEMO_UNITS = 1_500_000
+MEMO_WORDS = 1_200_000
 #: Longer units are encoded each time.
 MEMO_CHARS = 40
 #: Punctuation that is a piece of its own after a word, under either tokenizer.
