@@ -25,7 +25,9 @@ from .store import materialize, remove, small_batches, texts
 
 #: Bound on the labelled sample (rows of least hash), and on the terms of the model.
 TRAIN_ROWS = 20_000
-TERMS = 4096
+TERMS = 1024
+#: Least two-sample z of a kept term's presence.
+LEAST_Z = 5.0
 SPACE = 1 << 20
 PREFIXES = (3, 4, 5, 6, 7)
 FACTORS = 6
@@ -43,45 +45,54 @@ def terms(unit: str) -> set[int]:
     return out
 
 
-def fit_machine(rows: list[list[int]], labels: list[int], size: int, factors: int = FACTORS, steps: int = 300, seed: int = 7):
-    """(bias, weights, factor vectors) of least regularised logistic loss; rows hold indices below ``size``."""
+def fit_machine(rows: list, labels: list[int], size: int, factors: int = FACTORS, steps: int = 300, seed: int = 7, part: int = 100_000):
+    """(bias, weights, factor vectors) of least regularised logistic loss; rows hold indices below ``size``.
+
+    Gradients are summed over parts of about ``part`` indices, which bounds memory.
+    """
     import numpy as np
 
     rng = np.random.default_rng(seed)
-    y = np.array(labels, dtype=np.float64)
-    n = len(y)
-    at = np.concatenate([np.array(r, dtype=np.int64) for r in rows]) if rows else np.zeros(0, np.int64)
-    of = np.repeat(np.arange(n), [len(r) for r in rows])
-    share = float(np.clip(y.mean() if n else 0.5, 1e-4, 1 - 1e-4))
-    b, w, v = np.log(share / (1 - share)), np.zeros(size), rng.normal(0, 0.05, (size, factors))
-    state = [[np.zeros_like(x), np.zeros_like(x)] for x in (np.float64(b), w, v)]
-
-    def by_row(x):
-        return np.stack([np.bincount(of, x[:, k], minlength=n) for k in range(x.shape[1])], axis=1)
-
-    def by_term(x):
-        return np.stack([np.bincount(at, x[:, k], minlength=size) for k in range(x.shape[1])], axis=1)
+    n = len(labels)
+    parts, some, held = [], [], 0
+    for i in range(n):
+        some.append(i)
+        held += len(rows[i])
+        if held >= part or i == n - 1:
+            at = np.concatenate([np.asarray(rows[j], dtype=np.int32) for j in some])
+            of = np.repeat(np.arange(len(some), dtype=np.int32), [len(rows[j]) for j in some])
+            parts.append((at, of, np.array([labels[j] for j in some], dtype=np.float64)))
+            some, held = [], 0
+    share = float(np.clip(np.mean(labels) if n else 0.5, 1e-4, 1 - 1e-4))
+    values = [np.log(share / (1 - share)), np.zeros(size), rng.normal(0, 0.05, (size, factors))]
+    first, second = [0.0 * x for x in values], [0.0 * x for x in values]
+
+    def by(index, x, length):
+        return np.stack([np.bincount(index, x[:, k], minlength=length) for k in range(x.shape[1])], axis=1)
 
     for t in range(1, steps + 1):
-        own = v[at]
-        s = by_row(own)
-        z = b + np.bincount(of, w[at], minlength=n) + 0.5 * ((s**2) - by_row(own**2)).sum(axis=1)
-        g = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y) / n
-        grads = [g.sum(), np.bincount(at, g[of], minlength=size) + 1e-4 * w, by_term(g[of, None] * (s[of] - own)) + 1e-4 * v]
-        new = []
-        for x, d, (m, q) in zip((b, w, v), grads, state, strict=True):
-            m = m * 0.9 + 0.1 * d
-            q = q * 0.999 + 0.001 * d * d
-            state[len(new)][:] = [m, q]
-            new.append(x - 0.05 * (m / (1 - 0.9**t)) / (np.sqrt(q / (1 - 0.999**t)) + 1e-8))
-        b, w, v = new
-    return float(b), w, v
+        b, w, v = values
+        grads = [0.0, 1e-4 * w, 1e-4 * v]
+        for at, of, y in parts:
+            own, rows_n = v[at], len(y)
+            s = by(of, own, rows_n)
+            z = b + np.bincount(of, w[at], minlength=rows_n) + 0.5 * (s**2 - by(of, own**2, rows_n)).sum(axis=1)
+            g = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y) / n
+            grads[0] += g.sum()
+            grads[1] = grads[1] + np.bincount(at, g[of], minlength=size)
+            grads[2] = grads[2] + by(at, g[of, None] * (s[of] - own), size)
+        for i, d in enumerate(grads):
+            first[i] = 0.9 * first[i] + 0.1 * d
+            second[i] = 0.999 * second[i] + 0.001 * d * d
+            values[i] = values[i] - 0.05 * (first[i] / (1 - 0.9**t)) / (np.sqrt(second[i] / (1 - 0.999**t)) + 1e-8)
+    return float(values[0]), values[1], values[2]
 
 
 def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, held_out: bool = True):
     """Fit on labelled rows outside the held-out quarter; returns (kept terms in order, bias, weights, factors) or None."""
-    spark = docs.sparkSession
-    small_batches(spark)
+    import numpy as np
+
+    small_batches(docs.sparkSession)
     known = labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")).filter("toxic in (0, 1) and doc_id is not null")
     if held_out:
         known = known.filter(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 != 2)
@@ -118,7 +129,7 @@ def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, held
     p, q = F.col("toxic") / n1, F.col("clean") / n0
     both = (F.col("toxic") + F.col("clean")) / (n0 + n1)
     z = (p - q) / F.sqrt(F.greatest(both * (1 - both), F.lit(1e-9)) * (1 / n0 + 1 / n1))
-    best = tally.filter("clean + toxic >= 3").withColumn("z", F.abs(z)).filter("z >= 4").orderBy(F.desc("z"), "term").limit(TERMS)
+    best = tally.filter("clean + toxic >= 3").withColumn("z", F.abs(z)).filter(F.col("z") >= LEAST_Z).orderBy(F.desc("z"), "term").limit(TERMS)
     kept = sorted(r["term"] for r in best.select("term").collect())
     number = {t: i for i, t in enumerate(kept)}
 
@@ -131,12 +142,13 @@ def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, held
                 got: set[int] = set()
                 for u in set(text.lower().split()):
                     got.update(number[t] for t in terms(u) if t in number)
-                rows.append(sorted(got))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, pa.list_(pa.int32()))], names=["toxic", "at"])
+                rows.append(np.array(sorted(got), dtype="<i4").tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, pa.binary())], names=["toxic", "at"])
 
-    rows = sample.mapInArrow(reduce, "toxic int, at array<int>").orderBy("toxic", "at").collect()  # at most train_rows, kept terms only
+    # at most train_rows rows of kept terms' numbers
+    rows = sorted((r["toxic"], bytes(r["at"])) for r in sample.mapInArrow(reduce, "toxic int, at binary").collect())
     remove(sample)
-    return (kept, *fit_machine([r["at"] for r in rows], [r["toxic"] for r in rows], len(kept)))
+    return (kept, *fit_machine([np.frombuffer(at, "<i4") for _, at in rows], [y for y, _ in rows], len(kept)))
 
 
 def score(docs: DataFrame, model, threshold: float = THRESHOLD) -> DataFrame:
