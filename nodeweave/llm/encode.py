@@ -106,10 +106,22 @@ class UnitEncoder:
             self.tails = {}
         return out
 
+    def _units(self, text: str) -> list[str]:
+        if self.spaced:
+            return text.split(" ")
+        # here white space only separates, and the library lowers the case, so forms of one word are one unit;
+        # in Latin-1 lowering commutes with the library's other normalisation
+        try:
+            if not text.isascii():
+                text.encode("latin-1")
+            return text.lower().replace("\n", " ").split(" ")
+        except UnicodeEncodeError:
+            return text.replace("\n", " ").split(" ")
+
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of every text, whole."""
         memo = self.units
-        split = [t.split(" ") for t in texts]
+        split = [self._units(t) for t in texts]
         heads = [""] * len(texts)
         if self.spaced:
             heads = [parts.pop(0) for parts in split]

@@ -190,27 +190,30 @@ def read_tokens(spark: SparkSession, path: str, keep_ids: bool = False) -> DataF
     within = W.partitionBy("shard").orderBy("segment").rowsBetween(W.unboundedPreceding, -1)
     index = files.select("shard", "segment", F.coalesce(F.sum("n_ids").over(within), F.lit(0)).alias("inside"))
     index = index.join(earlier, "shard").select("shard", "segment", (F.col("base") + F.col("inside")).alias("base"))
-    based = files.join(index, ["shard", "segment"]).select("base", "bytes")
+    # the index meets the documents' rows, not the segments' bytes
 
     def run(batches) -> Iterator:
         import numpy as np
         import pyarrow as pa
 
         for batch in batches:
-            for base, data in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+            for shard, segment, data in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
                 data = data.as_py()
                 doc_ids, lengths, *_ = segment_table(data)
                 flat = decode_segment(data).astype("<u4").tobytes()
                 ends = np.cumsum(lengths, dtype=np.int64)
                 parts = [flat[4 * (e - n) : 4 * e] for e, n in zip(ends.tolist(), lengths.tolist(), strict=True)]
-                cols = [pa.array(doc_ids), pa.array(base + ends - lengths), pa.array(lengths.astype(np.int64)), pa.array([zlib.crc32(p) for p in parts], pa.int64())]
-                names = ["doc_id", "start", "n_tokens", "ids_crc32"]
+                same = [pa.array(np.full(len(doc_ids), x, dtype=np.int32)) for x in (shard, segment)]
+                cols = [*same, pa.array(doc_ids), pa.array(ends - lengths), pa.array(lengths.astype(np.int64)), pa.array([zlib.crc32(p) for p in parts], pa.int64())]
+                names = ["shard", "segment", "doc_id", "inside", "n_tokens", "ids_crc32"]
                 if keep_ids:
                     cols.append(pa.array(np.split(np.frombuffer(flat, "<u4").astype(np.int32), ends[:-1]), pa.list_(pa.int32())))
                     names.append("ids")
                 yield pa.RecordBatch.from_arrays(cols, names=names)
 
-    return based.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long" + (", ids array<int>" if keep_ids else ""))
+    more = ["ids"] if keep_ids else []
+    rows = files.select("shard", "segment", "bytes").mapInArrow(run, "shard int, segment int, doc_id long, inside long, n_tokens long, ids_crc32 long" + (", ids array<int>" if keep_ids else ""))
+    return rows.join(index, ["shard", "segment"]).select("doc_id", (F.col("base") + F.col("inside")).alias("start"), "n_tokens", "ids_crc32", *more)
 
 
 def op2_tokenfile(spark: SparkSession, sf_dir: str) -> DataFrame:
