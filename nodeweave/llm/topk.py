@@ -3,10 +3,11 @@
 Vectors become integers, floor(256 x). The base is dealt into blocks; each block is an inverted
 index: per dimension, postings grouped into segments of one quantised level. For a query, a
 segment's impact is what its level adds to the score above the dimension's worst level, so impacts
-are never negative. Segments are processed by descending impact into one accumulator per vector.
-After each portion, a vector's score is bounded by its accumulator plus the largest impacts not
-yet processed plus the rounding within levels. Processing stops only when that proves all but a
-few vectors out; those few are scored exactly. If no proof comes, all are scored.
+are never negative. Queries go in small batches, each segment adding to all of a batch in one
+stroke; segments are processed by descending impact (the greatest in the batch) into one
+accumulator per vector and query. A vector's score lies within its accumulator, plus the largest impacts not yet processed, plus or minus
+the product of the norms of the query and of what rounding left of the vector. Processing stops only when that proves all but a
+few vectors out; those few are scored exactly. If no proof comes, all that may belong are scored.
 
 Queries meet all base rows block by block: per pair of blocks each query keeps k rows, so what is
 shuffled is queries x blocks x k rows. Vectors that are null, hold null or non-finite components
@@ -23,12 +24,14 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 #: A segment spans 2**LEVEL_BITS integers of a component.
-LEVEL_BITS = 5
+LEVEL_BITS = 3
 #: Candidates that may be left for exact scores when processing stops early.
 RESCORE = 64
-#: Segments between two attempts at a proof.
-PORTION = 48
-BASE_ROWS, QUERY_ROWS = 8192, 512
+#: Parts of the segments after which a proof is tried.
+PROOFS = (0.7, 0.9, 1.0)
+BASE_ROWS, QUERY_ROWS, BATCH = 16384, 512, 32
+#: Bound on what 32-bit sums of a thousand impacts lose.
+ROUNDING = 64.0
 
 
 class ImpactIndex:
@@ -38,12 +41,14 @@ class ImpactIndex:
         import numpy as np
 
         self.ids, self.vectors = ids, vectors
-        n, dims = vectors.shape
         level = vectors >> LEVEL_BITS
+        step = 1 << LEVEL_BITS
         self.low, self.high = level.min(axis=0), level.max(axis=0)
+        middle = level * step + (step - 1) / 2
+        self.left_over = np.sqrt(((vectors - middle) ** 2).sum(axis=1))
         dim, lev, rows = [], [], []
-        for d in range(dims):
-            by = np.argsort(level[:, d], kind="stable").astype(np.int32)
+        for d in range(vectors.shape[1]):
+            by = np.argsort(level[:, d], kind="stable")
             cut = np.flatnonzero(np.diff(level[by, d])) + 1
             for part in np.split(by, cut):
                 dim.append(d)
@@ -51,47 +56,53 @@ class ImpactIndex:
                 rows.append(part)
         self.dim, self.level, self.rows = np.array(dim), np.array(lev), rows
 
-    def top(self, query, own_id: int, k: int):
-        """Ids and exact scores of the k best, in order."""
+    def top(self, queries, own_ids, k: int):
+        """For each query of a batch, ids and exact scores of the k best, in order."""
         import numpy as np
 
         n, dims = self.vectors.shape
         step = 1 << LEVEL_BITS
-        q = query.astype(np.int64)
-        up = q >= 0
-        gain = np.where(up[self.dim], self.level - self.low[self.dim], self.high[self.dim] - self.level)
-        impact = np.abs(q)[self.dim] * gain * step
-        worst = int((q * np.where(up, self.low, self.high) * step).sum())
-        # within its level a component adds between min and max of q * [0, step - 1]
-        slack_low, slack_high = int(np.minimum(q * (step - 1), 0).sum()), int(np.maximum(q * (step - 1), 0).sum())
-        order = np.argsort(-impact, kind="stable")
-        acc = np.full(n, worst, dtype=np.int64)
-        mine = self.ids == own_id
-        acc[mine] = np.iinfo(np.int64).min // 2
-        # the next impact of each dimension: its largest not processed
-        by_dim = self.dim[order]
-        ahead = {d: impact[order[np.flatnonzero(by_dim == d)]].tolist() for d in range(dims)}
-        done = dict.fromkeys(range(dims), 0)
-        left, possible = sum(a[0] for a in ahead.values()), None
-        wanted = min(k, n - int(mine.sum()))
-        if wanted <= 0:
-            return self.ids[:0], acc[:0]
-        for i, s in enumerate(order.tolist()):
-            d = int(self.dim[s])
-            acc[self.rows[s]] += impact[s]
-            was = ahead[d][done[d]]
-            done[d] += 1
-            left += (ahead[d][done[d]] if done[d] < len(ahead[d]) else 0) - was
-            if i % PORTION == PORTION - 1 or i == len(order) - 1:
+        q = queries.astype(np.int64)  # batch x dims
+        up = q.T >= 0
+        gain = np.where(up[self.dim], (self.level - self.low[self.dim])[:, None], (self.high[self.dim] - self.level)[:, None])
+        impact = (np.abs(q.T)[self.dim] * gain * step).astype(np.float32)  # segments x batch
+        order = np.argsort(-impact.max(axis=1), kind="stable")
+        impact = np.ascontiguousarray(impact[order])
+        worst = (q.T * (np.where(up, self.low[:, None], self.high[:, None]) * step + (step - 1) / 2)).sum(axis=0)
+        norm = np.sqrt((q * q).sum(axis=1))
+        acc = np.zeros((n, len(q)), dtype=np.float32)
+        rows, by_dim = self.rows, self.dim[order]
+        segments, out, waiting, done = order.tolist(), {}, list(range(len(q))), 0
+        for part in PROOFS:
+            upto = int(len(segments) * part)
+            for i in range(done, upto):
+                acc[rows[segments[i]]] += impact[i]
+            done = upto
+            # the largest impact of each dimension from here on
+            ahead = np.zeros((dims, len(q)), dtype=np.float32)
+            np.maximum.at(ahead, by_dim[done:], impact[done:])
+            ahead = ahead.sum(axis=0)
+            for j in list(waiting):
+                mine = self.ids == own_ids[j]
+                wanted = min(k, n - int(mine.sum()))
+                if wanted <= 0:
+                    out[j] = self.ids[:0], self.ids[:0]
+                    waiting.remove(j)
+                    continue
+                slack = self.left_over * norm[j] + ROUNDING
+                sums = acc[:, j] + worst[j]
+                least = np.where(mine, -np.inf, sums - slack)
                 # the k-th best score is at least the k-th best lower bound
-                kth = np.partition(acc, n - wanted)[n - wanted] + slack_low
-                open_ = np.flatnonzero(acc + (left + slack_high) >= kth)
-                if len(open_) <= max(RESCORE, 2 * k) or i == len(order) - 1:
-                    possible = open_[~mine[open_]]
-                    break
-        score = self.vectors[possible].astype(np.int64) @ q
-        best = np.lexsort((self.ids[possible], -score))[:k]
-        return self.ids[possible][best], score[best]
+                kth = np.partition(least, n - wanted)[n - wanted]
+                possible = np.flatnonzero((sums + slack + ahead[j] >= kth) & ~mine)
+                if len(possible) <= max(RESCORE, 2 * k) or done == len(segments):
+                    score = self.vectors[possible] @ q[j]
+                    best = np.lexsort((self.ids[possible], -score))[:k]
+                    out[j] = self.ids[possible][best], score[best]
+                    waiting.remove(j)
+            if not waiting:
+                break
+        return [out[j] for j in range(len(q))]
 
 
 def quantised(vectors: DataFrame) -> DataFrame:
@@ -122,25 +133,32 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5) -> DataFrame:
         import pyarrow as pa
 
         def arrays(cell):
-            by: dict[int, tuple[list, list]] = {}
-            for r in cell:
-                ids, vs = by.setdefault(len(r["v"]), ([], []))
-                ids.append(r["vec_id"])
-                vs.append(r["v"])
-            return {n: (np.array(i, dtype=np.int64), np.array(v, dtype=np.int64).reshape(len(i), n)) for n, (i, v) in by.items()}
-
+            """Ids and vectors of a block by vector length."""
+            rows = cell.values
+            ids, v = rows.field("vec_id").to_numpy(), rows.field("v")
+            sizes = np.diff(v.offsets.to_numpy())
+            flat, ends = v.values.to_numpy().astype(np.int64), v.offsets.to_numpy()
+            out = {}
+            for n in np.unique(sizes).tolist():
+                own = np.flatnonzero(sizes == n)
+                out[n] = (ids[own], flat[ends[own][:, None] + np.arange(n)])
+            return out
+
+        last_rows, index = None, {}
         for batch in batches:
             for ask, rows in zip(batch.column(0), batch.column(1), strict=True):
-                index = {n: ImpactIndex(*x) for n, x in arrays(rows.as_py()).items()}
+                if last_rows is None or not rows.equals(last_rows):
+                    last_rows, index = rows, {n: ImpactIndex(*x) for n, x in arrays(rows).items()}
                 out = [[], [], []]
-                for n, (ids, vs) in arrays(ask.as_py()).items():
+                for n, (ids, vs) in arrays(ask).items():
                     if n not in index:
                         continue
-                    for own, q in zip(ids.tolist(), vs, strict=True):
-                        got, score = index[n].top(q, own, k)
-                        out[0] += [own] * len(got)
-                        out[1] += got.tolist()
-                        out[2] += score.tolist()
+                    for i in range(0, len(ids), BATCH):
+                        own = ids[i : i + BATCH].tolist()
+                        for o, (got, score) in zip(own, index[n].top(vs[i : i + BATCH], own, k), strict=True):
+                            out[0] += [o] * len(got)
+                            out[1] += got.tolist()
+                            out[2] += score.tolist()
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in out], names=["query_id", "vec_id", "score"])
 
     found = pairs.mapInArrow(run, "query_id long, vec_id long, score long")
