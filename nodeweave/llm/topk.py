@@ -10,7 +10,7 @@ the product of the norms of the query and of what rounding left of the vector. P
 few vectors out; those few are scored exactly. If no proof comes, all that may belong are scored.
 
 Queries meet all base rows block by block: per pair of blocks each query keeps k rows, so what is
-shuffled is queries x blocks x k rows. Vectors that are null, hold null or non-finite components
+shuffled is queries x blocks x k rows. Vectors that are null or empty, hold null or non-finite components
 or differ in length from the query take no part (lengths are compared within a block pair). Ties go to the smaller
 vec_id. Repeated vec_ids: a query's own vec_id is never its candidate. Other columns are ignored.
 """
@@ -109,7 +109,7 @@ def quantised(vectors: DataFrame) -> DataFrame:
     """vec_id and v array<int> = floor(256 * x) with x as double; rows that take no part are left out."""
     x = F.transform("embedding", lambda e: e.cast("double"))
     bad = F.exists(x, lambda e: e.isNull() | F.isnan(e) | (F.abs(e) == F.lit(float("inf"))))
-    ok = F.col("embedding").isNotNull() & F.col("vec_id").isNotNull() & ~F.coalesce(bad, F.lit(True))
+    ok = F.col("embedding").isNotNull() & F.col("vec_id").isNotNull() & (F.size("embedding") > 0) & ~F.coalesce(bad, F.lit(True))
     return vectors.filter(ok).select("vec_id", F.transform(x, lambda e: F.floor(e * 256).cast("int")).alias("v"))
 
 

@@ -57,28 +57,34 @@ class NameModel:
         if chunk in self.memo:
             return self.memo[chunk]
         n = len(chunk)
-        best, back = [0.0] + [math.inf] * n, [0] * (n + 1)
-        unknown = [0] * (n + 1)  # 1 where the best split ends in an unknown letter, to charge a run's start once
+        start = math.log(10 * self.total)  # an unknown run pays this once, and 2 for each letter
+        # best[i][u]: least cost of the first i letters, u = 1 where they end in an unknown letter
+        best = [[math.inf, math.inf] for _ in range(n + 1)]
+        back: list[list[tuple[int, int]]] = [[(0, 0), (0, 0)] for _ in range(n + 1)]
+        best[0][0] = 0.0
         for i in range(1, n + 1):
             for j in range(max(0, i - self.longest), i):
                 c = self.cost.get(chunk[j:i])
-                if c is not None and best[j] + c < best[i]:
-                    best[i], back[i], unknown[i] = best[j] + c, j, 0
-            c = best[i - 1] + 2.0 + (0 if unknown[i - 1] else math.log(10 * self.total))
-            if c < best[i]:
-                best[i], back[i], unknown[i] = c, i - 1, 1
+                if c is not None:
+                    for u in (0, 1):
+                        if best[j][u] + c < best[i][0]:
+                            best[i][0], back[i][0] = best[j][u] + c, (j, u)
+            for u in (0, 1):
+                c = best[i - 1][u] + 2.0 + (0 if u else start)
+                if c < best[i][1]:
+                    best[i][1], back[i][1] = c, (i - 1, u)
         out: list[str] = []
-        run, i = "", n
+        run, i, u = "", n, int(best[n][1] < best[n][0])
         while i > 0:
-            piece = chunk[back[i] : i]
-            if unknown[i]:
-                run = piece + run
+            j, before = back[i][u]
+            if u:
+                run = chunk[j:i] + run
             else:
                 if run:
                     out.append(run)
                 run = ""
-                out.append(piece)
-            i = back[i]
+                out.append(chunk[j:i])
+            i, u = j, before
         if run:
             out.append(run)
         if len(self.memo) > 100_000:
