@@ -7,6 +7,7 @@ from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -105,7 +106,6 @@ class NetworkModel:
 
     def score_udf(self):
         """Pandas UDF x -> array of state probabilities, for SQL."""
-        import pandas as pd
         from pyspark.sql.functions import pandas_udf
 
         params = self.params
