@@ -718,7 +718,7 @@ def model_selection(spark, d):
 
 def _scenario(name, settings=None):
     def run(spark, d):
-        rows = exp.run_methods(spark, load(spark, d, "events", "event_id"), "event_id", (name,), reps=2, settings=settings)
+        rows = exp.run_methods(spark, load(spark, d, "events", "event_id"), "event_id", (name,), reps=10, settings=settings)
         return measures.summarize_runs(rows)
 
     return run
