@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -38,6 +39,7 @@ class Options:
     normalize: bool = True
     n_restarts: int = 1
     strategy: str = "auto"
+    parallel_states: bool = False  # solve the states' M steps in threads
     refresh: tuple = (2, 5, 9, 14)  # EM steps at which a state's membership may start anew from its own moment
 
 
@@ -247,26 +249,27 @@ def m_step(stats: Stats, before: Params, opt: Options, step: int = 0) -> Params:
     n = max(float(stats.mass.sum()), 1e-12)
     shares = np.maximum(stats.mass / n, 1e-8)
     shares = shares / shares.sum()
-    out = Params(shares, [], [], np.ones(opt.m), opt.density)
-    for j in range(opt.m):
+
+    def solve(j):
         s_j = max(float(stats.mass[j]), 1e-8)
         if s_j < 1e-6 * n:  # a dead state keeps what it had
-            out.w.append(before.w[j])
-            out.omega.append(before.omega[j])
-            out.tau[j] = before.tau[j]
-            continue
+            return before.w[j], before.omega[j], before.tau[j]
         l1 = opt.l1 if opt.penalty_scale == "per_state" else opt.l1 * n / s_j
-        if stats.gram is not None:
-            a = symmetric(stats.gram[j] / s_j)
-            w, omega, tau = solve_state(a, before.w[j], before.omega[j], opt, l1)
-            if step in opt.refresh and opt.density == "residual" and opt.membership_update in ("multiplicative", "disjoint"):
-                w, omega, tau = refreshed(a, (w, omega, tau), opt, l1)
-        else:
-            w, omega, tau = _product_step(stats.product[j] / s_j, float(stats.square[j]) / s_j, before.w[j], opt, l1)
-        out.w.append(w)
-        out.omega.append(omega)
-        out.tau[j] = tau
-    return out
+        if stats.gram is None:
+            return _product_step(stats.product[j] / s_j, float(stats.square[j]) / s_j, before.w[j], opt, l1)
+        a = symmetric(stats.gram[j] / s_j)
+        fitted = solve_state(a, before.w[j], before.omega[j], opt, l1)
+        if step in opt.refresh and opt.density == "residual" and opt.membership_update in ("multiplicative", "disjoint"):
+            fitted = refreshed(a, fitted, opt, l1)
+        return fitted
+
+    if opt.parallel_states and opt.m > 1:
+        with ThreadPoolExecutor(min(opt.m, 8)) as pool:
+            solved = list(pool.map(solve, range(opt.m)))
+    else:
+        solved = [solve(j) for j in range(opt.m)]
+    w, omega, tau = zip(*solved, strict=True)
+    return Params(shares, list(w), list(omega), np.array(tau, dtype=float), opt.density)
 
 
 def _product_step(aw, a_trace, w, opt: Options, l1):

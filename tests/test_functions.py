@@ -157,3 +157,9 @@ def test_label_permutation_leaves_loss():
     q = states.Params(p.shares[::-1], w[::-1], p.omega[::-1], p.tau[::-1])
     assert np.isclose(states.em_pass(x, p, True).nll, states.em_pass(x, q, True).nll)
     assert np.allclose(states.responsibilities(x, p).sum(axis=1), 1)
+
+
+def test_states_in_threads_give_the_same_fit():
+    x = np.random.default_rng(8).normal(size=(200, 6))
+    a, b = (states.fit_local(x, states.Options(m=3, k=2, max_iter=4, parallel_states=p)) for p in (False, True))
+    assert a.loss == b.loss
