@@ -15,10 +15,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from nodeweave.llm import neardup, packing, pii, store, toxicity
+from nodeweave.ship import ship
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the factorization machine doesn't reject; a null text is clean."""
+    ship(spark)
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
     columns = docs.columns
     return toxicity.score(docs, toxicity.train(docs, labels)).filter("predicted = 0").select(*columns)
@@ -26,6 +28,7 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document of least doc_id of each group of near copies (five words, similarity 0.8)."""
+    ship(spark)
     groups = neardup.near_groups(docs).filter(F.col("doc_id") != F.col("component_id")).select("doc_id")
     return docs.join(groups, "doc_id", "left_anti").select(*docs.columns)
 
@@ -41,6 +44,7 @@ def pseudonymise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of all documents in sequences of 2,048 ids."""
+    ship(spark)
     return packing.pack(docs, public_tokenizers.path("byte_bpe_50k.json"))
 
 

@@ -160,6 +160,11 @@ def encoder(path: str, spaced: bool) -> UnitEncoder:
     return _ENCODERS[path, spaced]
 
 
+def forget() -> None:
+    """Free this worker's memos; for operators that need the memory and no tokenizer."""
+    _ENCODERS.clear()
+
+
 def slices(values: list[str], chars: int = 4_000_000):
     """Index ranges of about so many characters, so that a batch of long texts stays small."""
     start = total = 0

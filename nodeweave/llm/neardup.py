@@ -25,6 +25,7 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .encode import forget
 from .simhash import components, half_keys
 from .store import materialize, remove, small_batches, texts
 
@@ -87,6 +88,7 @@ def sketches(docs: DataFrame) -> DataFrame:
         import pyarrow as pa
         from xxhash import xxh3_128_digest
 
+        forget()
         for batch in batches:
             same, fp, keys = [], [], []
             for t in batch.column(1):
@@ -100,10 +102,8 @@ def sketches(docs: DataFrame) -> DataFrame:
     return texts(docs).mapInArrow(run, "doc_id long, same binary, fp long, keys array<long>")
 
 
-def _verified(pairs: DataFrame, docs: DataFrame, least: float) -> DataFrame:
-    """Pairs (a, b) with ``near``: whether their texts are similar. Texts are shuffled for pairs alone."""
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    some = texts(docs).dropDuplicates(["doc_id"]).join(wanted, "doc_id", "left_semi")
+def _verified(pairs: DataFrame, some: DataFrame, least: float) -> DataFrame:
+    """Pairs (a, b) with ``near``: whether their texts (rows of ``some``) are similar."""
     left = pairs.join(some.select(F.col("doc_id").alias("a"), F.col("text").alias("ta")), "a")
     both = left.join(some.select(F.col("doc_id").alias("b"), F.col("text").alias("tb")), "b").select("a", "b", "ta", "tb")
 
@@ -134,6 +134,10 @@ def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rou
     direct = ball_pairs.unionByName(same_print).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
     crowded = windows.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1").select("key")
     open_ = materialize(windows.join(crowded, "key", "left_semi"), "windows")
+    direct = materialize(direct.distinct(), "direct")
+    # texts are shuffled once, for those that may have a near copy; every round works on these
+    wanted = open_.select(F.col("d").alias("doc_id")).unionByName(direct.select(F.explode(F.array("a", "b")).alias("doc_id"))).distinct()
+    some = materialize(texts(docs).join(wanted, "doc_id", "left_semi"), "candidates")
     edges, tried = None, None
     for turn in range(rounds):
         # a bucket's leader: its least text in an order that changes with the round
@@ -145,7 +149,7 @@ def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rou
             pairs = pairs.unionByName(direct).distinct()
         if tried is not None:
             pairs = pairs.join(tried.select("a", "b"), ["a", "b"], "left_anti")
-        checked = materialize(_verified(pairs, docs, least), "checked")
+        checked = materialize(_verified(pairs, some, least).groupBy("a", "b").agg(F.max("near").alias("near")), "checked")
         tried = checked if tried is None else tried.unionByName(checked)
         good = checked.filter("near").select("a", "b")
         edges = good if edges is None else edges.unionByName(good)
@@ -154,9 +158,11 @@ def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rou
         rest = pair_of.join(tried.filter("near").select("a", "b"), ["a", "b"], "left_anti").select("d", "key")
         rest = materialize(rest, "rest")
         remove(led)
+        remove(open_)
         if not rest.limit(1).count():
             break
         open_ = rest
+    remove(some)
     roots = components(edges)
     classes = copies.select("same", "rep").join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("same", F.coalesce("root", "rep").alias("component_id"))
     return made.select("doc_id", "same").join(classes, "same").select("doc_id", "component_id")

@@ -20,7 +20,7 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .encode import slices
+from .encode import forget, slices
 from .store import materialize, remove, small_batches, texts
 
 #: Bound on the labelled sample (rows of least hash), and on the terms of the model.
@@ -165,6 +165,7 @@ def score(docs: DataFrame, model, threshold: float = THRESHOLD) -> DataFrame:
         import numpy as np
         import pyarrow as pa
 
+        forget()
         kept, b, w, v = shared.value
         number = {t: i for i, t in enumerate(kept)}
         clean: set[str] = set()
