@@ -44,6 +44,8 @@ def _pack(delta, width: int):
         return np.zeros((len(delta), 0), dtype=np.uint8)
     top = 8 if width <= 8 else 16 if width <= 16 else 32
     big = delta.astype({8: ">u1", 16: ">u2", 32: ">u4"}[top])
+    if width == top:  # whole bytes
+        return big.view(np.uint8)
     bits = np.unpackbits(big.view(np.uint8).reshape(len(delta), BLOCK, top // 8), axis=2)
     return np.packbits(bits[:, :, top - width :].reshape(len(delta), -1), axis=1)
 
@@ -54,6 +56,8 @@ def _unpack(packed, width: int):
     if width == 0:
         return np.zeros((len(packed), BLOCK), dtype=np.uint32)
     top = 8 if width <= 8 else 16 if width <= 16 else 32
+    if width == top:
+        return np.ascontiguousarray(packed).view({8: ">u1", 16: ">u2", 32: ">u4"}[top]).astype(np.uint32)
     bits = np.unpackbits(packed, axis=1)[:, : BLOCK * width].reshape(len(packed), BLOCK, width)
     wide = np.zeros((len(packed), BLOCK, top), dtype=np.uint8)
     wide[:, :, top - width :] = bits
