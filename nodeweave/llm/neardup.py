@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .encode import forget
-from .simhash import components, half_keys
+from .simhash import BROADCAST_KEYS, components, links
 from .store import materialize, remove, small_batches, texts
 
 SHINGLE, SIMILARITY = 5, 0.8
@@ -103,7 +103,13 @@ def sketches(docs: DataFrame) -> DataFrame:
 
 
 def _verified(pairs: DataFrame, some: DataFrame, least: float) -> DataFrame:
-    """Pairs (a, b) with ``near``: whether their texts (rows of ``some``) are similar."""
+    """Pairs (a, b) with ``near``: whether their texts (rows of ``some``) are similar.
+
+    Few ids are broadcast to pick their texts before any shuffle; beyond BROADCAST_KEYS all texts of ``some`` are shuffled.
+    """
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+    if wanted.count() <= BROADCAST_KEYS:
+        some = some.join(F.broadcast(wanted), "doc_id", "left_semi")
     left = pairs.join(some.select(F.col("doc_id").alias("a"), F.col("text").alias("ta")), "a")
     both = left.join(some.select(F.col("doc_id").alias("b"), F.col("text").alias("tb")), "b").select("a", "b", "ta", "tb")
 
@@ -124,10 +130,7 @@ def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rou
     copies = materialize(copies, "copies")
     windows = copies.select(F.col("rep").alias("d"), F.explode("keys").alias("key"))
     prints = copies.select("fp", F.col("rep").alias("d"))
-    balls = half_keys(prints.select("fp").distinct(), radius)
-    # a window key is a whole SimHash, a ball key half of one: a flag keeps them apart
-    crowd = balls.groupBy("key").agg(F.count("*").alias("n"), F.min("fp").alias("lo"), F.max("fp").alias("hi")).filter("n > 1")
-    met = crowd.filter(F.bit_count(F.col("lo").bitwiseXOR(F.col("hi"))) <= radius).select("lo", "hi").distinct()
+    met = links(prints.select("fp").distinct(), radius).select(F.col("a").alias("lo"), F.col("b").alias("hi"))
     firsts = prints.groupBy("fp").agg(F.min("d").alias("d"))
     ball_pairs = met.join(firsts.select(F.col("fp").alias("lo"), F.col("d").alias("x")), "lo").join(firsts.select(F.col("fp").alias("hi"), F.col("d").alias("y")), "hi").select("x", "y")
     same_print = prints.join(firsts.select("fp", F.col("d").alias("m")), "fp").filter("d <> m").select(F.col("m").alias("x"), F.col("d").alias("y"))
@@ -149,7 +152,9 @@ def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rou
             pairs = pairs.unionByName(direct).distinct()
         if tried is not None:
             pairs = pairs.join(tried.select("a", "b"), ["a", "b"], "left_anti")
+        pairs = materialize(pairs, "pairs")
         checked = materialize(_verified(pairs, some, least).groupBy("a", "b").agg(F.max("near").alias("near")), "checked")
+        remove(pairs)
         tried = checked if tried is None else tried.unionByName(checked)
         good = checked.filter("near").select("a", "b")
         edges = good if edges is None else edges.unionByName(good)

@@ -96,7 +96,6 @@ def links(distinct: DataFrame, radius: int = 4) -> DataFrame:
 
     Not every linked pair is an edge, but each is joined by a path of edges, and every edge is a link.
     """
-    spark = distinct.sparkSession
     keys = half_keys(distinct, radius)
     met = keys.groupBy("key").agg(F.count("*").alias("n"), F.min("fp").alias("lo"), F.max("fp").alias("hi"), F.bit_xor("fp").alias("x")).filter("n > 1")
     met = materialize(met, "met")
@@ -112,7 +111,7 @@ def links(distinct: DataFrame, radius: int = 4) -> DataFrame:
         values = members.select("fp", F.explode(_ball(F.col("fp"), masks(64, radius // 2))).alias("value"))
         least = values.withColumn("a", F.min("fp").over(W.partitionBy("value")))  # at most 2,081 rows a value
         few = few.unionByName(least.filter("a <> fp").select("a", F.col("fp").alias("b")))
-    return few.distinct() if spark else few
+    return few.distinct()
 
 
 def _mark(edges: DataFrame) -> tuple:
