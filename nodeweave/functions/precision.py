@@ -83,7 +83,7 @@ def optimality_residual(p, s, l1, penalize_diagonal=True):
 def joint_precision(moments, l1, l2, penalty="group", weights=None, tol=1e-7, max_iter=1000):
     """Precisions of several groups with a coupling penalty: ``group`` (shared zeros) or ``fused`` (equal values).
 
-    Minimises the sum of weighted likelihood terms plus l1 * sum |P_j| off the diagonal and, with
+    Minimises the sum of weighted likelihood terms plus l1 * sum |P_j| and, with
     ``group``, l2 * the norm over groups of each off-diagonal entry, or with ``fused`` l2 * sum of
     absolute differences between groups.
     """
@@ -98,7 +98,7 @@ def joint_precision(moments, l1, l2, penalty="group", weights=None, tol=1e-7, ma
         p = np.stack([_prox_logdet(z[j] - u[j] - w[j] * s[j] / rho, rho / w[j]) for j in range(m)])
         before, a = z, p + u
         if penalty == "group":
-            z = np.where(off, soft_threshold(a, l1 / rho), soft_threshold(a, l1 / rho))
+            z = soft_threshold(a, l1 / rho)
             norm = np.sqrt((z**2).sum(axis=0))
             shrink = np.maximum(1 - (l2 / rho) / np.maximum(norm, 1e-300), 0.0)
             z = np.where(off, z * shrink, z)

@@ -94,8 +94,13 @@ def soft_start(ids, m, seed, hi=0.9):
     """Weight ``hi`` on the random class, the rest shared equally; one for a single state."""
     if m == 1:
         return np.ones((len(ids), 1))
-    r = np.full((len(ids), m), (1 - hi) / (m - 1))
-    r[np.arange(len(ids)), soft_class(ids, m, seed)] = hi
+    return weighted_start(soft_class(ids, m, seed), m, hi)
+
+
+def weighted_start(label, m, hi):
+    """Responsibilities with ``hi`` on the given class (two states or more)."""
+    r = np.full((len(label), m), (1 - hi) / (m - 1))
+    r[np.arange(len(label)), label] = hi
     return r
 
 
@@ -286,7 +291,7 @@ def _product_step(aw, a_trace, w, opt: Options, l1):
     eff = omega - np.eye(len(omega)) / tau if opt.density == "residual" else omega
     new = mem.apply_ratio(w, *mem.ratio_from_product(w, aw, eff), opt.normalize)
     if opt.membership_update in ("disjoint", "hard"):
-        new = (mem.disjoint if opt.membership_update == "disjoint" else mem.hard)(new + opt.offset / np.sqrt(p) * 0)
+        new = (mem.disjoint if opt.membership_update == "disjoint" else mem.hard)(new)
     if max_overlap(new) > opt.max_overlap or not np.isfinite(new).all():
         new = w
     return new, omega, tau
@@ -308,7 +313,7 @@ def penalty(params: Params, mass, opt: Options) -> float:
     return 0.5 * opt.l1 * float(sum(s * np.abs(o).sum() for s, o in zip(scale, params.omega, strict=True)))
 
 
-def fit_loop(run_pass, opt: Options, w0=None, start_resp=None) -> Fit:
+def fit_loop(run_pass, opt: Options, w0=None) -> Fit:
     """EM over a pass function: run_pass(params or None, gram, seed) gives the sums under params, or under the start.
 
     The loss at the parameters of step t comes with the pass of step t + 1, at no extra cost.
@@ -336,13 +341,12 @@ def fit_loop(run_pass, opt: Options, w0=None, start_resp=None) -> Fit:
     return Fit(good, float(loss), trace, stats.mass)
 
 
-def local_pass(x, ids, opt: Options, start_resp=None):
+def local_pass(x, ids, opt: Options):
     """Pass function over a matrix in memory."""
 
     def run(params, gram, seed):
         if params is None:
-            r = start_resp if start_resp is not None else start(x, ids, opt, seed)
-            return sums(x, r, 0.0, None, True)
+            return sums(x, start(x, ids, opt, seed), 0.0, None, True)
         return em_pass(x, params, gram)
 
     return run
@@ -350,10 +354,7 @@ def local_pass(x, ids, opt: Options, start_resp=None):
 
 def start(x, ids, opt: Options, seed):
     if opt.init == "kmeans" and opt.m > 1:
-        label = kmeans(x, opt.m, seed)[0]
-        r = np.full((len(x), opt.m), (1 - opt.hi) / (opt.m - 1))
-        r[np.arange(len(x)), label] = opt.hi
-        return r
+        return weighted_start(kmeans(x, opt.m, seed)[0], opt.m, opt.hi)
     return soft_start(ids, opt.m, seed, opt.hi)
 
 

@@ -33,6 +33,8 @@ class StateNetworkMixture:
         p = moments.assert_uniform_length(signals)
         strategy = opt.strategy if opt.strategy != "auto" else choose_strategy(None, p, opt.k, opt.m, opt.moment_mode)
         opts = [Options(**{**opt.__dict__, "seed": opt.seed + i, "strategy": strategy}) for i in range(max(1, opt.n_restarts))]
+        if opt.init == "kmeans" and opt.m > 1:
+            signals = kmeans_groups(signals.select("sample_id", "x"), opt.m, opt.seed).withColumnRenamed("state", "start_state").persist()
         fits = _stacked(signals, opts, self.w0)
         best = min(fits, key=lambda f: f.loss)
         return NetworkModel(best.params, best.mass, best.loss, best.trace, {k: (list(v) if isinstance(v, tuple) else v) for k, v in opt.__dict__.items()} | {"p": p, "strategy": strategy})

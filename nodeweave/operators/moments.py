@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.states import Options, Params, Stats, em_pass, soft_start, sums
+from ..functions.states import Options, Params, Stats, em_pass, soft_start, sums, weighted_start
 
 #: Numbers in one tile of a flattened sum; bounds the rows that the merge handles.
 TILE = 1 << 16
@@ -120,8 +120,12 @@ def grouped_moments(signals: DataFrame, groups: int, column: str = "state") -> l
 
 
 def state_passes(signals: DataFrame, params: list[Params | None], opts: list[Options], use_gram: bool) -> list[Stats]:
-    """Sums of one pass for several restarts at once; None stands for the soft random start."""
+    """Sums of one pass for several restarts at once.
+
+    None stands for the start: soft random states, or the column start_state if the signals have it.
+    """
     spark = signals.sparkSession
+    grouped = "start_state" in signals.columns
     shared = spark.sparkContext.broadcast((params, opts))  # states x p x k numbers, whatever the samples
 
     def make(batch):
@@ -129,13 +133,15 @@ def state_passes(signals: DataFrame, params: list[Params | None], opts: list[Opt
         ids, x = batch.column(0).to_numpy(), batch_matrix(batch.column(1))
         out = {}
         for slot, (p, o) in enumerate(zip(ps, os_, strict=True)):
-            if p is None:
+            if p is None and grouped and o.m > 1:
+                out[slot] = sums(x, weighted_start(batch.column(2).to_numpy(), o.m, o.hi), 0.0, None, True).flat()
+            elif p is None:
                 out[slot] = sums(x, soft_start(ids, o.m, o.seed, o.hi), 0.0, None, True).flat()
             else:
                 out[slot] = em_pass(x, p, use_gram).flat()
         return out
 
-    got = run_sums(signals, make, ["sample_id", "x"])
+    got = run_sums(signals, make, ["sample_id", "x", *(["start_state"] if grouped else [])])
     shared.unpersist()
     out = []
     for slot, (p, o) in enumerate(zip(params, opts, strict=True)):

@@ -116,3 +116,9 @@ def test_language_states_beat_the_majority(spark, sf):
     _, scored = exp.language_workload(spark, sf, max_iter=8, n_restarts=2)
     majority = max(r["count"] for r in scored.groupBy("lang").count().collect()) / scored.count()
     assert measures.purity(scored, "state_hat", "lang").first()[0] >= majority
+
+
+def test_kmeans_start(spark):
+    rows = plant_signals(spark.range(200).withColumnRenamed("id", "sample_id"), plant_truth(2, 3, 12, 0)).persist()
+    model = est.StateNetworkMixture(2, 3, init="kmeans", max_iter=3).fit(rows)
+    assert np.isfinite(model.loss) and np.isclose(model.params.shares.sum(), 1)
