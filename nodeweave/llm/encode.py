@@ -162,7 +162,8 @@ def encoder(path: str, spaced: bool) -> UnitEncoder:
 
 def forget() -> None:
     """Free this worker's memos; for operators that need the memory and no tokenizer."""
-    _ENCODERS.clear()
+    for e in _ENCODERS.values():
+        e.units, e.words = {}, {}
 
 
 def slices(values: list[str], chars: int = 4_000_000):

@@ -116,6 +116,7 @@ def _verified(pairs: DataFrame, some: DataFrame, least: float) -> DataFrame:
     def run(batches) -> Iterator:
         import pyarrow as pa
 
+        forget()
         for batch in batches:
             near = [similarity(x.as_py(), y.as_py()) >= least for x, y in zip(batch.column(2), batch.column(3), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(near, pa.bool_())], names=["a", "b", "near"])

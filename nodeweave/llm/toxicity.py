@@ -33,7 +33,7 @@ PREFIXES = (3, 4, 5, 6, 7)
 FACTORS = 6
 THRESHOLD = 0.3
 _WORD = re.compile(r"\w+")
-MEMO = 800_000
+MEMO = 600_000
 
 
 def terms(unit: str) -> set[int]:
@@ -104,20 +104,21 @@ def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, held
         import numpy as np
         import pyarrow as pa
 
-        tally = np.zeros((2, SPACE), dtype=np.int64)
-        memo: dict[str, set[int]] = {}
+        forget()
+        tally = np.zeros((2, SPACE), dtype=np.int32)
+        memo: dict[str, tuple[int, ...]] = {}
         for batch in batches:
             for y, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 got: set[int] = set()
                 for u in set(text.lower().split()):
                     if u not in memo:
-                        memo[u] = terms(u)
-                    got |= memo[u]
-                if len(memo) > 100_000:
+                        memo[u] = tuple(terms(u))
+                    got.update(memo[u])
+                if len(memo) > 50_000:
                     memo.clear()
                 tally[y, list(got)] += 1
         seen = np.flatnonzero(tally.sum(axis=0))
-        yield pa.RecordBatch.from_arrays([pa.array(seen), pa.array(tally[0, seen]), pa.array(tally[1, seen])], names=["term", "clean", "toxic"])
+        yield pa.RecordBatch.from_arrays([pa.array(seen), *(pa.array(tally[y, seen].astype(np.int64)) for y in (0, 1))], names=["term", "clean", "toxic"])
 
     labels_n = {r["toxic"]: r["n"] for r in sample.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
     n0, n1 = labels_n.get(0, 0), labels_n.get(1, 0)
@@ -136,6 +137,7 @@ def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, held
     def reduce(batches) -> Iterator:
         import pyarrow as pa
 
+        forget()
         for batch in batches:
             rows = []
             for text in batch.column(1).to_pylist():
