@@ -12,7 +12,8 @@ miss many such pairs (at 0.8 about ten of 64 bits differ), so candidates come fr
 Every candidate pair is verified on the full shingle sets. In a bucket of texts with one key each
 is compared with a leader, not with all others: the work is linear in the bucket. Those that are
 not near their leader meet again under other leaders, for ``ROUNDS`` rounds; as near copies
-share many buckets, groups come together over several paths.
+share many buckets, groups come together over several paths. Texts of buckets that still hold several groups then
+go to an exact join over their rarest shingles (:func:`prefix_pairs`), so no pair that shares a bucket is left out.
 
 Exact copies (equal word sequences) are collapsed first. Null texts are empty; texts without words are exact
 copies of each other. Other columns are ignored; an empty table gives no rows.
@@ -20,6 +21,7 @@ copies of each other. Other columns are ignored; an empty table gives no rows.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 from pyspark.sql import DataFrame
@@ -32,6 +34,10 @@ from .store import materialize, remove, small_batches, texts
 SHINGLE, SIMILARITY = 5, 0.8
 ANCHORS, REACH = 8, 6
 ROUNDS = 3
+#: Texts of up to so many distinct shingles are joined exactly, whatever their windows.
+SHORT = 80
+#: Hash buckets of the shingle counts, and rows of a block of a common prefix shingle.
+BUCKETS, BLOCK = 1 << 18, 256
 
 
 def shingle_hashes(words: list[bytes], n: int = SHINGLE):
@@ -43,13 +49,13 @@ def shingle_hashes(words: list[bytes], n: int = SHINGLE):
     return np.unique(np.frombuffer(b"".join(got), ">u8").astype(np.uint64)) if got else np.zeros(0, np.uint64)
 
 
-def window_keys(words: list[bytes], anchors: int = ANCHORS, reach: int = REACH) -> tuple[bytes, list[int]]:
-    """The whole text's SimHash and the SimHashes of the windows around its least shingle hashes."""
+def window_keys(words: list[bytes], anchors: int = ANCHORS, reach: int = REACH) -> tuple[bytes, list[int], int]:
+    """The whole text's SimHash, the SimHashes of the windows around its least shingle hashes, and its number of shingles."""
     import numpy as np
     from xxhash import xxh64_digest
 
     if not words:
-        return bytes(8), []
+        return bytes(8), [], 0
     n = max(1, len(words) - SHINGLE + 1)
     joined = b" ".join(words)
     ends = np.cumsum([len(w) + 1 for w in words])
@@ -68,7 +74,7 @@ def window_keys(words: list[bytes], anchors: int = ANCHORS, reach: int = REACH)
         some = raw[max(0, p - reach) : p + reach + 1]
         bits = np.packbits(np.unpackbits(some, axis=1).sum(axis=0, dtype=np.int64) * 2 > len(some)).tobytes()
         keys.add(int.from_bytes(bits, "big", signed=True))
-    return whole, sorted(keys)
+    return whole, sorted(keys), len(first)
 
 
 def similarity(a: str, b: str) -> float:
@@ -81,7 +87,7 @@ def similarity(a: str, b: str) -> float:
 
 
 def sketches(docs: DataFrame) -> DataFrame:
-    """doc_id, same (hash of the word sequence), fp (whole SimHash), keys (window SimHashes)."""
+    """doc_id, same (hash of the word sequence), fp (whole SimHash), keys (window SimHashes), size (distinct shingles)."""
     small_batches(docs.sparkSession)
 
     def run(batches) -> Iterator:
@@ -90,16 +96,17 @@ def sketches(docs: DataFrame) -> DataFrame:
 
         forget()
         for batch in batches:
-            same, fp, keys = [], [], []
+            same, fp, keys, size = [], [], [], []
             for t in batch.column(1):
                 words = t.as_py().encode("utf-8", "replace").lower().split()
-                whole, some = window_keys(words)
+                whole, some, n = window_keys(words)
                 same.append(xxh3_128_digest(b" ".join(words)))
                 fp.append(int.from_bytes(whole, "big", signed=True))
                 keys.append(some)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(same, pa.binary()), pa.array(fp, pa.int64()), pa.array(keys, pa.list_(pa.int64()))], names=["doc_id", "same", "fp", "keys"])
+                size.append(n)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(same, pa.binary()), pa.array(fp, pa.int64()), pa.array(keys, pa.list_(pa.int64())), pa.array(size, pa.int32())], names=["doc_id", "same", "fp", "keys", "size"])
 
-    return texts(docs).mapInArrow(run, "doc_id long, same binary, fp long, keys array<long>")
+    return texts(docs).mapInArrow(run, "doc_id long, same binary, fp long, keys array<long>, size int")
 
 
 def _verified(pairs: DataFrame, some: DataFrame, least: float) -> DataFrame:
@@ -124,10 +131,77 @@ def _verified(pairs: DataFrame, some: DataFrame, least: float) -> DataFrame:
     return both.mapInArrow(run, "a long, b long, near boolean")
 
 
+def _tally(some: DataFrame) -> bytes:
+    """Counts of shingles by hash bucket, as int32; those seen once in a task are left out, as only an order is wanted."""
+    import numpy as np
+
+    def run(batches) -> Iterator:
+        import pyarrow as pa
+
+        forget()
+        tally = np.zeros(BUCKETS, dtype=np.int64)
+        for batch in batches:
+            for t in batch.column(1):
+                at = shingle_hashes(t.as_py().encode("utf-8", "replace").lower().split()) % np.uint64(BUCKETS)
+                np.add.at(tally, at.astype(np.int64), 1)
+        seen = np.flatnonzero(tally > 1)
+        yield pa.RecordBatch.from_arrays([pa.array(seen.astype(np.int32)), pa.array(tally[seen])], names=["bucket", "n"])
+
+    sums = some.select("doc_id", "text").mapInArrow(run, "bucket int, n long").groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()
+    out = np.zeros(BUCKETS, dtype=np.int32)  # BUCKETS rows at most reach the driver
+    out[sums.column(0).to_numpy()] = np.minimum(sums.column(1).to_numpy(), 2**31 - 1)
+    return out.tobytes()
+
+
+def prefix_pairs(some: DataFrame, group: DataFrame, least: float = SIMILARITY) -> DataFrame:
+    """Candidate pairs (a, b) of ``some`` (doc_id, text): every pair of similarity ``least`` or more whose
+    members have not the same ``root`` in ``group`` (doc_id, root) is among them.
+
+    In any one order of all shingles, two such texts have one in common among the first n - least n + 1 of their n.
+    Here the rare go first, so passages that many texts share are in few of these prefixes. Pairs whose
+    lengths, or the shingles left after the common one, can't reach ``least`` are dropped. A shingle in many prefixes is
+    dealt to pairs of blocks of ``BLOCK`` rows.
+    """
+    shared = some.sparkSession.sparkContext.broadcast(_tally(some))
+
+    def run(batches) -> Iterator:
+        import numpy as np
+        import pyarrow as pa
+
+        forget()
+        count = np.frombuffer(shared.value, np.int32)
+        for batch in batches:
+            size, first = [], []
+            for t in batch.column(1):
+                h = shingle_hashes(t.as_py().encode("utf-8", "replace").lower().split())
+                n = len(h)
+                take = n - math.ceil(least * n - 1e-9) + 1 if n else 0
+                first.append(h[np.lexsort((h, count[(h % np.uint64(BUCKETS)).astype(np.int64)]))[:take]].view(np.int64))
+                size.append(n)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size, pa.int32()), pa.array(first, pa.list_(pa.int64()))], names=["d", "n", "first"])
+
+    heads = some.select("doc_id", "text").mapInArrow(run, "d long, n int, first array<long>")
+    heads = heads.join(group.select(F.col("doc_id").alias("d"), "root"), "d", "left").withColumn("root", F.coalesce("root", "d"))
+    rows = materialize(heads.select("d", "n", "root", F.posexplode("first").alias("i", "h")), "prefixes")
+    mixed = rows.groupBy("h").agg(F.count("*").alias("m"), F.min("root").alias("r0"), F.max("root").alias("r1")).filter("r0 <> r1")
+    blocks = mixed.select("h", F.ceil(F.col("m") / BLOCK).cast("int").alias("blocks"))
+    dealt = rows.join(blocks, "h").withColumn("own", F.pmod(F.xxhash64("d"), F.col("blocks")).cast("int"))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.select("h", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "own", "d", "n", "i", "root")
+    x, y = (dealt.select("h", "lo", "hi", *[F.col(c).alias(f"{c}_{s}") for c in ("own", "d", "n", "i", "root")]) for s in "xy")
+    met = x.join(y, ["h", "lo", "hi"]).filter("d_x < d_y and root_x <> root_y and (lo = hi or own_x <> own_y)")
+    fits = F.least("n_x", "n_y") >= F.lit(least) * F.greatest("n_x", "n_y") - 1e-9
+    left = F.least(F.col("n_x") - F.col("i_x"), F.col("n_y") - F.col("i_y"))
+    reach = left >= F.lit(least / (1 + least)) * (F.col("n_x") + F.col("n_y")) - 1e-9
+    pairs = materialize(met.filter(fits & reach).select(F.col("d_x").alias("a"), F.col("d_y").alias("b")).distinct(), "prefix-pairs")
+    remove(rows)
+    return pairs
+
+
 def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rounds: int = ROUNDS) -> DataFrame:
     """doc_id and component_id (least doc_id of the group) of every document."""
     made = materialize(sketches(docs), "sketches")
-    copies = made.groupBy("same").agg(F.min("doc_id").alias("rep"), F.first("fp").alias("fp"), F.first("keys").alias("keys"))
+    copies = made.groupBy("same").agg(F.min("doc_id").alias("rep"), F.first("fp").alias("fp"), F.first("keys").alias("keys"), F.first("size").alias("size"))
     copies = materialize(copies, "copies")
     windows = copies.select(F.col("rep").alias("d"), F.explode("keys").alias("key"))
     prints = copies.select("fp", F.col("rep").alias("d"))
@@ -137,7 +211,8 @@ def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rou
     same_print = prints.join(firsts.select("fp", F.col("d").alias("m")), "fp").filter("d <> m").select(F.col("m").alias("x"), F.col("d").alias("y"))
     direct = ball_pairs.unionByName(same_print).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
     crowded = windows.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1").select("key")
-    open_ = materialize(windows.join(crowded, "key", "left_semi"), "windows")
+    shared = materialize(windows.join(crowded, "key", "left_semi"), "windows")
+    open_ = shared
     direct = materialize(direct.distinct(), "direct")
     # texts are shuffled once, for those that may have a near copy; every round works on these
     wanted = open_.select(F.col("d").alias("doc_id")).unionByName(direct.select(F.explode(F.array("a", "b")).alias("doc_id"))).distinct()
@@ -164,11 +239,23 @@ def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rou
         rest = pair_of.join(tried.filter("near").select("a", "b"), ["a", "b"], "left_anti").select("d", "key")
         rest = materialize(rest, "rest")
         remove(led)
-        remove(open_)
+        if turn:
+            remove(open_)
         if not rest.limit(1).count():
             break
         open_ = rest
-    remove(some)
-    roots = components(edges)
+    roots = materialize(components(edges), "roots")
+    # a bucket whose members are not all in one group by now may hold pairs that no leader has shown
+    placed = shared.join(roots.withColumnRenamed("node", "d"), "d", "left").select("key", "d", F.coalesce("root", "d").alias("root"))
+    placed = materialize(placed, "placed")
+    unlike = placed.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).filter("r0 <> r1").select("key")
+    unsettled = placed.join(unlike, "key", "left_semi").select(F.col("d").alias("doc_id")).distinct()
+    pairs = prefix_pairs(some.join(unsettled, "doc_id", "left_semi"), roots.withColumnRenamed("node", "doc_id"), least)
+    pairs = pairs.join(tried.select("a", "b"), ["a", "b"], "left_anti")
+    more = materialize(_verified(pairs, some, least).filter("near").select("a", "b"), "more")
+    for used in (some, placed, shared):
+        remove(used)
+    if more.limit(1).count():
+        roots = components(edges.unionByName(more).distinct())
     classes = copies.select("same", "rep").join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("same", F.coalesce("root", "rep").alias("component_id"))
     return made.select("doc_id", "same").join(classes, "same").select("doc_id", "component_id")
