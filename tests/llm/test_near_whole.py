@@ -48,3 +48,23 @@ def test_pairs_in_a_bucket_of_hundreds(spark):
     want = brute_groups(texts)
     assert len(set(want.values())) == 200
     assert found(spark, texts) == want
+
+
+def test_pairs_of_short_texts(spark):
+    """A word added before and after, or one changed, at 9 to 30 words; and similarities just above and below 0.8."""
+    rng = random.Random(12)
+    texts = {}
+    for n in (9, 12, 14, 16, 18, 20, 24, 30):
+        for _ in range(30):
+            base = prose(rng, n)
+            texts[len(texts)] = " ".join(base)
+            texts[len(texts)] = " ".join(["before", *base, "after"])
+    for n in (9, 19, 30):
+        for _ in range(10):
+            base = prose(rng, n)
+            texts[len(texts)] = " ".join(base)
+            texts[len(texts)] = " ".join([*base, "after"])
+    want = brute_groups(texts)
+    pairs = sum(i != r for i, r in want.items())
+    assert pairs >= 220
+    assert found(spark, texts) == want
