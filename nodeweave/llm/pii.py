@@ -25,7 +25,7 @@ ROUNDS = 10
 # Formats of personal data. Each starts where no letter or digit precedes (START).
 START = r"(?<![\p{L}\p{N}_])"
 MAIL = r"(?<![.%+-])[\p{L}\p{N}._%+-]{1,64}+@(?:[\p{L}\p{N}-]{1,63}\.){1,8}\p{L}{2,24}"
-SECRET = r"(?i:password|passwd|pwd|token|secret|api[_-]?key|access[_-]?key)\s{0,3}[=:]\s{0,3}[\"']?[^\s\"'|,;]{8,200}"
+SECRET = r"(?i:password|passwd|pwd|token|secret|api[_-]?key|access[_-]?key)\s{0,3}[=:]\s{0,3}[\"']?[^\s\"'|,;]{8,}+"
 ACCESS_KEY = r"A[KS]IA[0-9A-Z]{16}(?![\p{L}\p{N}])"
 ACCOUNT = r"[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![\p{L}\p{N}])"
 ADDRESS = r"(?<!\.)(?:(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)\.){3}(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)(?!\d|\.\d)"

@@ -1,0 +1,19 @@
+"""Secrets of any length are replaced to their end."""
+
+import random
+import re
+
+from nodeweave.llm import pii
+
+
+def test_long_secrets_leave_nothing(spark):
+    rng = random.Random(1)
+    signs = "abcdefghijkmnopqrstuvwxyzABCDEFGHJKLMNPQRSTUVWXYZ23456789._-+/"
+    made = ["".join(rng.choice(signs) for _ in range(n)) for n in (8, 199, 200, 201, 600, 20_000)]
+    made.append(made[4][:-1] + "!")  # differs from another at its end only
+    texts = [f'say token="{m}", then' for m in made]
+    rows = pii.pseudonymise(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).orderBy("doc_id").collect()
+    for m, r in zip(made, rows, strict=True):
+        assert re.fullmatch(r'say token="[0-9a-f]{40}", then', r["text"])
+        assert m[-8:] not in r["text"] and r["n_values"] == 1 and r["kinds"] == ["secret"]
+    assert len({r["text"] for r in rows}) == len(made)
