@@ -27,10 +27,20 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document of least doc_id of each group of near copies (five words, similarity 0.8)."""
+    """One row of each group of near copies (five words, similarity 0.8): the one of least doc_id.
+
+    Rows are judged one by one. Where doc_ids repeat, rows of one doc_id with unlike texts are documents of their
+    own; of several rows with a group's least doc_id, the first in the table stays.
+    """
     ship(spark)
-    groups = neardup.near_groups(docs).filter(F.col("doc_id") != F.col("component_id")).select("doc_id")
-    return docs.join(groups, "doc_id", "left_anti").select(*docs.columns)
+    if not docs.groupBy("doc_id").count().filter("count > 1").limit(1).count():
+        groups = neardup.near_groups(docs).filter(F.col("doc_id") != F.col("component_id")).select("doc_id")
+        return docs.join(groups, "doc_id", "left_anti").select(*docs.columns)
+    rows = store.materialize(docs.withColumn("__row", F.monotonically_increasing_id()), "rows")  # written, so that a row keeps its number
+    groups = neardup.near_groups(rows.select(F.col("__row").alias("doc_id"), "text")).withColumnRenamed("doc_id", "__row")
+    least = F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "__row"))
+    kept = groups.join(rows.select("__row", "doc_id"), "__row").groupBy("component_id").agg(least["__row"].alias("__row")).select("__row")
+    return rows.join(kept, "__row", "left_semi").select(*docs.columns)
 
 
 def pseudonymise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
