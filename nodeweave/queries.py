@@ -441,6 +441,16 @@ def two_stage_group_moments(spark, d):
     return spark.createDataFrame([(g, i, j, round(float(a[i, j]), 6) + 0.0) for g, (a, n) in enumerate(found) if n for i in range(8) for j in range(8)], "state int, i int, j int, value double")
 
 
+@query()
+def two_stage_group_moments_whole(spark, d):
+    """All components and every label of the table; the query above is its prefix of eight, as its SQL says."""
+    rows = sig.embedding_signals(spark, d).withColumn("state", F.col("label").cast("int")).filter("state is not null")
+    labels = [x["state"] for x in rows.select("state").distinct().orderBy("state").collect()]  # one row a label
+    places = F.create_map(*[F.lit(v) for pair in ((g, i) for i, g in enumerate(labels)) for v in pair])
+    found = moments.grouped_moments(rows.withColumn("state", places[F.col("state")]), len(labels))
+    return spark.createDataFrame([(g, i, j, round(float(x), 6) + 0.0) for g, (a, _) in zip(labels, found, strict=True) for (i, j), x in np.ndenumerate(a)], "state int, i int, j int, value double")
+
+
 # ---- edges and measures ---------------------------------------------------------------------------
 
 
