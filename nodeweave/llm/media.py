@@ -6,6 +6,9 @@ everything is computed from what was read: short-time Fourier transforms, the st
 each band and frame, and pairs of peaks close in time. A pair is one long: the earlier peak's
 frame, both bins and the frames between them, so an array of pairs is a time-coded landmark list.
 
+Frames do not overlap. A text of up to 512 bytes has one frame and so no pairs: its feature is the single bins, which
+unlike texts can share.
+
 Null texts are empty (64 zero bytes). Equal texts give equal values. Other columns are ignored;
 an empty table gives no rows.
 """
