@@ -1,14 +1,17 @@
 """Operator 7, toxicity: a factorization machine over hashed terms.
 
-Terms are a document's distinct lower-cased words and their prefixes of 3 to 7 letters, hashed.
-From a bounded sample of labelled rows, terms are counted by label in a Spark aggregate, and those
-that tell the labels apart best are kept. A machine with linear weights and factor vectors is
-fitted on the driver to the kept terms of the sample, so two terms that mean little alone can
-mean much together. Scores are map-only over whole texts; the model is bounded by ``TERMS``.
-
-Null and empty texts get the score of a document without terms. Without usable labels the score
-is 0.5 times the prior of nothing: 0.0 for every row. Labels, lang, source and doc_id are no inputs. Repeated
-rows score alike; other columns are ignored; an empty table gives no rows.
+Terms are a document's distinct lower-cased words and their prefixes of 3 to 7 letters, hashed into
+``SPACE`` buckets. The machine has a weight and a factor vector for every bucket; none is left out for
+having no effect alone, so two terms that mean little apart can mean much together. It is learned
+from a bounded sample of labelled rows in small batches, ``ROUNDS`` times through, by one task on an executor (changes
+of tasks side by side, added or averaged, gave worse machines). Weights and factors follow a proximal rule
+that holds them at zero until the evidence of many rows outgrows a threshold (for a factor vector by
+its norm), so the machine that is broadcast for scoring is small. Scores are map-only over whole texts.
+
+Null and empty texts get the score of a document without terms. Without usable labels of both classes there
+is no machine and every row scores 0.0. Labels, lang, source and doc_id are no inputs. Repeated rows score alike
+(for learning, rows of one doc_id in the sample each count); other columns are ignored; an empty
+table gives no rows. Texts of any length are read whole.
 """
 
 from __future__ import annotations
@@ -16,6 +19,7 @@ from __future__ import annotations
 import re
 import zlib
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -23,15 +27,14 @@ from pyspark.sql import functions as F
 from .encode import forget, slices
 from .store import materialize, remove, small_batches, texts
 
-#: Bound on the labelled sample (rows of least hash), and on the terms of the model.
+#: Bound on the labelled sample (rows of least hash).
 TRAIN_ROWS = 20_000
-TERMS = 1024
-#: Least two-sample z of a kept term's presence.
-LEAST_Z = 5.0
-SPACE = 1 << 20
+SPACE = 1 << 18
 PREFIXES = (3, 4, 5, 6, 7)
-FACTORS = 6
+FACTORS = 4
 THRESHOLD = 0.3
+#: Times through the sample.
+ROUNDS = 5
 _WORD = re.compile(r"\w+")
 MEMO = 600_000
 
@@ -45,70 +48,113 @@ def terms(unit: str) -> set[int]:
     return out
 
 
-def fit_machine(rows: list, labels: list[int], size: int, factors: int = FACTORS, steps: int = 300, seed: int = 7, part: int = 100_000):
-    """(bias, weights, factor vectors) of least regularised logistic loss; rows hold indices below ``size``.
+@dataclass(frozen=True)
+class Learning:
+    """Thresholds and rates of the weights (l1, rate) and of the factors (l1_factors, rate_factors)."""
+
+    l1: float = 5.0
+    rate: float = 0.3
+    l1_factors: float = 15.0
+    rate_factors: float = 0.1
+    batch: int = 32
+    start: float = 0.02
+
 
-    Gradients are summed over parts of about ``part`` indices, which bounds memory.
+class Machine:
+    """Sums of the proximal rule per bucket, from which weights and factors follow.
+
+    ``z`` and ``n`` are the sums of gradients (less the rule's own correction) and of their squares. Factors begin at a
+    fixed pattern of plus and minus ``start``, as all-zero factors have no gradient.
     """
-    import numpy as np
 
-    rng = np.random.default_rng(seed)
-    n = len(labels)
-    parts, some, held = [], [], 0
-    for i in range(n):
-        some.append(i)
-        held += len(rows[i])
-        if held >= part or i == n - 1:
-            at = np.concatenate([np.asarray(rows[j], dtype=np.int32) for j in some])
-            of = np.repeat(np.arange(len(some), dtype=np.int32), [len(rows[j]) for j in some])
-            parts.append((at, of, np.array([labels[j] for j in some], dtype=np.float64)))
-            some, held = [], 0
-    share = float(np.clip(np.mean(labels) if n else 0.5, 1e-4, 1 - 1e-4))
-    values = [np.log(share / (1 - share)), np.zeros(size), rng.normal(0, 0.05, (size, factors))]
-    first, second = [0.0 * x for x in values], [0.0 * x for x in values]
-
-    def by(index, x, length):
-        return np.stack([np.bincount(index, x[:, k], minlength=length) for k in range(x.shape[1])], axis=1)
-
-    for t in range(1, steps + 1):
-        b, w, v = values
-        grads = [0.0, 1e-4 * w, 1e-4 * v]
-        for at, of, y in parts:
-            own, rows_n = v[at], len(y)
-            s = by(of, own, rows_n)
-            z = b + np.bincount(of, w[at], minlength=rows_n) + 0.5 * (s**2 - by(of, own**2, rows_n)).sum(axis=1)
-            g = (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y) / n
-            grads[0] += g.sum()
-            grads[1] = grads[1] + np.bincount(at, g[of], minlength=size)
-            grads[2] = grads[2] + by(at, g[of, None] * (s[of] - own), size)
-        for i, d in enumerate(grads):
-            first[i] = 0.9 * first[i] + 0.1 * d
-            second[i] = 0.999 * second[i] + 0.001 * d * d
-            values[i] = values[i] - 0.05 * (first[i] / (1 - 0.9**t)) / (np.sqrt(second[i] / (1 - 0.999**t)) + 1e-8)
-    return float(values[0]), values[1], values[2]
-
-
-def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, held_out: bool = True):
-    """Fit on labelled rows outside the held-out quarter; returns (kept terms in order, bias, weights, factors) or None."""
+    def __init__(self, prior: float, learning: Learning = Learning(), factors: int = FACTORS):
+        import numpy as np
+
+        self.learning = learning
+        self.bias = np.array([np.log(prior / (1 - prior)), 0.0])
+        self.z, self.n = np.zeros(SPACE, np.float32), np.zeros(SPACE, np.float32)
+        self.zv, self.nv = np.zeros((SPACE, factors), np.float32), np.zeros(SPACE, np.float32)
+        self.begin = np.random.default_rng(7).choice(np.array([-learning.start, learning.start], np.float32), (SPACE, factors))
+
+    def weights(self, at):
+        import numpy as np
+
+        o, z = self.learning, self.z[at]
+        return np.where(np.abs(z) <= o.l1, 0, -(z - np.sign(z) * np.float32(o.l1)) * np.float32(o.rate) / (1 + np.sqrt(self.n[at])))
+
+    def factors(self, at):
+        """Learned factors, without their beginning."""
+        import numpy as np
+
+        o, z = self.learning, self.zv[at]
+        norm = np.sqrt((z * z).sum(axis=1))
+        keep = np.maximum(1 - np.float32(o.l1_factors) / np.maximum(norm, np.float32(1e-9)), 0)
+        return -z * (keep * np.float32(o.rate_factors) / (1 + np.sqrt(self.nv[at])))[:, None]
+
+    def learn(self, rows: list, labels, order) -> None:
+        """One way through the rows (arrays of buckets) in this order."""
+        import numpy as np
+
+        o = self.learning
+        for i in range(0, len(order), o.batch):
+            some = [j for j in order[i : i + o.batch] if len(rows[j])]
+            if not some:
+                continue
+            sizes = np.array([len(rows[j]) for j in some])
+            starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
+            of = np.repeat(np.arange(len(some)), sizes)
+            at, inside = np.unique(np.concatenate([rows[j] for j in some]), return_inverse=True)
+            w, learned = self.weights(at), self.factors(at)
+            v = self.begin[at] + learned
+            own = v[inside]
+            s = np.add.reduceat(own, starts, axis=0)
+            logit = self.bias[0] + np.add.reduceat(w[inside], starts) + 0.5 * ((s * s).sum(axis=1) - np.add.reduceat((own * own).sum(axis=1), starts))
+            g = 1 / (1 + np.exp(-np.clip(logit, -30, 30))) - labels[some]
+            self.bias[1] += g.sum() ** 2
+            self.bias[0] -= 0.1 * g.sum() / np.sqrt(self.bias[1] + 1)
+            gw = np.bincount(inside, g[of], len(at))
+            gs = g[:, None] * s
+            gv = np.stack([np.bincount(inside, gs[of, k], len(at)) for k in range(v.shape[1])], axis=1) - v * gw[:, None]
+            n = self.n[at]
+            more = n + gw * gw
+            self.z[at] += gw - (np.sqrt(more) - np.sqrt(n)) / o.rate * w
+            self.n[at] = more
+            n = self.nv[at]
+            more = n + (gv * gv).sum(axis=1)
+            self.zv[at] += gv - ((np.sqrt(more) - np.sqrt(n)) / o.rate_factors)[:, None] * learned
+            self.nv[at] = more
+
+    def kept(self):
+        """(buckets in use, bias, weights, factors): all that scoring needs."""
+        import numpy as np
+
+        every = np.arange(SPACE)
+        w, v = self.weights(every), self.factors(every)
+        on = (v != 0).any(axis=1)
+        used = np.flatnonzero((w != 0) | on)
+        return used.tolist(), float(self.bias[0]), w[used].astype(float), np.where(on[used, None], self.begin[used] + v[used], 0).astype(float)
+
+
+def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, held_out: bool = True, rounds: int = ROUNDS, learning: Learning = Learning()):
+    """Learn from labelled rows outside the held-out quarter; returns (buckets in use, bias, weights, factors) or None."""
     import numpy as np
 
-    small_batches(docs.sparkSession)
+    spark = docs.sparkSession
+    small_batches(spark)
     known = labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")).filter("toxic in (0, 1) and doc_id is not null")
     if held_out:
         known = known.filter(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 != 2)
     # Bounded by train_rows, so it may be broadcast.
     known = known.groupBy("doc_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64("doc_id", F.lit(11)), "doc_id").limit(train_rows)
-    sample = materialize(texts(docs).join(F.broadcast(known), "doc_id").select("toxic", "text"), "toxic-sample")
 
-    def count(batches) -> Iterator:
-        import numpy as np
+    def indexed(batches) -> Iterator:
         import pyarrow as pa
 
         forget()
-        tally = np.zeros((2, SPACE), dtype=np.int32)
         memo: dict[str, tuple[int, ...]] = {}
         for batch in batches:
-            for y, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            out = []
+            for text in batch.column(1).to_pylist():
                 got: set[int] = set()
                 for u in set(text.lower().split()):
                     if u not in memo:
@@ -116,41 +162,55 @@ def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, held
                     got.update(memo[u])
                 if len(memo) > 50_000:
                     memo.clear()
-                tally[y, list(got)] += 1
-        seen = np.flatnonzero(tally.sum(axis=0))
-        yield pa.RecordBatch.from_arrays([pa.array(seen), *(pa.array(tally[y, seen].astype(np.int64)) for y in (0, 1))], names=["term", "clean", "toxic"])
+                out.append(np.array(sorted(got), dtype="<i4").tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], names=["toxic", "at"])
 
-    labels_n = {r["toxic"]: r["n"] for r in sample.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
-    n0, n1 = labels_n.get(0, 0), labels_n.get(1, 0)
+    sample = texts(docs).join(F.broadcast(known), "doc_id").select("toxic", "text").mapInArrow(indexed, "toxic int, at binary")
+    sample = materialize(sample, "toxic-sample")
+    counts = {r["toxic"]: r["n"] for r in sample.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
+    n0, n1 = counts.get(0, 0), counts.get(1, 0)
     if not n0 or not n1:
         remove(sample)
         return None
-    tally = sample.mapInArrow(count, "term long, clean long, toxic long").groupBy("term").agg(F.sum("clean").alias("clean"), F.sum("toxic").alias("toxic"))
-    # signed root of the two-sample chi-square statistic of a term's presence
-    p, q = F.col("toxic") / n1, F.col("clean") / n0
-    both = (F.col("toxic") + F.col("clean")) / (n0 + n1)
-    z = (p - q) / F.sqrt(F.greatest(both * (1 - both), F.lit(1e-9)) * (1 / n0 + 1 / n1))
-    best = tally.filter("clean + toxic >= 3").withColumn("z", F.abs(z)).filter(F.col("z") >= LEAST_Z).orderBy(F.desc("z"), "term").limit(TERMS)
-    kept = sorted(r["term"] for r in best.select("term").collect())
-    number = {t: i for i, t in enumerate(kept)}
-
-    def reduce(batches) -> Iterator:
+
+    def seen(batches) -> Iterator:
+        import pyarrow as pa
+
+        tally = np.zeros(SPACE, dtype=np.int64)
+        for batch in batches:
+            for at in batch.column(0).to_pylist():
+                tally[np.frombuffer(at, "<i4")] += 1
+        on = np.flatnonzero(tally)
+        yield pa.RecordBatch.from_arrays([pa.array(on), pa.array(tally[on])], names=["bucket", "n"])
+
+    # a bucket's sum grows by less than one a row and round: below the threshold for good, it can be passed over
+    least = int(learning.l1 // rounds) + 1
+    often = sample.select("at").mapInArrow(seen, "bucket long, n long").groupBy("bucket").agg(F.sum("n").alias("n")).filter(F.col("n") >= least)
+    on = np.zeros(SPACE, dtype=bool)
+    on[often.select("bucket").toArrow().column(0).to_numpy()] = True  # at most SPACE numbers
+    prior = min(max(n1 / (n0 + n1), 1e-4), 1 - 1e-4)
+    shared = spark.sparkContext.broadcast(np.packbits(on))
+
+    def learn(batches) -> Iterator:
         import pyarrow as pa
 
         forget()
+        mask = np.unpackbits(shared.value).astype(bool)
+        rows, y = [], []
         for batch in batches:
-            rows = []
-            for text in batch.column(1).to_pylist():
-                got: set[int] = set()
-                for u in set(text.lower().split()):
-                    got.update(number[t] for t in terms(u) if t in number)
-                rows.append(np.array(sorted(got), dtype="<i4").tobytes())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, pa.binary())], names=["toxic", "at"])
+            y += batch.column(0).to_pylist()
+            for at in batch.column(1).to_pylist():
+                at = np.frombuffer(at, "<i4")
+                rows.append(at[mask[at]])
+        machine = Machine(prior, learning)
+        for turn in range(rounds):  # an order of its own in every round, and the same on any machine
+            machine.learn(rows, np.array(y, dtype=float), sorted(range(len(rows)), key=lambda j: (zlib.crc32(rows[j].tobytes(), turn), y[j])))
+        used, bias, w, v = machine.kept()
+        yield pa.RecordBatch.from_arrays([pa.array([bias]), pa.array([used], pa.list_(pa.int64())), pa.array([w], pa.list_(pa.float64())), pa.array([v.reshape(-1)], pa.list_(pa.float64()))], names=["bias", "used", "w", "v"])
 
-    # at most train_rows rows of kept terms' numbers
-    rows = sorted((r["toxic"], bytes(r["at"])) for r in sample.mapInArrow(reduce, "toxic int, at binary").collect())
+    got = sample.coalesce(1).mapInArrow(learn, "bias double, used array<long>, w array<double>, v array<double>").first()
     remove(sample)
-    return (kept, *fit_machine([np.frombuffer(at, "<i4") for _, at in rows], [y for y, _ in rows], len(kept)))
+    return list(got["used"]), got["bias"], np.array(got["w"]), np.array(got["v"]).reshape(-1, FACTORS)
 
 
 def score(docs: DataFrame, model, threshold: float = THRESHOLD) -> DataFrame:

@@ -144,18 +144,21 @@ def test_similarity_is_jaccard_of_five_word_shingles():
 # ---- toxicity ---------------------------------------------------------------------------------------
 
 
-def test_machine_learns_an_interaction():
-    """Neither term alone tells; both together do: additive weights can't."""
+def test_training_learns_an_interaction(spark):
+    """Neither of two words alone tells, both together do (additive weights can't): learned through train and score."""
     rng = np.random.default_rng(0)
-    rows, y = [], []
-    for _ in range(1500):
+    filler = [a + b for a in "lorem ipsum dolor amet elit sed tempor magna aliqua enim minim veniam".split() for b in ("", "is", "um", "or", "et")]
+    rows = []
+    for i in range(1600):
         a, b = rng.random() < 0.5, rng.random() < 0.5
-        rows.append([i for i, on in enumerate((a, b, rng.random() < 0.5)) if on])
-        y.append(int(a == b))
-    bias, w, v = toxicity.fit_machine(rows, y, 3, steps=600)
-    score = lambda at: bias + w[at].sum() + 0.5 * ((v[at].sum(axis=0) ** 2) - (v[at] ** 2).sum(axis=0)).sum()
-    right = np.mean([(score(np.array(r, dtype=int)) > 0) == bool(t) for r, t in zip(rows, y, strict=True)])
-    assert right > 0.95
+        words = [*rng.choice(filler, 12), *(["frobnic"] if a else []), *(["quuxian"] if b else [])]
+        rng.shuffle(words)
+        rows.append((i, " ".join(words), int(a == b)))
+    docs = spark.createDataFrame(rows, "doc_id long, text string, toxic int")
+    p = {x: np.mean([t for _, text, t in rows if (x in text)]) for x in ("frobnic", "quuxian")}
+    assert all(abs(v - 0.5) < 0.05 for v in p.values())
+    got = toxicity.score(docs, toxicity.train(docs.drop("toxic"), docs.select("doc_id", "toxic"))).filter("crc32(cast(cast(doc_id as string) as binary)) % 4 = 2").collect()
+    assert len(got) > 300 and np.mean([(r["score"] > 0.5) == bool(r["toxic"]) for r in got]) > 0.95
 
 
 def test_toxicity_held_out(spark, sf):
