@@ -1,6 +1,7 @@
 """URL filters, HTML extraction and exact search against brute force."""
 
 import numpy as np
+import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
@@ -110,6 +111,7 @@ def test_top_k_against_brute_force(spark, monkeypatch):
     frame = spark.createDataFrame(rows, "vec_id long, embedding array<float>, score int").repartition(4)
     monkeypatch.setattr(topk, "BASE_ROWS", 64)
     monkeypatch.setattr(topk, "QUERY_ROWS", 4)
+    monkeypatch.setattr(topk, "BATCH", 3)
     q = topk.quantised(frame)
     got = sorted(tuple(r) for r in topk.top_k(q, q.filter("vec_id % 50 = 0"), 5).collect())
     ints = [(i, np.floor(256 * np.array(v, dtype=np.float32).astype(float)).astype(int)) for i, v, _ in rows if v and None not in v and np.isfinite(np.array(v, dtype=float)).all()]
@@ -117,6 +119,25 @@ def test_top_k_against_brute_force(spark, monkeypatch):
     assert topk.top_k(q.limit(0), q.limit(0), 5).count() == 0
 
 
+@pytest.mark.parametrize("scale", [1.0, 1e4, 1e7, 1e12])
+def test_top_k_of_large_components(spark, monkeypatch, scale):
+    """Any finite component is served: scores beyond a long are held at its ends, ranks are by exact values."""
+    rng = np.random.default_rng(2)
+    x = rng.normal(size=(150, 6)).astype(np.float32)
+    x[::7] *= np.float32(scale)
+    x[5, 0] = 3e38
+    rows = [(i, [float(t) for t in v]) for i, v in enumerate(x)]
+    monkeypatch.setattr(topk, "BASE_ROWS", 40)
+    q = topk.quantised(spark.createDataFrame(rows, "vec_id long, embedding array<float>").repartition(3))
+    got = sorted(tuple(r) for r in topk.top_k(q, q.filter("vec_id % 50 = 0"), 5).collect())
+    ints = {i: [max(-(1 << 52), min(1 << 52, int(np.floor(256 * t)))) for t in v] for i, v in rows}
+    want = []
+    for a in (0, 50, 100):
+        scored = sorted((-sum(s * t for s, t in zip(ints[a], v, strict=True)), i) for i, v in ints.items() if i != a)[:5]
+        want += [(a, n + 1, i, max(-(1 << 63), min((1 << 63) - 1, -s))) for n, (s, i) in enumerate(scored)]
+    assert got == want
+
+
 @settings(max_examples=40, deadline=None)
 @given(st.integers(1, 60), st.integers(1, 6), st.integers(1, 7), st.integers(0, 999))
 def test_index_is_exact(n, dims, k, seed):
