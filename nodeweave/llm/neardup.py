@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 
 from .encode import forget
 from .simhash import BROADCAST_KEYS, components, links
-from .store import materialize, remove, small_batches, texts
+from .store import join_one, materialize, remove, small_batches, texts
 
 SHINGLE, SIMILARITY = 5, 0.8
 ANCHORS, REACH = 8, 6
@@ -204,11 +204,12 @@ def prefix_pairs(some: DataFrame, group: DataFrame, least: float = SIMILARITY) -
 def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rounds: int = ROUNDS) -> DataFrame:
     """doc_id and component_id (least doc_id of the group) of every document."""
     made = materialize(sketches(docs), "sketches")
-    copies = made.groupBy("same").agg(F.min("doc_id").alias("rep"), F.first("fp").alias("fp"), F.first("keys").alias("keys"), F.first("size").alias("size"))
+    copies = made.groupBy("same").agg(F.min("doc_id").alias("rep"), F.first("fp").alias("fp"), F.first("keys").alias("keys"), F.first("size").alias("size"), F.count("*").alias("n"))
     copies = materialize(copies, "copies")
     windows = copies.select(F.col("rep").alias("d"), F.explode("keys").alias("key"))
     prints = copies.select("fp", F.col("rep").alias("d"))
-    met = links(prints.select("fp").distinct(), radius).select(F.col("a").alias("lo"), F.col("b").alias("hi"))
+    temps: list[DataFrame] = []
+    met = links(prints.select("fp").distinct(), radius, temps).select(F.col("a").alias("lo"), F.col("b").alias("hi"))
     firsts = prints.groupBy("fp").agg(F.min("d").alias("d"))
     ball_pairs = met.join(firsts.select(F.col("fp").alias("lo"), F.col("d").alias("x")), "lo").join(firsts.select(F.col("fp").alias("hi"), F.col("d").alias("y")), "hi").select("x", "y")
     same_print = prints.join(firsts.select("fp", F.col("d").alias("m")), "fp").filter("d <> m").select(F.col("m").alias("x"), F.col("d").alias("y"))
@@ -217,6 +218,9 @@ def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rou
     shared = materialize(windows.join(crowded, "key", "left_semi"), "windows")
     open_ = shared
     direct = materialize(direct.distinct(), "direct")
+    for used in temps:
+        remove(used)
+    done: list[DataFrame] = []
     # texts are shuffled once, for those that may have a near copy; every round works on these
     short = copies.filter(F.col("size").between(1, SHORT)).select(F.col("rep").alias("doc_id"))
     wanted = open_.select(F.col("d").alias("doc_id")).unionByName(direct.select(F.explode(F.array("a", "b")).alias("doc_id"))).unionByName(short).distinct()
@@ -225,8 +229,9 @@ def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rou
     for turn in range(rounds):
         # a bucket's leader: its least text in an order that changes with the round
         order = F.col("d") if turn == 0 else F.xxhash64("d", F.lit(turn))
-        lead = open_.groupBy("key").agg(F.min_by("d", order).alias("leader"), F.count("*").alias("n")).filter("n > 1")
-        led = materialize(open_.join(lead, "key").filter("d <> leader").select("key", "d", "leader"), "led")
+        lead = materialize(open_.groupBy("key").agg(F.min_by("d", order).alias("leader"), F.count("*").alias("n")).filter("n > 1"), "lead")
+        led = materialize(join_one(open_, lead, "key").filter("d <> leader").select("key", "d", "leader"), "led")
+        remove(lead)
         pairs = led.select(F.least("d", "leader").alias("a"), F.greatest("d", "leader").alias("b")).distinct()
         if turn == 0:
             pairs = pairs.unionByName(direct).distinct()
@@ -235,6 +240,7 @@ def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rou
         pairs = materialize(pairs, "pairs")
         checked = materialize(_verified(pairs, some, least).groupBy("a", "b").agg(F.max("near").alias("near")), "checked")
         remove(pairs)
+        done.append(checked)
         tried = checked if tried is None else tried.unionByName(checked)
         good = checked.filter("near").select("a", "b")
         edges = good if edges is None else edges.unionByName(good)
@@ -245,21 +251,23 @@ def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rou
         remove(led)
         if turn:
             remove(open_)
+        open_ = rest
         if not rest.limit(1).count():
             break
-        open_ = rest
     roots = materialize(components(edges), "roots")
     # a bucket whose members are not all in one group by now may hold pairs that no leader has shown
     placed = shared.join(roots.withColumnRenamed("node", "d"), "d", "left").select("key", "d", F.coalesce("root", "d").alias("root"))
     placed = materialize(placed, "placed")
     unlike = placed.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).filter("r0 <> r1").select("key")
     unsettled = placed.join(unlike, "key", "left_semi").select(F.col("d").alias("doc_id")).unionByName(short).distinct()
-    pairs = prefix_pairs(some.join(unsettled, "doc_id", "left_semi"), roots.withColumnRenamed("node", "doc_id"), least)
-    pairs = pairs.join(tried.select("a", "b"), ["a", "b"], "left_anti")
+    found = prefix_pairs(some.join(unsettled, "doc_id", "left_semi"), roots.withColumnRenamed("node", "doc_id"), least)
+    pairs = found.join(tried.select("a", "b"), ["a", "b"], "left_anti")
     more = materialize(_verified(pairs, some, least).filter("near").select("a", "b"), "more")
-    for used in (some, placed, shared):
-        remove(used)
     if more.limit(1).count():
-        roots = components(edges.unionByName(more).distinct())
-    classes = copies.select("same", "rep").join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("same", F.coalesce("root", "rep").alias("component_id"))
-    return made.select("doc_id", "same").join(classes, "same").select("doc_id", "component_id")
+        done.append(roots)
+        roots = materialize(components(edges.unionByName(more).distinct()), "roots")
+    classes = copies.join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("same", F.coalesce("root", "rep").alias("component_id"), "n")
+    classes = materialize(classes, "classes")
+    for used in (*done, open_, some, placed, shared, direct, found, more, roots, copies):
+        remove(used)
+    return join_one(made.select("doc_id", "same"), classes, "same").select("doc_id", "component_id")

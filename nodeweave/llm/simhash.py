@@ -27,7 +27,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .store import materialize, remove, small_batches, texts
+from .store import join_one, materialize, remove, small_batches, texts
 
 #: A table of keys is broadcast up to so many rows (8 bytes each), and joined by shuffle beyond.
 BROADCAST_KEYS = 100_000
@@ -91,14 +91,17 @@ def half_keys(distinct: DataFrame, radius: int) -> DataFrame:
     return distinct.select("fp", F.explode(F.concat(_ball(high, patterns), low_keys)).alias("key"))
 
 
-def links(distinct: DataFrame, radius: int = 4) -> DataFrame:
+def links(distinct: DataFrame, radius: int = 4, temps: list | None = None) -> DataFrame:
     """Edges (a, b) between distinct fingerprints that connect all that lie within ``radius`` bits.
 
-    Not every linked pair is an edge, but each is joined by a path of edges, and every edge is a link.
+    Not every linked pair is an edge, but each is joined by a path of edges, and every edge is a link. Written
+    tables that the result reads are added to ``temps``, for the caller to remove.
     """
+    temps = [] if temps is None else temps
     keys = half_keys(distinct, radius)
     met = keys.groupBy("key").agg(F.count("*").alias("n"), F.min("fp").alias("lo"), F.max("fp").alias("hi"), F.bit_xor("fp").alias("x")).filter("n > 1")
     met = materialize(met, "met")
+    temps.append(met)
     third = F.col("x").bitwiseXOR(F.col("lo")).bitwiseXOR(F.col("hi"))
     pair = lambda a, b: F.struct(F.least(a, b).alias("a"), F.greatest(a, b).alias("b"))
     lo, hi = F.col("lo"), F.col("hi")
@@ -108,6 +111,7 @@ def links(distinct: DataFrame, radius: int = 4) -> DataFrame:
     if crowded.limit(1).count():
         hot = F.broadcast(crowded) if crowded.count() <= BROADCAST_KEYS else crowded
         members = materialize(keys.join(hot, "key", "left_semi").select("fp").distinct(), "crowded")
+        temps.append(members)
         values = members.select("fp", F.explode(_ball(F.col("fp"), masks(64, radius // 2))).alias("value"))
         least = values.withColumn("a", F.min("fp").over(W.partitionBy("value")))  # at most 2,081 rows a value
         few = few.unionByName(least.filter("a <> fp").select("a", F.col("fp").alias("b")))
@@ -149,13 +153,17 @@ def components(edges: DataFrame) -> DataFrame:
 def groups(docs: DataFrame, words: int = 4, radius: int = 4, seed: int = 42) -> DataFrame:
     """doc_id, fp and component_id (least doc_id reachable over links) of every document."""
     prints = materialize(fingerprints(docs, words, seed), "prints")
-    distinct = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("rep")), "distinct")
-    roots = materialize(components(links(distinct, radius)), "roots")
+    distinct = materialize(prints.groupBy("fp").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")), "distinct")
+    temps: list[DataFrame] = []
+    roots = materialize(components(links(distinct.select("fp"), radius, temps)), "roots")
     linked = roots.join(distinct, roots.node == distinct.fp).select("fp", "root", "rep")
     least = linked.groupBy("root").agg(F.min("rep").alias("component_id"))
     moved = linked.join(least, "root").select("fp", "component_id")
-    classes = distinct.join(moved, "fp", "left").select("fp", F.coalesce("component_id", "rep").alias("component_id"))
-    return prints.join(classes, "fp").select("doc_id", "fp", "component_id")
+    classes = distinct.join(moved, "fp", "left").select("fp", F.coalesce("component_id", "rep").alias("component_id"), "n")
+    classes = materialize(classes, "classes")
+    for used in (*temps, distinct, roots):
+        remove(used)
+    return join_one(prints, classes, "fp").select("doc_id", "fp", "component_id")
 
 
 def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
