@@ -5,8 +5,8 @@ format: a card stays a Luhn-valid card of its length and first digit, an account
 country and valid check digits, an address has four octets, a social number stays assignable, a
 date stays a date of its notation, a phone number keeps its punctuation and country code. Equal
 values (of equal kind) get equal pseudonyms in every document; different ones stay different, since a
-Feistel network over the product of two residue rings is a permutation. Mail addresses and secrets,
-which have no numeric format, get keyed digests in their form. What fails validation stays.
+Feistel network over the product of two residue rings is a permutation. Access keys keep their type and are
+permuted among strings of letters and digits. Mail addresses and secrets, which have no format of fixed size, get keyed digests in their form. What fails validation stays.
 
 Everything is DataFrame expressions; no Python runs on executors. Null texts stay null (n_values
 0); texts of any length are handled whole; repeated rows alike; other columns pass unchanged, and
@@ -15,11 +15,16 @@ those named n_values or kinds are replaced; an empty table gives no rows.
 
 from __future__ import annotations
 
+import warnings
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Default key for tests and experiments; give your own in production.
+from .store import fresh
+
+#: Key for tests and experiments, used (with a warning) where neither a call nor the session's setting KEY_SETTING gives one.
 KEY = "change-this-key"
+KEY_SETTING = "spark.nodeweave.pii.key"
 ROUNDS = 10
 
 # Formats of personal data. Each starts where no letter or digit precedes (START).
@@ -241,7 +246,11 @@ def _secret(value: Column, key: str) -> Column:
 
 
 def _access_key(value: Column, key: str) -> Column:
-    return F.concat(F.lit("XXXX"), F.upper(F.substring(F.sha2(F.concat_ws("|", F.lit(key), F.lit("access"), value), 256), 1, 16)))
+    """The four letters of its type, then 16 letters and digits permuted among all such."""
+    root = F.lit(36**8).cast("bigint")
+    number = lambda start: F.conv(F.substring(value, start, 8), 36, 10).cast("bigint")
+    spelled = lambda g: F.concat(F.substring(value, 1, 4), *[F.lpad(F.conv(g[x].cast("string"), 10, 36), 8, "0") for x in ("l", "r")])
+    return let(feistel(number(5), number(13), root, root, "access", key), spelled)
 
 
 def kind_of(value: Column) -> Column:
@@ -261,27 +270,38 @@ def pseudonym(value: Column, kind: Column, key: str = KEY) -> Column:
     return out
 
 
-def pseudonymise(docs: DataFrame, key: str = KEY) -> DataFrame:
+def session_key(spark: SparkSession) -> str:
+    """The key that the session's configuration names; the test key, with a warning, where it names none."""
+    key = spark.conf.get(KEY_SETTING, None)
+    if not key:
+        warnings.warn(f"pseudonyms use the public test key; set {KEY_SETTING}", stacklevel=2)
+    return key or KEY
+
+
+def pseudonymise(docs: DataFrame, key: str | None = None) -> DataFrame:
     """``docs`` with values in text replaced, n_values (how many were) and kinds (distinct, sorted)."""
-    rest = [c for c in docs.columns if c not in ("n_values", "kinds")]
-    may = F.col("text").rlike("[0-9@=:]")
+    key = session_key(docs.sparkSession) if key is None else key
+    rest = [c for c in docs.columns if c.lower() not in ("n_values", "kinds")]
+    marks, pieces, parts = (fresh(rest, x) for x in ("__marked", "__pieces", "__parts"))
+    quoted = [F.col(f"`{c}`") for c in rest]
+    may = F.col("text").rlike("[0-9@=:]|A[KS]IA")
     marked = F.regexp_replace(F.replace(F.col("text"), F.lit("\u0001"), F.lit(ESCAPED)), F.lit(PATTERN), F.lit(f"{MARK}$0{MARK}"))
     # pieces at odd places (from 0) are found values
-    cut = docs.select(*rest, F.when(may, marked).alias("__marked"))
-    cut = cut.select(*rest, F.when(F.col("__marked").contains(MARK), F.split("__marked", MARK)).alias("__pieces"))
+    cut = docs.select(*quoted, F.when(may, marked).alias(marks))
+    cut = cut.select(*quoted, F.when(F.col(marks).contains(MARK), F.split(marks, MARK)).alias(pieces))
 
     def one(piece: Column, i: Column) -> Column:
         kind = F.when(i % 2 == 1, kind_of(piece))
         return F.struct(piece.alias("old"), F.when(kind.isNotNull(), pseudonym(piece, kind, key)).otherwise(piece).alias("new"), kind.alias("kind"))
 
-    some = F.col("__pieces").isNotNull()
-    cut = cut.select(*rest, F.when(some, F.transform("__pieces", one)).alias("__parts"))
-    some = F.col("__parts").isNotNull()
-    woven = F.replace(F.array_join(F.transform("__parts", lambda p: p["new"]), ""), F.lit(ESCAPED), F.lit("\u0001"))
-    changed = F.filter("__parts", lambda p: p["old"] != p["new"])
+    cut = cut.select(*quoted, F.when(F.col(pieces).isNotNull(), F.transform(pieces, one)).alias(parts))
+    some = F.col(parts).isNotNull()
+    woven = F.replace(F.array_join(F.transform(parts, lambda p: p["new"]), ""), F.lit(ESCAPED), F.lit("\u0001"))
+    changed = F.filter(parts, lambda p: p["old"] != p["new"])
     kinds = F.array_sort(F.array_distinct(F.transform(changed, lambda p: p["kind"])))
-    out = {c: F.col(c) for c in rest} | {"text": F.when(some, woven).otherwise(F.col("text"))}
-    return cut.select(*[v.alias(c) for c, v in out.items()], F.when(some, F.size(changed)).otherwise(F.lit(0)).alias("n_values"), F.when(some, kinds).otherwise(F.array().cast("array<string>")).alias("kinds"))
+    text = F.when(some, woven).otherwise(F.col("text"))
+    out = [text.alias(c) if c.lower() == "text" else F.col(f"`{c}`") for c in rest]
+    return cut.select(*out, F.when(some, F.size(changed)).otherwise(F.lit(0)).alias("n_values"), F.when(some, kinds).otherwise(F.array().cast("array<string>")).alias("kinds"))
 
 
 def op9_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
