@@ -2,11 +2,13 @@
 
 Host, path and the rule that fits are plain SQL expressions. Where no rule fits, host labels and
 path parts are split into words by a unigram Viterbi search (so that run-together names come
-apart), and a multinomial naive Bayes model scores the words. The model is trained here, from the
-word lists below as its labelled examples; a caller can pass others.
+apart), and a multinomial naive Bayes model scores the words. Words are counted over all pages' texts (the
+dictionary keeps the ``VOCABULARY`` most frequent, which bounds the model, not the count); the weights come from
+the labelled names below; a caller can pass others. The rules' own verdicts are no labels, as they tell languages apart.
 
 Null urls and urls without ``://`` have empty host and path, no rule, and the verdict of no words
-(allow). Ties between rules of one length go to the smaller rule. Repeated rows are judged
+(allow). Ties between rules of one length go to the smaller rule. Texts and urls of any length are read whole: a run of
+letters costs time in proportion to its length. Null html counts no words. Repeated rows are judged
 alike; other columns are ignored; an empty table gives no rows.
 """
 
@@ -26,29 +28,42 @@ RULES = (("allow", "com", "/"), ("block", "example.com", "/en/"), ("allow", "www
 BLOCKED_NAMES = """casino-win online-casino-bonus free-slots poker-bet bet-live sports-betting-odds jackpot-spin cheap-pills buy-pills-online
 pharmacy-discount-meds viagra-cialis-cheap weight-loss-miracle porn-tube adult-sex-cams xxx-video nude-girls hot-escort-dating sex-chat-live
 payday-loans-fast easy-cash-loan get-rich-quick crypto-double-profit forex-signals-win replica-watches cheap-replica-bags crack-keygen
-warez-download torrent-free-movies serial-crack hack-password free-iphone-win-prize lottery-winner click-here-free spam-mail-bulk
+popup-ad-network banner-ads-server click-tracker warez-download torrent-free-movies serial-crack hack-password free-iphone-win-prize lottery-winner click-here-free spam-mail-bulk
 fake-id-buy essay-writing-cheap seo-backlinks-buy followers-likes-cheap gamble-roulette-blackjack steroid-shop"""
 ALLOWED_NAMES = """daily-news city-news-today weather-report science-journal history-museum public-library school-education university-research
 open-source-software code-docs travel-guide food-recipes garden-home health-care hospital-info music-review film-review book-club sports-news
 football-results art-gallery photo-blog family-blog personal-blog tech-blog world-map government-services local-council bank-help user-forum
 support-help product-manual company-about contact-us learning-center language-course data-archive mobile-site news-feed english-lessons
 articles-page index-home post-comment page-list search-results stock-market climate-report law-review"""
-STRIP = frozenset("www com org net example html htm php http https index m en de fr es".split())
-_CHUNK = re.compile(r"[a-z]+")
+STRIP = frozenset("www com org net example html htm php http https index m mobile blog static cdn img api web en de fr es".split())
+_CHUNK = re.compile(r"[^\W\d_]+")
+#: Words of the corpus in the dictionary, and their longest; the smoothing of the weights.
+VOCABULARY, LONGEST, SMOOTH = 50_000, 24, 0.1
+
+
+def corpus_words(pages: DataFrame, vocabulary: int = VOCABULARY) -> dict[str, int]:
+    """The most frequent words of all pages' texts with their counts; ``vocabulary`` rows at most reach the driver."""
+    text = F.regexp_replace(F.lower("html"), r"(?s)<(?:script|style)\b.*?</(?:script|style)>|<[^>]*>|&[#\w]*;", " ")
+    words = pages.select(F.explode(F.split(text, r"[^\p{L}]+")).alias("word")).filter(F.length("word").between(2, LONGEST))
+    counts = words.groupBy("word").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "word").limit(vocabulary)
+    return {r["word"]: r["n"] for r in counts.collect()}
 
 
 class NameModel:
-    """Unigram dictionary and naive Bayes weights from two lists of names."""
+    """Unigram dictionary of corpus counts and labelled names; naive Bayes weights from two lists of names."""
 
-    def __init__(self, blocked: str = BLOCKED_NAMES, allowed: str = ALLOWED_NAMES, prior: float = 0.2):
+    def __init__(self, blocked: str = BLOCKED_NAMES, allowed: str = ALLOWED_NAMES, prior: float = 0.2, counts: dict[str, int] | None = None, smooth: float = SMOOTH):
         lists = [Counter(re.split(r"[\s-]+", x.strip())) for x in (allowed, blocked)]
-        words = set(lists[0]) | set(lists[1])
-        total = sum(sum(c.values()) for c in lists)
-        self.cost = {w: -math.log((lists[0][w] + lists[1][w]) / total) for w in words}
-        self.longest = max(map(len, words))
+        named = set(lists[0]) | set(lists[1])
+        known = Counter(counts or {})
+        for w in named:
+            known[w] += lists[0][w] + lists[1][w]
+        total = sum(known.values())
+        self.cost = {w: -math.log(n / total) for w, n in known.items()}
+        self.longest = max(map(len, known))
         self.total = total
-        sums = [sum(c.values()) for c in lists]
-        self.weight = {w: math.log((lists[1][w] + 1) / (sums[1] + len(words))) - math.log((lists[0][w] + 1) / (sums[0] + len(words))) for w in words}
+        sums = [sum(c.values()) + smooth * len(named) for c in lists]
+        self.weight = {w: math.log((lists[1][w] + smooth) / sums[1]) - math.log((lists[0][w] + smooth) / sums[0]) for w in named}
         self.bias = math.log(prior / (1 - prior))
         self.memo: dict[str, tuple[str, ...]] = {}
 
@@ -93,7 +108,7 @@ class NameModel:
         return got
 
     def words(self, host: str, path: str) -> list[str]:
-        chunks = _CHUNK.findall(host) + _CHUNK.findall(path.lower())
+        chunks = _CHUNK.findall(host.lower()) + _CHUNK.findall(path.lower())
         return [w for c in chunks if c not in STRIP for w in self.segment(c)]
 
     def log_odds(self, host: str, path: str) -> float:
@@ -119,8 +134,14 @@ def rule_of(rules=RULES) -> tuple[Column, Column]:
     return rule, verdict
 
 
-def judge(pages: DataFrame, rules=RULES, blocked: str = BLOCKED_NAMES, allowed: str = ALLOWED_NAMES) -> DataFrame:
-    """page_id, host, path, rule, verdict, score (log odds of the method; null under a rule)."""
+def judge(pages: DataFrame, rules=RULES, blocked: str = BLOCKED_NAMES, allowed: str = ALLOWED_NAMES, counts: dict[str, int] | None = None) -> DataFrame:
+    """page_id, host, path, rule, verdict, score (log odds of the method; null under a rule).
+
+    ``counts``: the dictionary's words; by default those of the pages' own texts.
+    """
+    if counts is None:
+        counts = corpus_words(pages) if "html" in pages.columns else {}
+    shared = pages.sparkSession.sparkContext.broadcast(counts)  # VOCABULARY words at most
     split = pages.select("page_id", "url")
     host, path = parts(F.col("url"))
     split = split.select("page_id", host.alias("host"), path.alias("path"))
@@ -130,7 +151,7 @@ def judge(pages: DataFrame, rules=RULES, blocked: str = BLOCKED_NAMES, allowed:
     def run(batches) -> Iterator:
         import pyarrow as pa
 
-        model = NameModel(blocked, allowed)
+        model = NameModel(blocked, allowed, counts=shared.value)
         for batch in batches:
             said, score = [], []
             for h, p, v in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), batch.column(4).to_pylist(), strict=True):

@@ -36,6 +36,32 @@ def test_rules(spark):
     assert urls.judge(pages.limit(0)).count() == 0
 
 
+def test_weights_are_naive_bayes():
+    """Log odds from the counts of labelled words, by hand."""
+    import math
+
+    blocked, allowed = "casino-win big-win", "daily-news city"
+    model = urls.NameModel(blocked, allowed, prior=0.3, smooth=0.5)
+    words = {"casino", "win", "big", "daily", "news", "city"}
+    b = {w: ["casino", "win", "big", "win"].count(w) for w in words}
+    a = {w: ["daily", "news", "city"].count(w) for w in words}
+    odds = lambda ws: math.log(0.3 / 0.7) + sum(math.log((b[w] + 0.5) / (4 + 3)) - math.log((a[w] + 0.5) / (3 + 3)) for w in ws if w in words)
+    for host, path, want in (("casinowin.net", "/", ["casino", "win"]), ("www.bigcity.org", "/news/x.html", ["big", "city", "news"]), ("zzz.org", "/", [])):
+        assert math.isclose(model.log_odds(host, path), odds(want))
+
+
+def test_dictionary_is_counted_over_all_pages(spark):
+    pages = spark.createDataFrame([(1, "http://tinyhouse.org/a", "<p>Tiny house, tiny</p><script>var tiny=1</script>"), (2, None, None), (3, "http://x.org/", "<b class='house'>HOUSE &amp; caf\u00e9</b>")], "page_id long, url string, html string")
+    assert urls.corpus_words(pages) == {"tiny": 2, "house": 2, "caf\u00e9": 1}
+    model = urls.NameModel(counts=urls.corpus_words(pages))
+    assert model.segment("tinyhouse") == ("tiny", "house") and model.segment("housecaf\u00e9") == ("house", "caf\u00e9")
+
+
+def test_hosts_of_blocked_trades(spark):
+    pages = spark.createDataFrame([(i, f"http://{h}/de/1", "<p>words of a page</p>") for i, h in enumerate(("blog.adult-cams.example.net", "freebets.example.org", "gardenrecipes.example.org", "zorblax.example.org"))], "page_id long, url string, html string")
+    assert [r["verdict"] for r in urls.judge(pages).orderBy("page_id").collect()] == ["block", "block", "allow", "allow"]
+
+
 @settings(max_examples=60, deadline=None)
 @given(st.text(alphabet="abcinosw", max_size=9))
 def test_viterbi_is_the_best_split(text):
