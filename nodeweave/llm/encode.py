@@ -1,7 +1,9 @@
 """Library tokenizers over whole texts, each distinct word encoded once per worker's memory.
 
 Both public tokenizers split a text before every space that stands alone between other
-characters, so the ids of a text are the ids of its space-separated units in order. Units and the
+characters, so the ids of a text are the ids of its space-separated units in order. The strings of special tokens in
+a text are ordinary text, as the tokenizer files' own instructions have it (``encode_special_tokens``); with ``specials``
+they become the special ids instead, and a text that holds one goes to the library whole. Units and the
 words in them recur; bounded memos in each Python worker keep the ids of those seen, and words not
 seen go to the library many at a time. A text where a space meets other white space, and whatever
 else does not follow these rules, goes to the library as it is.
@@ -26,13 +28,14 @@ _ENCODERS: dict = {}
 class UnitEncoder:
     """Ids as little-endian unsigned 32-bit bytes. ``spaced``: words carry their leading space."""
 
-    def __init__(self, path: str, spaced: bool):
+    def __init__(self, path: str, spaced: bool, specials: bool = False):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         import numpy as np
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
-        self.library.encode_special_tokens = True
+        self.library.encode_special_tokens = not specials
+        self.specials = [t.content for t in self.library.get_added_tokens_decoder().values()] if specials else []
         self.spaced = spaced
         self.units: dict[str, bytes | None] = {}
         self.words: dict[str, bytes] = {}
@@ -120,6 +123,10 @@ class UnitEncoder:
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of every text, whole."""
+        if self.specials and (held := [i for i, t in enumerate(texts) if any(x in t for x in self.specials)]):
+            whole = dict(zip(held, self._library([texts[i] for i in held]), strict=True))
+            rest = iter(self.encode([t for i, t in enumerate(texts) if i not in whole]))
+            return [whole[i] if i in whole else next(rest) for i in range(len(texts))]
         memo = self.units
         split = [self._units(t) for t in texts]
         heads = [""] * len(texts)
@@ -153,11 +160,12 @@ class UnitEncoder:
         return out
 
 
-def encoder(path: str, spaced: bool) -> UnitEncoder:
+def encoder(path: str, spaced: bool, specials: bool = False) -> UnitEncoder:
     """The worker's encoder for this vocabulary file; kept between tasks, as workers are reused."""
-    if (path, spaced) not in _ENCODERS:
-        _ENCODERS[path, spaced] = UnitEncoder(path, spaced)
-    return _ENCODERS[path, spaced]
+    key = path, spaced, specials
+    if key not in _ENCODERS:
+        _ENCODERS[key] = UnitEncoder(*key)
+    return _ENCODERS[key]
 
 
 def forget() -> None:

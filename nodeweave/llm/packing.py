@@ -22,7 +22,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .encode import encoder, slices
-from .store import materialize, small_batches, texts
+from .store import fresh, materialize, small_batches, texts
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
 
@@ -128,24 +128,26 @@ def place(cut: DataFrame, capacity: int = 2048, rows_per_bucket: int = 50_000) -
     """Add sequence_id and offset to pieces (a written table with doc_id, start, length).
 
     Ranks within a length come from counts per (length, bucket) and a row number inside each
-    bucket, so that a length with a third of all pieces is spread over many tasks.
+    bucket, so that a length with a third of all pieces is spread over many tasks. Columns sequence_id and
+    offset are replaced, others pass. Equal pieces take their slots in any order.
     """
     histogram = {r["length"]: r["n"] for r in cut.groupBy("length").agg(F.count("*").alias("n")).collect()}
     table = slots(pack_histogram(histogram, capacity))
     buckets = max(16, sum(histogram.values()) // rows_per_bucket)
+    bucket, number, earlier, rank = (fresh(cut.columns, x) for x in ("__bucket", "__n", "__before", "__rank"))
     key = F.pmod(F.xxhash64("doc_id", "start"), F.lit(buckets)).cast("int")
-    keyed = cut.withColumn("__bucket", key)
-    before = W.partitionBy("length").orderBy("__bucket").rowsBetween(W.unboundedPreceding, -1)
-    counts = keyed.groupBy("length", "__bucket").agg(F.count("*").alias("__n"))
-    counts = counts.select("length", "__bucket", F.coalesce(F.sum("__n").over(before), F.lit(0)).alias("__before"))
+    keyed = cut.drop("sequence_id", "offset").withColumn(bucket, key)
+    before = W.partitionBy("length").orderBy(bucket).rowsBetween(W.unboundedPreceding, -1)
+    counts = keyed.groupBy("length", bucket).agg(F.count("*").alias(number))
+    counts = counts.select("length", bucket, F.coalesce(F.sum(number).over(before), F.lit(0)).alias(earlier))
     order = [c for c in ("doc_id", "start", "ids_crc32", "doc_tokens") if c in cut.columns]
-    inside = W.partitionBy("length", "__bucket").orderBy(*order)
-    ranked = keyed.withColumn("__rank", F.row_number().over(inside) - 1).join(counts, ["length", "__bucket"])
-    ranked = ranked.withColumn("__rank", F.col("__rank") + F.col("__before")).drop("__before", "__bucket")
+    inside = W.partitionBy("length", bucket).orderBy(*order)
+    ranked = keyed.withColumn(rank, F.row_number().over(inside) - 1).join(counts, ["length", bucket])
+    ranked = ranked.withColumn(rank, F.col(rank) + F.col(earlier)).drop(earlier, bucket)
     #: Bounded by the number of lengths (2,048), not by the input.
     flat = [(length, *row) for length, rows in table.items() for row in rows]
     shared = cut.sparkSession.sparkContext.broadcast(flat)
-    names = ranked.columns
+    names, rank_name = ranked.columns, rank
 
     def run(batches) -> Iterator:
         import numpy as np
@@ -157,15 +159,15 @@ def place(cut: DataFrame, capacity: int = 2048, rows_per_bucket: int = 50_000) -
         keys, t = keys[by], t[by]
         for batch in batches:
             length = batch.column(names.index("length")).to_numpy()
-            rank = batch.column(names.index("__rank")).to_numpy()
-            row = t[np.searchsorted(keys, (length << 48) + rank, side="right") - 1]
-            at = rank - row[:, 1]
+            nth = batch.column(names.index(rank_name)).to_numpy()
+            row = t[np.searchsorted(keys, (length << 48) + nth, side="right") - 1]
+            at = nth - row[:, 1]
             turn, pack = at // row[:, 2], at % row[:, 2]
-            kept = [batch.column(i) for i, n in enumerate(names) if n != "__rank"]
+            kept = [batch.column(i) for i, n in enumerate(names) if n != rank_name]
             kept += [pa.array(row[:, 3] + pack), pa.array(row[:, 4] + turn * length)]
-            yield pa.RecordBatch.from_arrays(kept, names=[n for n in names if n != "__rank"] + ["sequence_id", "offset"])
+            yield pa.RecordBatch.from_arrays(kept, names=[n for n in names if n != rank_name] + ["sequence_id", "offset"])
 
-    schema = ", ".join(f"`{n}` {k}" for n, k in ranked.dtypes if n != "__rank") + ", sequence_id bigint, offset bigint"
+    schema = ", ".join(f"`{n}` {k}" for n, k in ranked.dtypes if n != rank_name) + ", sequence_id bigint, offset bigint"
     return ranked.mapInArrow(run, schema)
 
 

@@ -46,6 +46,17 @@ def test_unit_encoder_equals_the_library(name, spaced, monkeypatch):
         assert np.frombuffer(small.encode([t])[0], "<u4").tolist() == one(t)
 
 
+@pytest.mark.parametrize("name,spaced", [("byte_bpe_50k.json", True), ("word_bpe_49k.json", False)])
+def test_special_strings_on_demand(name, spaced):
+    """By default they are ordinary text; with ``specials`` ids are those of a library as it comes."""
+    from tokenizers import Tokenizer
+
+    plain = Tokenizer.from_file(P.path(name))
+    texts = ["hello <|endoftext|> world", "<|startoftext|>a b", "a <|endoftext|>", "nothing here", "", "<|endoftext|>"]
+    got = encode.encoder(P.path(name), spaced, True).encode(texts)
+    assert [np.frombuffer(x, "<u4").tolist() for x in got] == [plain.encode(t, add_special_tokens=False).ids for t in texts]
+
+
 @settings(max_examples=150, deadline=None)
 @given(st.text(alphabet=st.sampled_from("aAbBzZéÉßſİǅ .,'!\n\t\u00a0\u030112"), max_size=30))
 def test_unit_encoder_on_any_text(text):
@@ -184,7 +195,7 @@ def test_media(spark):
     import io
     import wave
 
-    rows = {r["doc_id"]: r for r in media.media(frame(spark), keep=True).collect()}
+    rows = {r["doc_id"]: r for r in media.features(media.store(frame(spark)), keep=True).collect()}
     assert len(rows) == len(TEXTS) and rows[21]["feature"] == rows[22]["feature"] and rows[0]["feature"] == rows[20]["feature"]
     for i, t in enumerate(TEXTS):
         raw, r = (t or "").encode(), rows[i]
@@ -193,12 +204,31 @@ def test_media(spark):
             assert w.readframes(w.getnframes()) == want and w.getsampwidth() == 1
         assert (r["n_bytes"], r["payload_bytes"], r["tail_crc32"]) == (len(raw), len(want), zlib.crc32(want[-64:]))
         assert r["payload_sha256"] == hashlib.sha256(want).hexdigest() and r["media_sha256"] == hashlib.sha256(bytes(r["media"])).hexdigest() and r["media_bytes"] == len(r["media"])
+        assert r["feature"] == f"{len(r['landmarks'])}:{hashlib.sha256(np.array(r['landmarks'], '<i8').tobytes()).hexdigest()}" and len(r["landmarks"]) >= 6
+        assert len(want) > 20_000 or r["landmarks"] == brute_landmarks(want)
+
+
+def brute_landmarks(samples):
+    """Peak pairs with a plain discrete Fourier transform, frame by frame."""
+    w = media.WINDOW
+    x = [b - 128.0 for b in samples]
+    frames = max(1, -(-(len(x) - w) // media.HOP) + 1)
+    x += [0.0] * ((frames - 1) * media.HOP + w - len(x))
+    wave = np.exp(-2j * np.pi * np.outer(np.arange(w // 2 + 1), np.arange(w)) / w)
+    hann = [0.5 - 0.5 * np.cos(2 * np.pi * n / (w - 1)) for n in range(w)]
+    peaks = []
+    for f in range(frames):
+        size = np.round(np.abs(wave @ np.array([np.float32(a) * np.float32(h) for a, h in zip(x[f * media.HOP : f * media.HOP + w], hann, strict=True)])), 2)
+        peaks.append([max(range(a, b), key=lambda k: (size[k], -k)) for a, b in zip(media.BANDS, media.BANDS[1:], strict=False)])
+    out = [(f << 32) | (a << 20) | (b << 8) for f, p in enumerate(peaks) for i, a in enumerate(p) for b in p[i + 1 :]]
+    out += [(f << 32) | (a << 20) | (b << 8) | gap for f, p in enumerate(peaks) for gap in range(1, media.FAN_OUT + 1) if f + gap < frames for a in p for b in peaks[f + gap]]
+    return sorted(out)
 
 
 def test_media_spectrum_is_a_short_time_fourier_transform():
     samples = bytes((128 + 100 * np.sin(2 * np.pi * 20 * np.arange(1024) / media.WINDOW)).astype(np.uint8))
     mag = media.spectrum(samples)
-    assert mag.shape == (2, 257) and (mag[:, 1:].argmax(axis=1) + 1 == 20).all()
+    assert mag.shape == (3, 257) and (mag[:, 1:].argmax(axis=1) + 1 == 20).all()
 
 
 def test_empty_tables(spark):
@@ -206,4 +236,4 @@ def test_empty_tables(spark):
     assert packing.pack(none, P.path("byte_bpe_50k.json")).count() == 0
     assert tokenfile.read_tokens(spark, tokenfile.write_tokens(none, P.path("word_bpe_49k.json"))).count() == 0
     assert bpe.encode_decode(none, P.path("byte_bpe_multi_50k.tiktoken"), P.PATTERN).count() == 0
-    assert media.media(none).count() == 0
+    assert media.features(media.store(none)).count() == 0
