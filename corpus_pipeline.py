@@ -10,7 +10,6 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -19,7 +18,10 @@ from nodeweave.ship import ship
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the factorization machine doesn't reject; a null text is clean."""
+    """Documents that the factorization machine doesn't reject; a null or empty text is judged as one without terms.
+
+    Repeated rows are judged alike and all stay or all go. Other columns pass, whatever their names; no rows give none.
+    """
     ship(spark)
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
     columns = docs.columns
@@ -36,24 +38,35 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     if not docs.groupBy("doc_id").count().filter("count > 1").limit(1).count():
         groups = neardup.near_groups(docs).filter(F.col("doc_id") != F.col("component_id")).select("doc_id")
         return docs.join(groups, "doc_id", "left_anti").select(*docs.columns)
-    rows = store.materialize(docs.withColumn("__row", F.monotonically_increasing_id()), "rows")  # written, so that a row keeps its number
-    groups = neardup.near_groups(rows.select(F.col("__row").alias("doc_id"), "text")).withColumnRenamed("doc_id", "__row")
-    least = F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "__row"))
-    kept = groups.join(rows.select("__row", "doc_id"), "__row").groupBy("component_id").agg(least["__row"].alias("__row")).select("__row")
-    return rows.join(kept, "__row", "left_semi").select(*docs.columns)
+    row = store.fresh(docs.columns, "__row")
+    rows = store.materialize(docs.withColumn(row, F.monotonically_increasing_id()), "rows")  # written, so that a row keeps its number
+    groups = neardup.near_groups(rows.select(F.col(row).alias("doc_id"), "text")).withColumnRenamed("doc_id", row)
+    least = F.min(F.struct(F.col("doc_id").isNull(), "doc_id", row))
+    kept = groups.join(rows.select(row, "doc_id"), row).groupBy("component_id").agg(least[row].alias(row)).select(row)
+    return rows.join(kept, row, "left_semi").select(*docs.columns)
 
 
 def pseudonymise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents, personal values replaced; n_chars follows the new text."""
+    """All documents, personal values replaced; n_chars follows the new text where there is such a column.
+
+    A null text stays null. Repeated rows are changed alike. The key is the session's setting ``pii.KEY_SETTING``. Other
+    columns pass, also those named n_values or kinds.
+    """
     columns = docs.columns
-    out = pii.pseudonymise(docs)
+    mine = {c: f"__own_{i}" for i, c in enumerate(columns) if c.lower() in ("n_values", "kinds")}
+    out = pii.pseudonymise(docs.withColumnsRenamed(mine))
     if "n_chars" in columns:
-        out = out.withColumn("n_chars", F.when(F.col("n_values") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")))
-    return out.select(*columns)
+        out = out.withColumn("n_chars", F.when(F.col("n_values") > 0, F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
+    return out.drop("n_values", "kinds").withColumnsRenamed({v: k for k, v in mine.items()}).select(*[F.col(f"`{c}`") for c in columns])
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of all documents in sequences of 2,048 ids."""
+    """Pieces of all documents in sequences of 2,048 ids; a null text is empty, and its end id a piece.
+
+    Rows with one doc_id are documents of their own; equal pieces take their places in any order. Other columns are left out.
+    """
+    import public_tokenizers
+
     ship(spark)
     return packing.pack(docs, public_tokenizers.path("byte_bpe_50k.json"))
 
