@@ -67,11 +67,11 @@ def init_membership(a, k, offset=0.2, seed=0):
     return unit_columns(indicators(kmeans_variables(a, k, seed), k) + offset)
 
 
-def nmf(a, k, seed=0, max_iter=500, tol=1e-9):
+def nmf(a, k, seed=0, max_iter=500, tol=1e-9, start=None):
     """Non-negative F, G with A close to F G', and the errors; multiplicative steps never raise the error."""
     rng = np.random.default_rng(seed)
     a = np.maximum(a, 0.0)
-    f, g = rng.random((a.shape[0], k)) + 0.1, rng.random((a.shape[1], k)) + 0.1
+    f, g = (x.copy() for x in start) if start is not None else (rng.random((a.shape[0], k)) + 0.1, rng.random((a.shape[1], k)) + 0.1)
     errors = []
     for _ in range(max_iter):
         f *= (a @ g) / np.maximum(f @ (g.T @ g), 1e-12)
@@ -82,11 +82,11 @@ def nmf(a, k, seed=0, max_iter=500, tol=1e-9):
     return f, g, errors
 
 
-def symmetric_nmf(a, k, seed=0, max_iter=500, tol=1e-9):
+def symmetric_nmf(a, k, seed=0, max_iter=500, tol=1e-9, start=None):
     """Non-negative F with A close to F F', by damped steps (half of the ratio)."""
     rng = np.random.default_rng(seed)
     a = np.maximum(a, 0.0)
-    f = rng.random((len(a), k)) * np.sqrt(a.mean() / k) * 2 + 1e-3
+    f = start.copy() if start is not None else rng.random((len(a), k)) * np.sqrt(a.mean() / k) * 2 + 1e-3
     errors = []
     for _ in range(max_iter):
         f *= 0.5 + 0.5 * (a @ f) / np.maximum(f @ (f.T @ f), 1e-12)
@@ -96,10 +96,10 @@ def symmetric_nmf(a, k, seed=0, max_iter=500, tol=1e-9):
     return f, errors
 
 
-def tri_factor(a, k, seed=0, max_iter=300, tol=1e-8):
-    """W (non-negative, unit columns, nearly orthogonal) and S with |A| close to W S W', and the errors."""
+def tri_factor(a, k, seed=0, max_iter=300, tol=1e-8, w=None):
+    """W (non-negative, unit columns, nearly orthogonal) and S with |A| close to W S W', and the errors; ``w``: start."""
     a = np.abs(np.asarray(a, dtype=float))
-    w = init_membership(a, k, seed=seed)
+    w = init_membership(a, k, seed=seed) if w is None else w
     s = w.T @ a @ w
     errors = []
     for _ in range(max_iter):

@@ -5,7 +5,7 @@ from __future__ import annotations
 from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import partition as part
@@ -195,6 +195,26 @@ def kmeans_groups(signals: DataFrame, m: int, seed: int = 0) -> DataFrame:
     return model.transform(vectors).withColumnRenamed("prediction", "state").drop("features")
 
 
+def nearest(x: str, centres) -> Column:
+    """Number of the centre nearest to the array column; ties to the first."""
+    far = lambda c: F.aggregate(F.zip_with(x, F.array(*[F.lit(float(v)) for v in c]), lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, v: s + v)
+    dist = F.array(*[far(c) for c in centres])
+    return (F.array_position(dist, F.array_min(dist)) - 1).cast("int")
+
+
+def lloyd(signals: DataFrame, centres, steps: int) -> tuple[DataFrame, np.ndarray]:
+    """k-means from given centres: signals with ``state`` after so many steps, and the centres then (an empty one stays).
+
+    One aggregate a step; the driver gets one row for each centre and variable.
+    """
+    centres = np.array(centres, dtype=float)
+    for _ in range(steps):
+        sums = signals.select(nearest("x", centres).alias("state"), F.posexplode("x").alias("v", "value")).groupBy("state", "v").agg(F.avg("value").alias("mean"))
+        for row in sums.collect():
+            centres[row["state"], row["v"]] = row["mean"]
+    return signals.withColumn("state", nearest("x", centres)), centres
+
+
 def two_stage(kind: str, signals: DataFrame, m: int, k: int, l1: float = 0.02, l2: float = 0.05, seed: int = 0, penalty: str = "group", **settings) -> tuple[NetworkModel, DataFrame]:
     """k-means of samples into states, then ``coupled``, ``trifactor`` or ``joint`` per state; (model, sample states)."""
     grouped = kmeans_groups(signals, m, seed)

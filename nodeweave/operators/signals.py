@@ -49,20 +49,36 @@ def embedding_signals(spark: SparkSession, sf_dir: str) -> DataFrame:
     return v.select(F.col("vec_id").alias("sample_id"), F.transform("embedding", lambda e: e.cast("double")).alias("x"), "label")
 
 
-def letter_counts(text: Column) -> Column:
-    """Array of how often each letter occurs in the lower-cased text."""
-    low = F.lower(F.coalesce(text, F.lit("")))
-    return F.array(*[(F.length(low) - F.length(F.translate(low, c, ""))).cast("double") for c in LETTERS])
+def count_letters(texts: DataFrame, letters: str = LETTERS, column: str = "letters") -> DataFrame:
+    """All columns but ``text``, and an array of how often each letter stands in the lower-cased text (null: empty).
+
+    One pass over a text's bytes, however many letters are counted; map-only. Letters are of Latin-1.
+    """
+    import numpy as np
+
+    kept = [c for c in texts.columns if c.lower() != "text"]
+    codes = np.frombuffer(letters.encode("latin-1"), np.uint8)
+
+    def run(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            counts = np.empty((batch.num_rows, len(codes)))
+            for i, t in enumerate(batch.column(len(kept))):
+                low = (t.as_py() or "").lower().encode("latin-1", "replace")
+                counts[i] = np.bincount(np.frombuffer(low, np.uint8), minlength=256)[codes]
+            ends = pa.array(np.arange(batch.num_rows + 1, dtype=np.int32) * len(codes))
+            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(len(kept))), pa.ListArray.from_arrays(ends, pa.array(counts.reshape(-1)))], names=[*kept, column])
+
+    schema = ", ".join(f"`{n}` {t}" for n, t in texts.select(*kept).dtypes)
+    return texts.select(*kept, "text").mapInArrow(run, f"{schema}, {column} array<double>")
 
 
 def letter_signals(texts: DataFrame, id_column: str, *keep: str, least: int = 50) -> DataFrame:
     """sample_id, kept columns and x: shares of letters, for texts of more than ``least`` letters; map-only."""
-    low = F.lower(F.coalesce("text", F.lit("")))
-    total = F.length(low) - F.length(F.translate(low, LETTERS, ""))
-    # counts and their sum are bound once per row, as a lambda would otherwise compute them per letter
-    share = lambda c: F.transform(F.array(F.aggregate(c, F.lit(0.0), lambda a, b: a + b)), lambda t: F.transform(c, lambda v: v / t))[0]
-    x = F.transform(F.array(letter_counts(F.col("text"))), share)[0]
-    return texts.filter(total > least).select(F.col(id_column).cast("long").alias("sample_id"), *keep, x.alias("x"))
+    counted = count_letters(texts.select(F.col(id_column).cast("long").alias("sample_id"), *keep, "text"))
+    counted = counted.withColumn("total", F.aggregate("letters", F.lit(0.0), lambda a, b: a + b)).filter(F.col("total") > least)
+    return counted.select("sample_id", *keep, F.transform("letters", lambda v: v / F.col("total")).alias("x"))
 
 
 def document_signals(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -76,7 +92,7 @@ def page_signals(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def conversation_signals(spark: SparkSession, sf_dir: str) -> DataFrame:
     turns = load(spark, sf_dir, "conversations", "conv_id", "turn", "role", "text")
-    return letter_signals(turns.withColumn("id", F.xxhash64("conv_id", "turn")), "id", "role")
+    return letter_signals(turns.withColumn("id", F.col("conv_id").cast("long") * F.lit(1 << 20) + F.col("turn")), "id", "role")
 
 
 def benchmark_signals(spark: SparkSession, sf_dir: str) -> DataFrame:

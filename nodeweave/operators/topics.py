@@ -6,12 +6,13 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .signals import count_letters
+
 
 def letter_bag(docs: DataFrame, letters: str = "abcdefghijklmnopqrstuvwxyz") -> DataFrame:
-    """(doc_id, term, n) of the letters of each text, absent ones left out."""
-    low = F.lower(F.coalesce("text", F.lit("")))
-    pairs = F.array(*[F.struct(F.lit(i).alias("term"), (F.length(low) - F.length(F.translate(low, c, ""))).cast("long").alias("n")) for i, c in enumerate(letters)])
-    return docs.select("doc_id", F.explode(pairs).alias("e")).select("doc_id", "e.term", "e.n").filter("n > 0")
+    """(doc_id, term, n) of the letters of each text, absent ones left out; one pass over a text, whatever the number of letters."""
+    counted = count_letters(docs.select("doc_id", "text"), letters)
+    return counted.select("doc_id", F.posexplode("letters").alias("term", "n")).select("doc_id", "term", F.col("n").cast("long").alias("n")).filter("n > 0")
 
 
 def naive_bayes_counts(bag: DataFrame, labels: DataFrame, label: str) -> DataFrame:
@@ -22,15 +23,14 @@ def naive_bayes_counts(bag: DataFrame, labels: DataFrame, label: str) -> DataFra
     return counts.join(totals, "label").select("label", "term", "n", "total")
 
 
-def topic_mixture(bag: DataFrame, m: int, terms: int, max_iter: int = 15, seed: int = 0, smooth: float = 0.5) -> tuple[np.ndarray, np.ndarray, DataFrame]:
+def topic_mixture(bag: DataFrame, m: int, terms: int, max_iter: int = 15, seed: int = 0, smooth: float = 0.5, theta=None) -> tuple[np.ndarray, np.ndarray, DataFrame]:
     """EM of a mixture of multinomials: shares, term probabilities and (doc_id, state). One aggregate per iteration."""
-    rng = np.random.default_rng(seed)
-    overall = np.zeros(terms)
-    for r in bag.groupBy("term").agg(F.sum("n").alias("n")).collect():  # one row a term
-        overall[r["term"]] = r["n"]
-    base = (overall + smooth) / (overall + smooth).sum()
-    theta = base * rng.uniform(0.7, 1.3, (m, terms))
-    theta /= theta.sum(axis=1, keepdims=True)
+    if theta is None:
+        overall = np.zeros(terms)
+        for r in bag.groupBy("term").agg(F.sum("n").alias("n")).collect():  # one row a term
+            overall[r["term"]] = r["n"]
+        theta = (overall + smooth) / (overall + smooth).sum() * np.random.default_rng(seed).uniform(0.7, 1.3, (m, terms))
+        theta /= theta.sum(axis=1, keepdims=True)
     shares = np.full(m, 1 / m)
     docs = bag.groupBy("doc_id").agg(F.collect_list(F.struct("term", "n")).alias("e")).persist()
     names = [f"z{j}" for j in range(m)]
@@ -48,14 +48,17 @@ def topic_mixture(bag: DataFrame, m: int, terms: int, max_iter: int = 15, seed:
         return out.withColumn("r", F.array(*[F.exp(F.col(z) - top) / total for z in names]))
 
     for _ in range(max_iter):
-        flat = scored().select("r", F.explode("e").alias("x"))
+        # a document's mass travels as one more term, so one pass gives both sums
+        entries = F.concat(F.array(F.struct(F.lit(-1).alias("term"), F.lit(1).cast("long").alias("n"))), "e")
+        flat = scored().select("r", F.explode(entries).alias("x"))
         sums = flat.groupBy("x.term").agg(*[F.sum(F.col("x.n") * F.col("r")[j]).alias(names[j]) for j in range(m)]).collect()
-        mass = scored().agg(*[F.sum(F.col("r")[j]).alias(names[j]) for j in range(m)]).first()
         theta = np.full((m, terms), smooth)
         for r in sums:
-            theta[:, r["term"]] += [r[z] for z in names]
+            if r["term"] < 0:
+                shares = np.array([r[z] for z in names])
+            else:
+                theta[:, r["term"]] += [r[z] for z in names]
         theta /= theta.sum(axis=1, keepdims=True)
-        shares = np.array([mass[z] for z in names])
         shares = np.maximum(shares / shares.sum(), 1e-9)
     states = scored().select("doc_id", (F.array_position("r", F.array_max("r")) - 1).cast("int").alias("state"))
     return shares, theta, states

@@ -66,7 +66,6 @@ BINS = """ev AS (
 ), em AS (SELECT var_id, avg(value) AS m FROM eb GROUP BY 1
 ), ec AS (SELECT sample_id, var_id, value - m AS value FROM eb JOIN em USING (var_id)
 ), ea AS (SELECT a.var_id AS i, b.var_id AS j, sum(a.value * b.value) / count(*) AS value FROM ec a JOIN ec b USING (sample_id) GROUP BY 1, 2
-), e2 AS (SELECT sample_id, max(CASE WHEN var_id = 0 THEN value END) AS x, max(CASE WHEN var_id = 1 THEN value END) AS y FROM ec GROUP BY 1
 )"""
 SOFT = "((({id} % 2147483648) * 2654435761 + {seed} * 40503) % 4294967296) // 65536 % {m}"
 
@@ -112,6 +111,30 @@ def signals_letters(spark, d):
     return sig.to_long(sig.document_signals(spark, d)).select("sample_id", "var_id", r("value").alias("value"))
 
 
+def letters_sql(table: str, sample: str, text: str, extra: str = "") -> str:
+    """Shares of letters of a table's texts, long."""
+    return f"""WITH l AS (SELECT unnest(string_split('{sig.LETTERS}', '')) AS c, generate_subscripts(string_split('{sig.LETTERS}', ''), 1) - 1 AS v),
+t AS (SELECT {sample} AS id, lower({text}) AS low{extra} FROM {table}),
+n AS (SELECT t.*, CAST(v AS INTEGER) AS var_id, length(low) - length(replace(low, c, '')) AS n FROM t CROSS JOIN l),
+s AS (SELECT *, sum(n) OVER (PARTITION BY id) AS total FROM n)
+SELECT CAST(id AS BIGINT) AS sample_id, var_id, round(CAST(n AS DOUBLE) / CAST(total AS DOUBLE), 6) AS value{', role' if extra else ''} FROM s WHERE total > 50"""
+
+
+@query(letters_sql("pages", "page_id", "regexp_replace(html, '<[^>]*>', ' ', 'g')"))
+def signals_letters_pages(spark, d):
+    return sig.to_long(sig.page_signals(spark, d)).select("sample_id", "var_id", r("value").alias("value"))
+
+
+@query(letters_sql("conversations", "conv_id * 1048576 + turn", "text", ", role"))
+def signals_letters_conversations(spark, d):
+    return sig.conversation_signals(spark, d).select("sample_id", "role", F.posexplode("x").alias("var_id", "value")).select("sample_id", "var_id", r("value").alias("value"), "role")
+
+
+@query(letters_sql("benchmark", "item_id", "text"))
+def signals_letters_benchmark(spark, d):
+    return sig.to_long(sig.benchmark_signals(spark, d)).select("sample_id", "var_id", r("value").alias("value"))
+
+
 @query("""SELECT vec_id AS sample_id, CAST(generate_subscripts(embedding, 1) - 1 AS INTEGER) AS var_id, CAST(unnest(embedding) AS DOUBLE) AS value FROM embeddings""")
 def signals_embedding_long(spark, d):
     return sig.embedding_long(spark, d)[0]
@@ -295,97 +318,21 @@ def sparse_precision_variables(spark, d):
 QUERIES["sparse_precision_variables"] = sparse_precision_variables
 
 
-# ---- mixtures in two variables: one and three EM steps, losses, densities ------------------------
-
-#: Fixed start of the unrolled mixtures: shares and precisions of two zero-mean states.
-START = Params(np.array([0.4, 0.6]), [np.eye(2), np.eye(2)], [np.array([[0.2, 0.05], [0.05, 0.3]]), np.array([[1.0, -0.2], [-0.2, 0.8]])], np.ones(2), "projected")
-
-
-def _state_sql(j, p):
-    o = p.omega[j]
-    return f"SELECT {j} AS j, {p.shares[j]}e0 AS s, {o[0, 0]}e0 AS a, {o[0, 1]}e0 AS b, {o[1, 1]}e0 AS c"
-
-
-def em_sql(steps: int, last: str) -> str:
-    """``steps`` EM steps over e2 (x, y), unrolled; p<t> holds the parameters after t steps."""
-    parts = [BINS, f"p0 AS ({_state_sql(0, START)} UNION ALL {_state_sql(1, START)})"]
-    for t in range(steps + 1):
-        parts.append(f"d{t} AS (SELECT sample_id, x, y, j, s * sqrt(a * c - b * b) / (2 * pi()) * exp(-(a * x * x + 2 * b * x * y + c * y * y) / 2) AS f FROM e2 CROSS JOIN p{t})")
-        parts.append(f"r{t} AS (SELECT *, f / sum(f) OVER (PARTITION BY sample_id) AS r FROM d{t})")
-        if t < steps:
-            parts.append(f"m{t} AS (SELECT j, sum(r) / (SELECT count(*) FROM e2) AS s, sum(r * x * x) / sum(r) AS xx, sum(r * x * y) / sum(r) AS xy, sum(r * y * y) / sum(r) AS yy FROM r{t} GROUP BY j)")
-            parts.append(f"p{t + 1} AS (SELECT j, s, yy / (xx * yy - xy * xy) AS a, -xy / (xx * yy - xy * xy) AS b, xx / (xx * yy - xy * xy) AS c FROM m{t})")
-    return f"WITH {', '.join(parts)} {last}"
-
-
-def em_params(spark, d, steps):
-    from .functions.states import Options, m_step
-
-    rows = bins_dense(spark, d, 2).persist()
-    opt = Options(m=2, k=2, l1=0.0, density="projected", membership_update="frozen", precision_moment="signed")
-    p, stats = START, None
-    for t in range(steps + 1):
-        stats = moments.state_passes(rows, [p], [opt], True)[0]
-        if t < steps:
-            p = m_step(stats, p, opt)
-    return rows, p, stats
-
-
-@query(em_sql(0, "SELECT sample_id, round(max(CASE WHEN j = 0 THEN r END), 5) AS r0 FROM r0 GROUP BY 1"))
-def mixture_step_e(spark, d):
-    rows, p, s = em_params(spark, d, 0)
-    return NetworkModel(p, s.mass, s.nll).transform(rows).select("sample_id", r(F.col("r")[0], 5).alias("r0"))
-
-
-@query(em_sql(1, "SELECT CAST(j AS INTEGER) AS state, round(s, 5) AS share, round(a, 4) AS a, round(b, 4) AS b, round(c, 4) AS c FROM p1"))
-def mixture_step_m(spark, d):
-    _, p, _ = em_params(spark, d, 1)
-    return params_frame(spark, p)
-
-
-def params_frame(spark, p):
-    return spark.createDataFrame([(j, round(float(p.shares[j]), 5), *[round(float(v), 4) for v in (o[0, 0], o[0, 1], o[1, 1])]) for j, o in enumerate(p.omega)], "state int, share double, a double, b double, c double")
-
-
-@query(em_sql(3, "SELECT CAST(j AS INTEGER) AS state, round(s, 5) AS share, round(a, 4) AS a, round(b, 4) AS b, round(c, 4) AS c FROM p3"))
-def mixture_unrolled_3(spark, d):
-    _, p, _ = em_params(spark, d, 3)
-    return params_frame(spark, p)
-
-
-@query(em_sql(0, "SELECT round(-sum(ln(g)), 3) AS nll FROM (SELECT sum(f) AS g FROM d0 GROUP BY sample_id)"))
-def mixture_nll(spark, d):
-    rows, p, s = em_params(spark, d, 0)
-    return spark.createDataFrame([(round(est.negative_log_likelihood(rows, NetworkModel(p, s.mass, s.nll)), 3),)], "nll double")
-
+# ---- membership rule, on all variables ------------------------------------------------------------
 
-#: One node over two variables: y = (x + y) / sqrt 2 with a precision, and an isotropic remainder.
-RESIDUAL = Params(np.array([0.5, 0.5]), [np.full((2, 1), 1 / np.sqrt(2)), np.array([[1.0], [0.0]])], [np.array([[0.3]]), np.array([[0.9]])], np.array([0.7, 1.5]), "residual")
-
-
-@query(f"""WITH {BINS}, f AS (SELECT sample_id,
-  sqrt(3e-1) / sqrt(2 * pi()) * exp(-3e-1 * (x + y) * (x + y) / 4) / sqrt(2 * pi() * 7e-1) * exp(-(x - y) * (x - y) / 2 / (2 * 7e-1)) AS f0,
-  sqrt(9e-1) / sqrt(2 * pi()) * exp(-9e-1 * x * x / 2) / sqrt(2 * pi() * 15e-1) * exp(-y * y / (2 * 15e-1)) AS f1 FROM e2)
-SELECT sample_id, round(f0 / (f0 + f1), 5) AS r0 FROM f""")
-def residual_density_step(spark, d):
-    return NetworkModel(RESIDUAL, np.ones(2), 0.0).transform(bins_dense(spark, d, 2)).select("sample_id", r(F.col("r")[0], 5).alias("r0"))
-
-
-# ---- membership rule on four variables ------------------------------------------------------------
-
-W4 = np.array([[0.6, 0.1], [0.5, 0.2], [0.2, 0.7], [0.3, 0.4]])
+W5 = np.array([[0.6, 0.1], [0.5, 0.2], [0.2, 0.7], [0.3, 0.4], [0.1, 0.5]])
 O2 = np.array([[1.5, -0.4], [-0.4, 2.0]])
-RULE = f"""WITH {BINS}, w(i, k, v) AS (VALUES {', '.join(f'({i}, {k}, {W4[i, k]}e0)' for i in range(4) for k in range(2))}),
+RULE = f"""WITH {BINS}, w(i, k, v) AS (VALUES {', '.join(f'({i}, {k}, {W5[i, k]}e0)' for i in range(5) for k in range(2))}),
 o(k, l, v) AS (VALUES {', '.join(f'({k}, {l}, {O2[k, l]}e0)' for k in range(2) for l in range(2))}),
-a AS (SELECT i, j, value AS v FROM ea WHERE i < 4 AND j < 4),
+a AS (SELECT i, j, value AS v FROM ea),
 waw AS (SELECT p.k, q.k AS l, sum(p.v * a.v * q.v) AS v FROM w p JOIN a ON a.i = p.i JOIN w q ON q.i = a.j GROUP BY 1, 2),
 lam AS (SELECT waw.k, o.l, -sum(waw.v * o.v) AS v FROM waw JOIN o ON o.k = waw.l GROUP BY 1, 2)"""
 
 
 @query(f"{RULE} SELECT CAST(k AS INTEGER) AS i, CAST(l AS INTEGER) AS j, round(v, 5) AS value, round(greatest(v, 0), 5) AS plus, round(greatest(-v, 0), 5) AS minus FROM lam")
 def ortho_multiplier(spark, d):
-    a, _ = moments.gram(bins_dense(spark, d, 4))
-    rows = matrix_frame(spark, mem.ortho_multiplier(W4, a, O2), digits=12)
+    a, _ = moments.gram(bins_dense(spark, d))
+    rows = matrix_frame(spark, mem.ortho_multiplier(W5, a, O2), digits=12)
     return rows.select("i", "j", r("value", 5).alias("value"), r(F.greatest("value", F.lit(0.0)), 5).alias("plus"), r(F.greatest(-F.col("value"), F.lit(0.0)), 5).alias("minus"))
 
 
@@ -395,8 +342,30 @@ u AS (SELECT w.i, lam.l AS k, sum(w.v * greatest(-lam.v, 0)) AS num, sum(w.v * g
 n AS (SELECT w.i, w.k, w.v * greatest(t.num + u.num, 1e-10) / greatest(t.den + u.den, 1e-10) AS v FROM w JOIN t USING (i, k) JOIN u USING (i, k))
 SELECT CAST(i AS INTEGER) AS var_id, CAST(k AS INTEGER) AS node, round(v / sqrt(sum(v * v) OVER (PARTITION BY k)), 5) AS weight FROM n""")
 def membership_update_once(spark, d):
-    a, _ = moments.gram(bins_dense(spark, d, 4))
-    return matrix_frame(spark, mem.update_membership(W4, a, O2, "sign_split"), ("var_id", "node"), 5).withColumnRenamed("value", "weight")
+    a, _ = moments.gram(bins_dense(spark, d))
+    return matrix_frame(spark, mem.update_membership(W5, a, O2, "sign_split"), ("var_id", "node"), 5).withColumnRenamed("value", "weight")
+
+
+def plain_rule_sql(moment: str) -> str:
+    """The rule with one moment for both sides of the fraction, signed or absolute."""
+    rule = RULE.replace("value AS v FROM ea", f"{moment} AS v FROM ea")
+    return f"""{rule}, aw AS (SELECT a.i, w.k, sum(a.v * w.v) AS v FROM a JOIN w ON w.i = a.j GROUP BY 1, 2),
+t AS (SELECT aw.i, o.l AS k, sum(aw.v * greatest(-o.v, 0)) AS num, sum(aw.v * greatest(o.v, 0)) AS den FROM aw JOIN o ON o.k = aw.k GROUP BY 1, 2),
+u AS (SELECT w.i, lam.l AS k, sum(w.v * greatest(-lam.v, 0)) AS num, sum(w.v * greatest(lam.v, 0)) AS den FROM w JOIN lam ON lam.k = w.k GROUP BY 1, 2),
+n AS (SELECT w.i, w.k, w.v * greatest(t.num + u.num, 1e-10) / greatest(t.den + u.den, 1e-10) AS v FROM w JOIN t USING (i, k) JOIN u USING (i, k))
+SELECT CAST(i AS INTEGER) AS var_id, CAST(k AS INTEGER) AS node, round(v / sqrt(sum(v * v) OVER (PARTITION BY k)), 5) AS weight FROM n"""
+
+
+@query(plain_rule_sql("abs(value)"))
+def membership_update_absolute(spark, d):
+    a, _ = moments.gram(bins_dense(spark, d))
+    return matrix_frame(spark, mem.update_membership(W5, a, O2, "absolute"), ("var_id", "node"), 5).withColumnRenamed("value", "weight")
+
+
+@query(plain_rule_sql("value"))
+def membership_update_signed(spark, d):
+    a, _ = moments.gram(bins_dense(spark, d))
+    return matrix_frame(spark, mem.update_membership(W5, a, O2, "signed"), ("var_id", "node"), 5).withColumnRenamed("value", "weight")
 
 
 # ---- k-means and the second stage -----------------------------------------------------------------
@@ -409,41 +378,13 @@ SELECT vec_id AS sample_id, CAST(arg_min(c, dist) AS INTEGER) AS state FROM s GR
 def kmeans_assign(spark, d):
     rows = sig.embedding_signals(spark, d).select("sample_id", "x")
     centres = [r["x"] for r in rows.filter("sample_id < 4").orderBy("sample_id").collect()]  # four centres
-    far = lambda c: F.aggregate(F.zip_with("x", F.array(*[F.lit(v) for v in c]), lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, v: s + v)
-    dist = F.array(*[far(c) for c in centres])
-    return rows.select("sample_id", (F.array_position(dist, F.array_min(dist)) - 1).cast("int").alias("state"))
-
-
-def lloyd_sql(steps):
-    parts = [BINS, "c0(c, cx, cy) AS (VALUES (0, -3e0, 0e0), (1, 0e0, 3e0), (2, 3e0, -1e0))"]
-    for t in range(steps):
-        parts.append(f"g{t} AS (SELECT sample_id, x, y, arg_min(c, (x - cx) * (x - cx) + (y - cy) * (y - cy)) AS c FROM e2 CROSS JOIN c{t} GROUP BY 1, 2, 3)")
-        parts.append(f"c{t + 1} AS (SELECT c, avg(x) AS cx, avg(y) AS cy FROM g{t} GROUP BY c)")
-    return f"WITH {', '.join(parts)} SELECT CAST(c AS INTEGER) AS state, round(cx, 5) AS x, round(cy, 5) AS y FROM c{steps}"
-
+    return rows.select("sample_id", est.nearest("x", centres).alias("state"))
 
-@query(lloyd_sql(3))
-def kmeans_lloyd_3(spark, d):
-    rows = bins_dense(spark, d, 2).select("sample_id", F.col("x")[0].alias("x"), F.col("x")[1].alias("y")).persist()
-    centres = [(0, -3.0, 0.0), (1, 0.0, 3.0), (2, 3.0, -1.0)]
-    for _ in range(3):
-        best = F.least(*[F.struct(((F.col("x") - cx) * (F.col("x") - cx) + (F.col("y") - cy) * (F.col("y") - cy)).alias("d"), F.lit(c).alias("c")) for c, cx, cy in centres])
-        got = rows.select("x", "y", best["c"].alias("c")).groupBy("c").agg(F.avg("x").alias("x"), F.avg("y").alias("y"))
-        centres = [tuple(v) for v in got.orderBy("c").collect()]  # one row a centre
-    return spark.createDataFrame([(int(c), round(x, 5), round(y, 5)) for c, x, y in centres], "state int, x double, y double")
 
-
-@query("""WITH e AS (SELECT label, vec_id, generate_subscripts(embedding, 1) - 1 AS v, CAST(unnest(embedding) AS DOUBLE) AS x FROM embeddings), f AS (SELECT * FROM e WHERE v < 8)
-SELECT CAST(a.label AS INTEGER) AS state, CAST(a.v AS INTEGER) AS i, CAST(b.v AS INTEGER) AS j, round(sum(a.x * b.x) / count(*), 6) AS value FROM f a JOIN f b USING (vec_id) GROUP BY 1, 2, 3""")
+@query("""WITH e AS (SELECT label, vec_id, generate_subscripts(embedding, 1) - 1 AS v, CAST(unnest(embedding) AS DOUBLE) AS x FROM embeddings WHERE label IS NOT NULL)
+SELECT CAST(a.label AS INTEGER) AS state, CAST(a.v AS INTEGER) AS i, CAST(b.v AS INTEGER) AS j, round(sum(a.x * b.x) / count(*), 6) AS value FROM e a JOIN e b USING (vec_id) GROUP BY 1, 2, 3""")
 def two_stage_group_moments(spark, d):
-    rows = sig.embedding_signals(spark, d).withColumn("x", F.slice("x", 1, 8)).withColumn("state", F.col("label").cast("int"))
-    found = moments.grouped_moments(rows, 10)
-    return spark.createDataFrame([(g, i, j, round(float(a[i, j]), 6) + 0.0) for g, (a, n) in enumerate(found) if n for i in range(8) for j in range(8)], "state int, i int, j int, value double")
-
-
-@query()
-def two_stage_group_moments_whole(spark, d):
-    """All components and every label of the table; the query above is its prefix of eight, as its SQL says."""
+    """All components of every row, and every label of the table."""
     rows = sig.embedding_signals(spark, d).withColumn("state", F.col("label").cast("int")).filter("state is not null")
     labels = [x["state"] for x in rows.select("state").distinct().orderBy("state").collect()]  # one row a label
     places = F.create_map(*[F.lit(v) for pair in ((g, i) for i, g in enumerate(labels)) for v in pair])
@@ -582,10 +523,10 @@ def range_join_bins(spark, d):
     return relops.range_join(rows, bins, "h", "lo", "hi", 48).groupBy("name").agg(F.count("*").alias("n"))
 
 
-@query(f"WITH {BINS} SELECT sample_id, round(avg(x) OVER (ORDER BY sample_id RANGE BETWEEN 2 PRECEDING AND 2 FOLLOWING), 5) AS smoothed FROM e2")
+@query(f"WITH {BINS} SELECT sample_id, var_id, round(avg(value) OVER (PARTITION BY var_id ORDER BY sample_id RANGE BETWEEN 2 PRECEDING AND 2 FOLLOWING), 5) AS smoothed FROM ec")
 def smooth_states(spark, d):
-    rows = bins_dense(spark, d, 1).select(F.lit(0).alias("unit"), "sample_id", F.col("x")[0].alias("v"))
-    return relops.smooth(rows, "unit", "sample_id", "v", 2).select("sample_id", r("smoothed", 5).alias("smoothed"))
+    rows = sig.to_long(bins_dense(spark, d))
+    return relops.smooth(rows, "var_id", "sample_id", "value", 2).select("sample_id", "var_id", r("smoothed", 5).alias("smoothed"))
 
 
 @query("""WITH l AS (SELECT unnest(string_split('abcdefghijklmnopqrstuvwxyz', '')) AS c, generate_subscripts(string_split('abcdefghijklmnopqrstuvwxyz', ''), 1) - 1 AS term),
@@ -780,6 +721,9 @@ def stream_scores(spark, d):
     return _run_stream(spark, d, build, "scores", "append").groupBy("state_hat").agg(F.count("*").alias("n"))
 
 
+from . import unrolled_queries  # noqa: E402, F401  (registers its own)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return dict(QUERIES)
 
