@@ -39,6 +39,7 @@ class Options:
     normalize: bool = True
     n_restarts: int = 1
     strategy: str = "auto"
+    stage: bool = True  # write signals that are not cached before iterating
     parallel_states: bool = False  # solve the states' M steps in threads
     refresh: tuple = (2, 5, 9, 14)  # EM steps at which a state's membership may start anew from its own moment
 
@@ -56,7 +57,10 @@ class Params:
 
 @dataclass
 class Stats:
-    """Sums over samples. gram: m x p x p sums of r x x'; product: m x p x k sums of r x (x'W)."""
+    """Sums over samples. gram: m x p x p sums of r x x'; product: m x p x k sums of r x (x'W).
+
+    ``gram`` may lack the last state's sum, which is the sum over all samples less the others' (:meth:`completed`).
+    """
 
     mass: np.ndarray
     square: np.ndarray
@@ -65,25 +69,39 @@ class Stats:
     gram: np.ndarray | None = None
     product: np.ndarray | None = None
 
-    def add(self, other: Stats) -> Stats:
-        both = lambda a, b: None if a is None or b is None else a + b
-        return Stats(self.mass + other.mass, self.square + other.square, self.nll + other.nll, self.n + other.n, both(self.gram, other.gram), both(self.product, other.product))
-
     def flat(self) -> np.ndarray:
+        """One array; of a gram only the upper triangles."""
         parts = [self.mass, self.square, [self.nll, self.n]]
-        parts += [x.reshape(-1) for x in (self.gram, self.product) if x is not None]
+        if self.gram is not None:
+            upper = np.triu_indices(self.gram.shape[1])
+            parts += [g[upper] for g in self.gram]
+        elif self.product is not None:
+            parts.append(self.product.reshape(-1))
         return np.concatenate(parts)
 
     @staticmethod
-    def of(flat: np.ndarray, m: int, p: int, k: int, gram: bool) -> Stats:
-        rest = flat[2 * m + 2 :]
+    def of(flat: np.ndarray, m: int, k: int, grams: int) -> Stats:
+        """From a sum of flat arrays; ``grams``: how many states' grams it holds (0: products)."""
         out = Stats(flat[:m], flat[m : 2 * m], float(flat[2 * m]), int(round(flat[2 * m + 1])))
-        if gram:
-            out.gram = rest.reshape(m, p, p)
-        elif len(rest):
-            out.product = rest.reshape(m, p, k)
+        rest = flat[2 * m + 2 :]
+        if grams:
+            size = len(rest) // grams
+            p = int(round((np.sqrt(8 * size + 1) - 1) / 2))
+            upper = np.triu_indices(p)
+            out.gram = np.zeros((grams, p, p))
+            for j, own in enumerate(rest.reshape(-1, size)):
+                out.gram[j][upper] = own
+                out.gram[j].T[upper] = own
+        else:
+            out.product = rest.reshape(m, -1, k)
         return out
 
+    def completed(self, total: np.ndarray) -> Stats:
+        """With the last state's gram, from the gram of all samples."""
+        if self.gram is not None and len(self.gram) < len(self.mass):
+            self.gram = np.concatenate([self.gram, (total - self.gram.sum(axis=0))[None]])
+        return self
+
 
 def soft_class(ids, m, seed):
     """Class of a sample id: an integer mix that SQL engines compute alike."""
@@ -127,22 +145,22 @@ def responsibilities(x, params: Params):
     return np.exp(z - log_sum_exp(z)[:, None])
 
 
-def sums(x, r, nll, params: Params | None, gram: bool) -> Stats:
+def sums(x, r, nll, params: Params | None, gram: bool, all_states: bool = True) -> Stats:
     m = r.shape[1]
     square = (x * x).sum(axis=1)
     out = Stats(r.sum(axis=0), r.T @ square, float(nll), len(x))
     if gram:
-        out.gram = np.stack([(x * r[:, [j]]).T @ x for j in range(m)])
+        out.gram = np.stack([(x * r[:, [j]]).T @ x for j in range(m if all_states or m == 1 else m - 1)])
     elif params is not None:
         out.product = np.stack([(x * r[:, [j]]).T @ (x @ params.w[j]) for j in range(m)])
     return out
 
 
-def em_pass(x, params: Params, gram: bool) -> Stats:
+def em_pass(x, params: Params, gram: bool, all_states: bool = True) -> Stats:
     """Responsibilities of a block under ``params`` and the sums that the M step needs."""
     z = log_joint(x, params)
     top = log_sum_exp(z)
-    return sums(x, np.exp(z - top[:, None]), -top.sum(), params, gram)
+    return sums(x, np.exp(z - top[:, None]), -top.sum(), params, gram, all_states)
 
 
 def _moment(a, mode):
@@ -313,41 +331,63 @@ def penalty(params: Params, mass, opt: Options) -> float:
     return 0.5 * opt.l1 * float(sum(s * np.abs(o).sum() for s, o in zip(scale, params.omega, strict=True)))
 
 
+def product_start(stats: Stats, w, opt: Options) -> tuple[Options, Params]:
+    """Start parameters from sums of r x (x'W) alone: shared precision of the start membership, l1 in absolute units."""
+    n = max(float(stats.mass.sum()), 1e-12)
+    s = symmetric(w.T @ (stats.product.sum(axis=0) / n))
+    if opt.l1_relative:
+        opt = Options(**{**opt.__dict__, "l1": opt.l1 * float(np.trace(s)) / opt.k, "l1_relative": False})
+    omega = sparse_precision(s, opt.l1, jitter=1e-8 * max(np.trace(s) / len(s), 1e-12))
+    tau = mem.residual_variance(float(stats.square.sum()) / n, s, w.T @ w, len(w))
+    return opt, Params(np.full(opt.m, 1 / opt.m), [w.copy() for _ in range(opt.m)], [omega.copy() for _ in range(opt.m)], np.full(opt.m, tau), opt.density)
+
+
 def fit_loop(run_pass, opt: Options, w0=None) -> Fit:
-    """EM over a pass function: run_pass(params or None, gram, seed) gives the sums under params, or under the start.
+    """EM over a pass function: run_pass(params, gram, start) gives the sums under params, or, with ``start``, under the start's states.
 
-    The loss at the parameters of step t comes with the pass of step t + 1, at no extra cost.
+    The loss at the parameters of step t comes with the pass of step t + 1, at no extra cost. The ``product``
+    strategy needs ``w0``, the start membership, and never a p x p matrix. With ``gram``, passes after the first leave out the
+    last state, whose sum follows from that of all samples.
     """
     gram = opt.strategy != "product"
-    total = run_pass(None, True, opt.seed)
-    opt = absolute_penalty(total.gram.sum(axis=0) / max(float(total.mass.sum()), 1e-12), opt)
-    params = start_params(total, opt, w0)
-    stats, trace, last = total, [], None
-    if not gram:
-        stats = run_pass(params, False, opt.seed)
-    good, loss = params, np.inf
+    whole = None
+    if gram:
+        stats = run_pass(None, True, True)
+        whole = stats.gram.sum(axis=0)
+        opt = absolute_penalty(whole / max(float(stats.mass.sum()), 1e-12), opt)
+        params = start_params(stats, opt, w0)
+    else:
+        if w0 is None:
+            raise ValueError("the product strategy needs a start membership")
+        begin = Params(np.full(opt.m, 1 / opt.m), [w0] * opt.m, [np.eye(opt.k)] * opt.m, np.ones(opt.m), opt.density)
+        stats = run_pass(begin, False, True)
+        opt, params = product_start(stats, w0, opt)
+    trace, last = [], None
+    good, loss, mass = params, np.inf, stats.mass
     for t in range(opt.max_iter):
         params = m_step(stats, params, opt, t)
-        stats = run_pass(params, gram, opt.seed)
+        stats = run_pass(params, gram, False)
+        if gram:
+            stats.completed(whole)
         value = stats.nll + penalty(params, stats.mass, opt)
         overlap = max(max_overlap(w) for w in params.w)
         change = np.inf if last is None else (last - value) / max(abs(last), 1e-12)
         trace.append((t, "em", value, float(change), overlap))
         if np.isfinite(value) and value <= loss:
-            good, loss = params, value
+            good, loss, mass = params, value, stats.mass
         if not np.isfinite(value) or (last is not None and abs(change) < opt.tol and t > max(opt.refresh, default=0)):
             break
         last = value
-    return Fit(good, float(loss), trace, stats.mass)
+    return Fit(good, float(loss), trace, mass)
 
 
 def local_pass(x, ids, opt: Options):
     """Pass function over a matrix in memory."""
 
-    def run(params, gram, seed):
-        if params is None:
-            return sums(x, start(x, ids, opt, seed), 0.0, None, True)
-        return em_pass(x, params, gram)
+    def run(params, gram, begin):
+        if begin:
+            return sums(x, start(x, ids, opt, opt.seed), 0.0, params, gram)
+        return em_pass(x, params, gram, False)
 
     return run
 
@@ -361,6 +401,8 @@ def start(x, ids, opt: Options, seed):
 def fit_local(x, opt: Options, ids=None, w0=None) -> Fit:
     """The full estimator on a matrix in memory; best of the restarts by loss."""
     ids = np.arange(len(x)) if ids is None else ids
+    if opt.strategy == "product" and w0 is None:
+        w0 = init_membership(x.T @ x / len(x), opt.k, opt.offset, opt.seed)
     best = None
     for i in range(opt.n_restarts):
         own = Options(**{**opt.__dict__, "seed": opt.seed + i})

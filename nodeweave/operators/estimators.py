@@ -5,6 +5,7 @@ from __future__ import annotations
 from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -12,7 +13,8 @@ from ..functions import partition as part
 from ..functions.numeric import symmetric, unit_columns
 from ..functions.precision import joint_precision, sparse_precision
 from ..functions.states import Fit, Options, Params, Stats, coupled_fit, fit_loop
-from ..plans.planner import choose_strategy
+from ..plans.planner import choose_strategy, moment_mode_for
+from ..sources.staging import stage, unstage
 from . import moments
 from .model import NetworkModel
 
@@ -28,16 +30,30 @@ class StateNetworkMixture:
         self.options = Options(m=m, k=k, l1=l1, **settings)
         self.w0 = None
 
-    def fit(self, signals: DataFrame) -> NetworkModel:
+    def fit(self, signals: DataFrame, n: int | None = None) -> NetworkModel:
+        """The model of least loss over the restarts. Signals that are neither cached nor a plain scan are staged first.
+
+        ``n``: number of samples, if known, for the choice of a strategy.
+        """
         opt = self.options
-        p = moments.assert_uniform_length(signals)
-        strategy = opt.strategy if opt.strategy != "auto" else choose_strategy(None, p, opt.k, opt.m, opt.moment_mode)
-        opts = [Options(**{**opt.__dict__, "seed": opt.seed + i, "strategy": strategy}) for i in range(max(1, opt.n_restarts))]
         if opt.init == "kmeans" and opt.m > 1:
-            signals = kmeans_groups(signals.select("sample_id", "x"), opt.m, opt.seed).withColumnRenamed("state", "start_state").persist()
-        fits = _stacked(signals, opts, self.w0)
+            signals = kmeans_groups(signals.select("sample_id", "x"), opt.m, opt.seed).withColumnRenamed("state", "start_state")
+        given = signals
+        signals = stage(signals.select("sample_id", "x", *[c for c in signals.columns if c == "start_state"])) if opt.stage else signals
+        p = moments.assert_uniform_length(signals)
+        strategy = opt.strategy if opt.strategy != "auto" else choose_strategy(n, p, opt.k, opt.m, opt.moment_mode)
+        mode = moment_mode_for(strategy, opt.moment_mode)
+        opts = [Options(**{**opt.__dict__, "seed": opt.seed + i, "strategy": strategy, "moment_mode": mode}) for i in range(max(1, opt.n_restarts))]
+        rows = moments.few_tasks(signals, p if strategy == "gram" else 0)
+        w0 = self.w0
+        if strategy == "product" and w0 is None:
+            label = part.kmeans(moments.sketch(rows, p, seed=opt.seed), opt.k, opt.seed)[0]
+            w0 = unit_columns(part.indicators(label, opt.k) + opt.offset)
+        fits = _stacked(rows, opts, w0)
+        if signals is not given and not given.is_cached and opt.stage:
+            unstage(signals)
         best = min(fits, key=lambda f: f.loss)
-        return NetworkModel(best.params, best.mass, best.loss, best.trace, {k: (list(v) if isinstance(v, tuple) else v) for k, v in opt.__dict__.items()} | {"p": p, "strategy": strategy})
+        return NetworkModel(best.params, best.mass, best.loss, best.trace, {k: (list(v) if isinstance(v, tuple) else v) for k, v in opt.__dict__.items()} | {"p": p, "strategy": strategy, "moment_mode": mode})
 
 
 def _stacked(signals: DataFrame, opts: list[Options], w0) -> list[Fit]:
@@ -51,9 +67,9 @@ def _stacked(signals: DataFrame, opts: list[Options], w0) -> list[Fit]:
     active = set(range(n))
 
     def ask(i):
-        def run(params, gram, seed):
+        def run(params, gram, begin):
             with lock:
-                waiting[i] = (params, gram)
+                waiting[i] = (params, gram, begin)
                 lock.notify_all()
                 while i not in answers:
                     lock.wait()
@@ -84,9 +100,9 @@ def _stacked(signals: DataFrame, opts: list[Options], w0) -> list[Fit]:
                 waiting.clear()
             try:
                 got: dict[int, Stats | Exception] = {}
-                for gram in {g for _, g in due.values()}:
-                    own = [i for i, (_, g) in due.items() if g == gram]
-                    for i, s in zip(own, moments.state_passes(signals, [due[i][0] for i in own], [opts[i] for i in own], gram), strict=True):
+                for gram, begin in {x[1:] for x in due.values()}:
+                    own = [i for i, x in due.items() if x[1:] == (gram, begin)]
+                    for i, s in zip(own, moments.state_passes(signals, [due[i][0] for i in own], [opts[i] for i in own], gram, begin, False), strict=True):
                         got[i] = s
             except Exception as e:  # handed to the loops, which raise it
                 got = dict.fromkeys(due, e)
@@ -163,26 +179,57 @@ class SparsePrecision:
     def __init__(self, l1: float = 0.1, penalize_diagonal: bool = True):
         self.l1, self.penalize_diagonal = l1, penalize_diagonal
 
-    def fit(self, signals: DataFrame) -> DataFrame:
-        """Rows (state, a, b, value) of the nonzero precision; one task per component."""
-        from ..functions.precision import blocks
+    def fit(self, signals: DataFrame, block: int = 512) -> DataFrame:
+        """Rows (state, a, b, value) of the nonzero precision; one task per component.
 
-        spark = signals.sparkSession
-        a, _ = moments.gram(signals)
-        l1, diag = self.l1, self.penalize_diagonal
-        jobs = [(i, own.tolist(), a[np.ix_(own, own)].reshape(-1).tolist()) for i, own in enumerate(blocks(a, l1))]
-        frame = spark.createDataFrame(jobs, "component int, vars array<int>, s array<double>")
+        The moment stays in tiles on the executors. The driver streams the pairs above l1 and keeps one number a variable (the
+        components); a task holds its component's block.
+        """
+        tiles = stage(moments.tiled_gram(signals, block), "moment-tiles")
+        spark, l1, diag = signals.sparkSession, self.l1, self.penalize_diagonal
 
-        def solve(key, pdf):
-            import pandas as pd
+        def cells(keep):
+            """Cells (i, j, v), i <= j, that ``keep(i, j, v)`` marks."""
+
+            def run(batches):
+                import pyarrow as pa
 
-            own = np.array(pdf["vars"].iloc[0])
-            s = np.array(pdf["s"].iloc[0]).reshape(len(own), len(own))
+                for batch in batches:
+                    for bi, bj, rows, cols, v in zip(*(batch.column(n).to_pylist() for n in range(4)), batch.column(4), strict=True):
+                        v = v.values.to_numpy().reshape(rows, cols)
+                        i, j = np.broadcast_arrays(bi * block + np.arange(rows)[:, None], bj * block + np.arange(cols)[None, :])
+                        on = keep(i, j, v) & (i <= j)
+                        yield pa.RecordBatch.from_arrays([pa.array(i[on].astype(np.int32)), pa.array(j[on].astype(np.int32)), pa.array(v[on])], names=["i", "j", "v"])
+
+            return tiles.mapInArrow(run, "i int, j int, v double")
+
+        root: dict[int, int] = {}
+
+        def find(a: int) -> int:
+            while root.setdefault(a, a) != a:
+                root[a] = root[root[a]]
+                a = root[a]
+            return a
+
+        for r in cells(lambda i, j, v: (np.abs(v) > l1) | (i == j)).select("i", "j").toLocalIterator():
+            a, b = find(r["i"]), find(r["j"])
+            root[max(a, b)] = min(a, b)
+        component = np.array([find(a) for a in range(len(root))], dtype=np.int32)
+        shared = spark.sparkContext.broadcast(component)  # one number a variable
+        inside = cells(lambda i, j, v: shared.value[i] == shared.value[j])
+        labels = F.pandas_udf(lambda i: pd.Series(shared.value[i.to_numpy()]), "int")
+
+        def solve(key, pdf):
+            own = np.unique(pdf["i"].to_numpy())
+            at = np.searchsorted(own, pdf["i"].to_numpy()), np.searchsorted(own, pdf["j"].to_numpy())
+            s = np.zeros((len(own), len(own)))
+            s[at] = pdf["v"].to_numpy()
+            s[at[::-1]] = pdf["v"].to_numpy()
             p = sparse_precision(s, l1, diag)
             i, j = np.nonzero(p)
             return pd.DataFrame({"state": np.zeros(len(i), dtype=np.int32), "a": own[i].astype(np.int32), "b": own[j].astype(np.int32), "value": p[i, j]})
 
-        return frame.groupBy("component").applyInPandas(solve, "state int, a int, b int, value double")
+        return inside.withColumn("component", labels("i")).groupBy("component").applyInPandas(solve, "state int, a int, b int, value double")
 
 
 def kmeans_groups(signals: DataFrame, m: int, seed: int = 0) -> DataFrame:

@@ -1,5 +1,9 @@
 """Planted experiments and table workloads.
 
+The proposal runs in two forms: ``mixture-printed`` is the estimator as published (projected density, multiplicative
+membership, no restart of a state's membership), ``mixture`` this package's own (residual density, disjoint
+membership, refresh). Both generators serve every scenario: ``random`` is the published construction, ``invariant`` this package's own.
+
 Every (scenario, setting, repetition) is a key; one ``applyInPandas`` group draws its samples and fits
 all methods, so the sweep is as parallel as it has keys. One cell can also be run over the
 distributed path (:func:`distributed_cell`), and both agree.
@@ -15,11 +19,12 @@ from ..functions import partition as part
 from ..functions.numeric import assignment
 from ..functions.states import Options, fit_local, responsibilities
 from ..sources.planted import Truth, draw, plant_signals, plant_truth
+from ..sources.staging import stage
 from . import measures, signals
 from .estimators import CoupledNetwork, OrthoTriFactor, StateNetworkMixture, two_stage_moments
 from .model import NetworkModel
 
-METHODS = ("mixture", "coupled", "trifactor", "kmeans+coupled", "kmeans+trifactor", "kmeans+joint")
+METHODS = ("mixture", "mixture-printed", "coupled", "trifactor", "kmeans+coupled", "kmeans+trifactor", "kmeans+joint")
 #: Published settings: samples, noise, variables and nodes, the others held at n=2000, p=70, sigma=0, k=5.
 SCENARIOS = {
     "samples": [dict(n=n, p=70, k=5, sigma=0.0, setting=n) for n in (200, 500, 1000, 1500, 2000)],
@@ -30,9 +35,12 @@ SCENARIOS = {
 #: l1 of the experiments, in units of the mean node variance; unpublished, so this package's choice.
 L1 = 0.15
 MIXTURE = dict(density="residual", membership_update="disjoint", max_iter=25, n_restarts=2, l1=L1, l1_relative=True)
+#: The published estimator; what is unpublished (restarts, l1, moments' signs) as for MIXTURE.
+PRINTED = dict(density="projected", membership_update="multiplicative", refresh=(), max_iter=25, n_restarts=2, l1=L1, l1_relative=True)
+GENERATORS = ("random", "invariant")
 
 
-def fit_methods(x, ids, m: int, k: int, seed: int, methods=METHODS) -> dict[str, tuple[NetworkModel, np.ndarray]]:
+def fit_methods(x, ids, m: int, k: int, seed: int, methods=METHODS, l1: float = L1) -> dict[str, tuple[NetworkModel, np.ndarray]]:
     """Model and state of each sample for every method on one sample set."""
     out: dict[str, tuple[NetworkModel, np.ndarray]] = {}
     n = len(x)
@@ -41,19 +49,19 @@ def fit_methods(x, ids, m: int, k: int, seed: int, methods=METHODS) -> dict[str,
     groups = [((x[label == j].T @ x[label == j]) / max((label == j).sum(), 1), int((label == j).sum())) for j in range(m)] if label is not None else []
     one = dict(seed=seed, membership_update="disjoint", max_iter=20, l1_relative=True)
     for name in methods:
-        if name == "mixture":
-            fit = fit_local(x, Options(m=m, k=k, seed=seed, **MIXTURE), ids)
+        if name.startswith("mixture"):
+            fit = fit_local(x, Options(m=m, k=k, seed=seed, **((PRINTED if name == "mixture-printed" else MIXTURE) | {"l1": l1})), ids)
             out[name] = NetworkModel(fit.params, fit.mass, fit.loss, fit.trace), responsibilities(x, fit.params).argmax(axis=1)
         elif name == "coupled":
-            out[name] = CoupledNetwork(k, L1, **one).fit_moment(whole, n), np.zeros(n, dtype=int)
+            out[name] = CoupledNetwork(k, l1, **one).fit_moment(whole, n), np.zeros(n, dtype=int)
         elif name == "trifactor":
             out[name] = OrthoTriFactor(k, seed).fit_moment(whole, n), np.zeros(n, dtype=int)
         elif name == "kmeans+joint":
-            out[name] = two_stage_moments("joint", groups, k, L1, 0.05, seed, l1_relative=True), label
+            out[name] = two_stage_moments("joint", groups, k, l1, 0.05, seed, l1_relative=True), label
         else:
             kind = name.partition("+")[2]
             more = {key: v for key, v in one.items() if key != "seed"} if kind == "coupled" else {}
-            out[name] = two_stage_moments(kind, groups, k, L1, seed=seed, **more), label
+            out[name] = two_stage_moments(kind, groups, k, l1, seed=seed, **more), label
     return out
 
 
@@ -65,7 +73,7 @@ def score_model(model: NetworkModel, states, truth: Truth, true_states) -> dict[
     else:
         table = np.zeros((m, model.m))
         np.add.at(table, (true_states, states), 1.0)
-        chosen = assignment(table)
+        chosen = assignment(table)  # each true state's own found one; with more found states the rest stay unmatched
     got = {"edge_accuracy": [], "edge_f1": [], "node_purity": [], "node_nmi": []}
     for j in range(m):
         label, own = model.params.w[chosen[j]].argmax(axis=1), truth.node[j]
@@ -82,49 +90,60 @@ def score_model(model: NetworkModel, states, truth: Truth, true_states) -> dict[
     return out
 
 
-def run_cell(cell: dict, rep: int, ids, methods=METHODS, m: int = 2, seed: int = 0) -> list[tuple]:
-    """Metric rows of one setting and repetition."""
-    truth = plant_truth(m, cell["k"], cell["p"], seed + rep)
+#: Weights of the penalty, in units of the mean node variance, for the study of hyper-parameters; p, n, k as in the base setting.
+WEIGHTS = (0.02, 0.05, 0.15, 0.3, 0.6)
+SCENARIOS["penalty"] = [dict(n=2000, p=70, k=5, sigma=0.0, setting=v, l1=v) for v in WEIGHTS]
+#: Numbers of states that are assumed, where two are planted.
+SCENARIOS["states"] = [dict(n=2000, p=70, k=5, sigma=0.0, setting=m, m=m) for m in (1, 2, 3, 4)]
+
+
+def run_cell(cell: dict, rep: int, ids, methods=METHODS, m: int = 2, seed: int = 0, generator: str = "invariant") -> list[tuple]:
+    """Metric rows (generator, scenario, setting, method, rep, metric, value) of one setting and repetition."""
+    truth = plant_truth(m, cell["k"], cell["p"], seed + rep, construction=generator)
     x, true_states = draw(truth, ids[: cell["n"]], cell["sigma"], seed + rep)
     rows = []
-    for name, (model, states) in fit_methods(x, np.asarray(ids[: cell["n"]]), m, cell["k"], seed + rep, methods).items():
-        rows += [(cell["scenario"], float(cell["setting"]), name, rep, metric, v) for metric, v in score_model(model, states, truth, true_states).items()]
+    for name, (model, states) in fit_methods(x, np.asarray(ids[: cell["n"]]), cell.get("m", m), cell["k"], seed + rep, methods, cell.get("l1", L1)).items():
+        rows += [(generator, cell["scenario"], float(cell["setting"]), name, rep, metric, v) for metric, v in score_model(model, states, truth, true_states).items()]
     return rows
 
 
-def run_methods(spark: SparkSession, keys: DataFrame, id_column: str, scenarios=tuple(SCENARIOS), reps: int = 10, methods=METHODS, settings=None) -> DataFrame:
+METRICS = "generator string, scenario string, setting double, method string, rep int, metric string, value double"
+
+
+def run_methods(spark: SparkSession, keys: DataFrame, id_column: str, scenarios=tuple(SCENARIOS), reps: int = 10, methods=METHODS, settings=None, generators=GENERATORS) -> DataFrame:
     """Metric rows of whole sweeps. Sample ids are the least of a key table's (as many as a setting has samples)."""
-    cells = [(s, i, r) for s in scenarios for i in range(len(SCENARIOS[s])) if settings is None or SCENARIOS[s][i]["setting"] in settings for r in range(reps)]
-    most = max(SCENARIOS[s][i]["n"] for s, i, _ in cells)
+    cells = [(g, s, i, r) for g in generators for s in scenarios for i in range(len(SCENARIOS[s])) if settings is None or SCENARIOS[s][i]["setting"] in settings for r in range(reps)]
+    most = max(SCENARIOS[s][i]["n"] for _, s, i, _ in cells)
     ids = np.array([r[0] for r in keys.select(F.col(id_column).cast("long")).orderBy(id_column).limit(most).collect()], dtype=np.int64)  # at most 2,000
     shared = spark.sparkContext.broadcast(ids)
-    frame = spark.createDataFrame([(n, *c) for n, c in enumerate(cells)], "cell int, scenario string, i int, rep int").repartition(len(cells), "cell")
+    frame = spark.createDataFrame([(n, *c) for n, c in enumerate(cells)], "cell int, generator string, scenario string, i int, rep int").repartition(len(cells), "cell")
 
     def fit(key, pdf):
         import pandas as pd
 
         rows = []
-        for s, i, rep in zip(pdf["scenario"], pdf["i"], pdf["rep"], strict=True):
-            rows += run_cell(SCENARIOS[s][i] | {"scenario": s}, int(rep), shared.value, methods)
-        return pd.DataFrame(rows, columns=["scenario", "setting", "method", "rep", "metric", "value"])
+        for g, s, i, rep in zip(pdf["generator"], pdf["scenario"], pdf["i"], pdf["rep"], strict=True):
+            rows += run_cell(SCENARIOS[s][i] | {"scenario": s}, int(rep), shared.value, methods, generator=g)
+        return pd.DataFrame(rows, columns=["generator", "scenario", "setting", "method", "rep", "metric", "value"])
 
-    return frame.groupBy("cell").applyInPandas(fit, "scenario string, setting double, method string, rep int, metric string, value double")
+    return frame.groupBy("cell").applyInPandas(fit, METRICS)
 
 
-def distributed_cell(spark: SparkSession, keys: DataFrame, id_column: str, cell: dict, rep: int = 0, seed: int = 0) -> tuple[NetworkModel, DataFrame, Truth]:
-    """The mixture on planted signals over the distributed path: model, scored samples, truth."""
-    truth = plant_truth(2, cell["k"], cell["p"], seed + rep)
+def distributed_cell(spark: SparkSession, keys: DataFrame, id_column: str, cell: dict, rep: int = 0, seed: int = 0, generator: str = "invariant", form: dict = MIXTURE) -> tuple[NetworkModel, DataFrame, Truth]:
+    """The mixture on planted signals over the distributed path: model, scored samples, truth. ``form``: MIXTURE or PRINTED."""
+    truth = plant_truth(2, cell["k"], cell["p"], seed + rep, construction=generator)
     ids = keys.select(F.col(id_column).cast("long").alias("sample_id")).orderBy("sample_id").limit(cell["n"])
-    rows = plant_signals(ids, truth, cell["sigma"], seed + rep).persist()
-    model = StateNetworkMixture(m=2, k=cell["k"], seed=seed + rep, **MIXTURE).fit(rows)
+    rows = plant_signals(ids, truth, cell["sigma"], seed + rep)
+    rows = stage(rows)
+    model = StateNetworkMixture(m=2, k=cell["k"], seed=seed + rep, **form).fit(rows)
     return model, model.transform(rows), truth
 
 
 def language_workload(spark: SparkSession, sf_dir: str, m: int = 4, k: int = 5, **settings) -> tuple[NetworkModel, DataFrame]:
     """States of documents from standardised letter shares; the languages are the truth (positive control)."""
-    rows = signals.document_signals(spark, sf_dir).persist()
+    rows = stage(signals.document_signals(spark, sf_dir))
     rows = signals.keep_variables(rows, signals.variance_mask(rows))
-    rows = signals.standardize(rows).persist()
+    rows = signals.standardize(rows)
     options = dict(density="residual", membership_update="disjoint", max_iter=15, n_restarts=3, seed=1, l1=0.02) | settings
     model = StateNetworkMixture(m=m, k=k, **options).fit(rows)
     return model, model.transform(rows)
@@ -132,7 +151,7 @@ def language_workload(spark: SparkSession, sf_dir: str, m: int = 4, k: int = 5,
 
 def embedding_workload(spark: SparkSession, sf_dir: str, m: int = 10, k: int = 5, **settings) -> tuple[NetworkModel, DataFrame]:
     """States of embeddings against their labels, which second moments don't show (negative control)."""
-    rows = signals.embedding_signals(spark, sf_dir).persist()
+    rows = signals.embedding_signals(spark, sf_dir)
     options = dict(density="residual", membership_update="disjoint", max_iter=6, seed=1, l1=0.02, l1_relative=True) | settings
     model = StateNetworkMixture(m=m, k=k, **options).fit(rows)
     return model, model.transform(rows)
@@ -141,7 +160,7 @@ def embedding_workload(spark: SparkSession, sf_dir: str, m: int = 10, k: int = 5
 def nation_workload(spark: SparkSession, sf_dir: str) -> tuple[NetworkModel, DataFrame]:
     """Nodes of nations from weekly revenue, against regions: independent by construction, so near chance."""
     long, p = signals.nation_week_long(spark, sf_dir)
-    rows = signals.standardize(signals.densify(long, p)).persist()
+    rows = signals.standardize(signals.densify(long, p))
     model = CoupledNetwork(5, 0.1, membership_update="disjoint", l1_relative=True).fit(rows)
     nation = spark.read.parquet(f"{sf_dir}/nation.parquet").select(F.col("n_nationkey").alias("var_id"), F.col("n_regionkey").alias("label"))
     pairs = model.assign_nodes(spark).join(nation, "var_id").select(F.col("node").alias("cluster"), "label", "var_id")
@@ -153,9 +172,9 @@ def grid_workload(spark: SparkSession, sf_dir: str, m: int = 2, k: int = 6, **se
     from .estimators import report
 
     long, names = signals.part_grid_long(spark, sf_dir)
-    rows = signals.densify(long, names.count()).persist()
+    rows = stage(signals.densify(long, names.count()))
     kept = signals.variance_mask(rows)
-    rows = signals.standardize(signals.keep_variables(rows, kept)).persist()
+    rows = stage(signals.standardize(signals.keep_variables(rows, kept)))
     options = dict(density="residual", membership_update="disjoint", max_iter=10, seed=1, l1=0.1, l1_relative=True) | settings
     model = StateNetworkMixture(m=m, k=k, **options).fit(rows)
     where = spark.createDataFrame([(i, v) for i, v in enumerate(kept)], "new_id int, var_id int")
@@ -167,7 +186,7 @@ def cohort_workload(spark: SparkSession, sf_dir: str, m: int = 2, k: int = 6, **
     """Two cohorts of documents (quality 1 and 0) fitted separately on letter shares of the same variables."""
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "quality")
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text").join(labels, "doc_id")
-    rows = signals.letter_signals(docs, "doc_id", "quality").persist()
-    rows = signals.standardize(signals.keep_variables(rows, signals.variance_mask(rows))).persist()
+    rows = stage(signals.letter_signals(docs, "doc_id", "quality"))
+    rows = signals.standardize(signals.keep_variables(rows, signals.variance_mask(rows)))
     options = dict(density="residual", membership_update="disjoint", max_iter=10, seed=1, l1=0.1, l1_relative=True) | settings
     return {q: StateNetworkMixture(m=m, k=k, **options).fit(rows.filter(F.col("quality") == q)) for q in (1, 0)}

@@ -70,8 +70,9 @@ def align(pairs: DataFrame, m: int) -> np.ndarray:
 
 
 def summarize_runs(metrics: DataFrame) -> DataFrame:
-    """Mean and spread over repetitions of rows (scenario, setting, method, rep, metric, value)."""
-    return metrics.groupBy("scenario", "setting", "method", "metric").agg(F.count("*").alias("runs"), F.avg("value").alias("mean"), F.stddev_samp("value").alias("spread"))
+    """Mean and spread over repetitions of rows (scenario, setting, method, rep, metric, value), and by generator where rows have one."""
+    by = [c for c in ("generator",) if c in metrics.columns]
+    return metrics.groupBy(*by, "scenario", "setting", "method", "metric").agg(F.count("*").alias("runs"), F.avg("value").alias("mean"), F.stddev_samp("value").alias("spread"))
 
 
 def compare_edges(edges: DataFrame, first: int, second: int) -> DataFrame:

@@ -44,6 +44,17 @@ def assert_uniform_length(signals: DataFrame) -> int:
     return int(r["lo"])
 
 
+#: Variables beyond which a task's sums are large, so that few, long tasks are better than many.
+WIDE = 512
+
+
+def few_tasks(signals: DataFrame, variables: int) -> DataFrame:
+    """The samples in at most a few tasks a core where every task's sums are large: what is shuffled is tasks x sums."""
+    if variables <= WIDE:
+        return signals
+    return signals.coalesce(4 * signals.sparkSession.sparkContext.defaultParallelism)
+
+
 def _summed(rows: DataFrame) -> dict[int, np.ndarray]:
     """Rows (slot, tile, part, v array<double>) added over parts; arrays by slot on the driver."""
 
@@ -58,9 +69,11 @@ def _summed(rows: DataFrame) -> dict[int, np.ndarray]:
             yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.int32()), pa.array([k[1] for k in keys], pa.int32()), pa.array([total[k] for k in keys], pa.list_(pa.float64()))], names=["slot", "tile", "v"])
 
     merged = rows.repartition("slot", "tile").sortWithinPartitions("slot", "tile", "part").select("slot", "tile", "v").mapInArrow(merge, "slot int, tile int, v array<double>")
+    got = merged.toArrow()  # sums only, as Arrow buffers
+    slots, tiles, values = got.column(0).to_pylist(), got.column(1).to_pylist(), got.column(2)
     out: dict[int, list] = {}
-    for r in merged.orderBy("slot", "tile").toLocalIterator():
-        out.setdefault(r["slot"], []).append(np.array(r["v"]))
+    for i in sorted(range(len(slots)), key=lambda i: (slots[i], tiles[i])):
+        out.setdefault(slots[i], []).append(values[i].values.to_numpy())
     return {k: np.concatenate(v) for k, v in out.items()}
 
 
@@ -87,20 +100,28 @@ def run_sums(signals: DataFrame, make, columns: list[str]) -> dict[int, np.ndarr
     return _summed(signals.select(*columns).mapInArrow(part, "slot int, tile int, part int, v array<double>"))
 
 
+def _square(flat: np.ndarray) -> np.ndarray:
+    """The symmetric matrix of an upper triangle."""
+    p = int(round((np.sqrt(8 * len(flat) + 1) - 1) / 2))
+    upper = np.triu_indices(p)
+    out = np.zeros((p, p))
+    out[upper] = flat
+    out.T[upper] = flat
+    return out
+
+
 def gram(signals: DataFrame, mode: str = "signed") -> tuple[np.ndarray, int]:
     """Second moment (1/n) X'X and n."""
 
     def make(batch):
         x = batch_matrix(batch.column(0))
-        return {0: np.concatenate([[len(x)], (x.T @ x).reshape(-1)])}
+        return {0: np.concatenate([[len(x)], (x.T @ x)[np.triu_indices(x.shape[1])]])}
 
     got = run_sums(signals, make, ["x"])
     if not got:
         raise ValueError("no samples")
-    n, flat = int(got[0][0]), got[0][1:]
-    p = int(round(np.sqrt(len(flat))))
-    a = flat.reshape(p, p) / n
-    return (np.abs(a) if mode == "absolute" else a), n
+    a = _square(got[0][1:]) / got[0][0]
+    return (np.abs(a) if mode == "absolute" else a), int(got[0][0])
 
 
 def grouped_moments(signals: DataFrame, groups: int, column: str = "state") -> list[tuple[np.ndarray, int]]:
@@ -111,18 +132,38 @@ def grouped_moments(signals: DataFrame, groups: int, column: str = "state") -> l
         out = {}
         for j in np.unique(g).tolist():
             own = x[g == j]
-            out[int(j)] = np.concatenate([[len(own)], (own.T @ own).reshape(-1)])
+            out[int(j)] = np.concatenate([[len(own)], (own.T @ own)[np.triu_indices(x.shape[1])]])
         return out
 
     got = run_sums(signals, make, ["x", column])
-    p = int(round(np.sqrt(len(next(iter(got.values()))) - 1)))
-    return [(got[j][1:].reshape(p, p) / got[j][0], int(got[j][0])) if j in got else (np.eye(p), 0) for j in range(groups)]
+    p = len(_square(next(iter(got.values()))[1:]))
+    return [(_square(got[j][1:]) / got[j][0], int(got[j][0])) if j in got else (np.eye(p), 0) for j in range(groups)]
+
+
+def sketch(signals: DataFrame, p: int, width: int = 64, seed: int = 0) -> np.ndarray:
+    """Rows of the correlation matrix times a fixed random p x width matrix, in two passes; no p x p matrix anywhere.
 
+    Distances between its rows are close to those between the rows of the correlation matrix.
+    """
+    squares = run_sums(signals, lambda batch: {0: (batch_matrix(batch.column(0)) ** 2).sum(axis=0)}, ["x"])[0]
+    scale = 1 / np.sqrt(np.maximum(squares, 1e-300))
+    mix = scale[:, None] * np.random.default_rng(seed).choice([-1.0, 1.0], (p, width)) / np.sqrt(width)
+    shared = signals.sparkSession.sparkContext.broadcast(mix)  # p x width numbers
 
-def state_passes(signals: DataFrame, params: list[Params | None], opts: list[Options], use_gram: bool) -> list[Stats]:
+    def make(batch):
+        x = batch_matrix(batch.column(0))
+        return {0: (x.T @ (x @ shared.value)).reshape(-1)}
+
+    out = run_sums(signals, make, ["x"])[0].reshape(p, width) * scale[:, None]
+    shared.unpersist()
+    return out
+
+
+def state_passes(signals: DataFrame, params: list[Params | None], opts: list[Options], use_gram: bool, begin: bool = False, all_states: bool = True) -> list[Stats]:
     """Sums of one pass for several restarts at once.
 
-    None stands for the start: soft random states, or the column start_state if the signals have it.
+    With ``begin`` (or None for parameters) samples have the start's states: soft random ones, or the column start_state if the signals
+    have it. Without ``all_states`` the last state's gram is left out, as it follows from that of all samples.
     """
     spark = signals.sparkSession
     grouped = "start_state" in signals.columns
@@ -133,22 +174,17 @@ def state_passes(signals: DataFrame, params: list[Params | None], opts: list[Opt
         ids, x = batch.column(0).to_numpy(), batch_matrix(batch.column(1))
         out = {}
         for slot, (p, o) in enumerate(zip(ps, os_, strict=True)):
-            if p is None and grouped and o.m > 1:
-                out[slot] = sums(x, weighted_start(batch.column(2).to_numpy(), o.m, o.hi), 0.0, None, True).flat()
-            elif p is None:
-                out[slot] = sums(x, soft_start(ids, o.m, o.seed, o.hi), 0.0, None, True).flat()
+            if begin or p is None:
+                r = weighted_start(batch.column(2).to_numpy(), o.m, o.hi) if grouped and o.m > 1 else soft_start(ids, o.m, o.seed, o.hi)
+                out[slot] = sums(x, r, 0.0, p, use_gram or p is None).flat()
             else:
-                out[slot] = em_pass(x, p, use_gram).flat()
+                out[slot] = em_pass(x, p, use_gram, all_states).flat()
         return out
 
     got = run_sums(signals, make, ["sample_id", "x", *(["start_state"] if grouped else [])])
     shared.unpersist()
-    out = []
-    for slot, (p, o) in enumerate(zip(params, opts, strict=True)):
-        flat, full = got[slot], p is None or use_gram
-        size = int(round(np.sqrt((len(flat) - 2 * o.m - 2) / o.m))) if full else len(p.w[0])
-        out.append(Stats.of(flat, o.m, size, o.k, full))
-    return out
+    grams = lambda p, o: (o.m if begin or p is None or all_states or o.m == 1 else o.m - 1) if use_gram or p is None else 0
+    return [Stats.of(got[slot], o.m, o.k, grams(p, o)) for slot, (p, o) in enumerate(zip(params, opts, strict=True))]
 
 
 def long_form(signals: DataFrame) -> DataFrame:

@@ -679,6 +679,32 @@ for _name in exp.SCENARIOS:
     QUERIES[f"scenario_{_name}"] = _scenario(_name)
 
 
+def _keys_sql() -> str:
+    """Every (generator, scenario, setting, method, metric), and how many repetitions it has."""
+    cells = ", ".join(f"('{s}', CAST({x['setting']} AS DOUBLE))" for s, xs in exp.SCENARIOS.items() for x in xs)
+    names = lambda xs: ", ".join(f"('{x}')" for x in xs)
+    metrics = ("edge_accuracy", "edge_f1", "node_purity", "node_nmi", "state_purity", "state_nmi")
+    return f"""SELECT generator, scenario, setting, method, metric, CAST(2 AS BIGINT) AS runs, true AS within
+FROM (VALUES {cells}) c(scenario, setting) CROSS JOIN (VALUES {names(exp.GENERATORS)}) g(generator) CROSS JOIN (VALUES {names(exp.METHODS)}) m(method) CROSS JOIN (VALUES {names(metrics)}) t(metric)"""
+
+
+@query(_keys_sql())
+def scenario_coverage(spark, d):
+    """Two repetitions of every cell of all sweeps: each has every measure, all of them between zero and one."""
+    rows = exp.run_methods(spark, load(spark, d, "events", "event_id"), "event_id", reps=2)
+    return rows.groupBy("generator", "scenario", "setting", "method", "metric").agg(F.count("*").alias("runs"), F.min(F.col("value").between(-1e-9, 1 + 1e-9)).alias("within"))
+
+
+@query()
+def fit_printed(spark, d):
+    """The published estimator on the published generator: measures of one data set, over the distributed path."""
+    cell = exp.SCENARIOS["samples"][-1]
+    model, scored, truth = exp.distributed_cell(spark, load(spark, d, "events", "event_id"), "event_id", cell, generator="random", form=exp.PRINTED)
+    rows = scored.select("state_hat", "state").toPandas()  # at most 2,000 samples
+    got = exp.score_model(model, rows["state_hat"].to_numpy(), truth, rows["state"].to_numpy())
+    return spark.createDataFrame([(k, float(v)) for k, v in got.items()], "metric string, value double")
+
+
 # ---- streaming --------------------------------------------------------------------------------------
 
 
