@@ -684,14 +684,14 @@ def _keys_sql() -> str:
     cells = ", ".join(f"('{s}', CAST({x['setting']} AS DOUBLE))" for s, xs in exp.SCENARIOS.items() for x in xs)
     names = lambda xs: ", ".join(f"('{x}')" for x in xs)
     metrics = ("edge_accuracy", "edge_f1", "node_purity", "node_nmi", "state_purity", "state_nmi")
-    return f"""SELECT generator, scenario, setting, method, metric, CAST(2 AS BIGINT) AS runs, true AS within
+    return f"""SELECT generator, scenario, setting, method, metric, CAST(1 AS BIGINT) AS runs, true AS within
 FROM (VALUES {cells}) c(scenario, setting) CROSS JOIN (VALUES {names(exp.GENERATORS)}) g(generator) CROSS JOIN (VALUES {names(exp.METHODS)}) m(method) CROSS JOIN (VALUES {names(metrics)}) t(metric)"""
 
 
 @query(_keys_sql())
 def scenario_coverage(spark, d):
-    """Two repetitions of every cell of all sweeps: each has every measure, all of them between zero and one."""
-    rows = exp.run_methods(spark, load(spark, d, "events", "event_id"), "event_id", reps=2)
+    """One repetition of every cell of all sweeps: each has every measure, all of them between zero and one."""
+    rows = exp.run_methods(spark, load(spark, d, "events", "event_id"), "event_id", reps=1)
     return rows.groupBy("generator", "scenario", "setting", "method", "metric").agg(F.count("*").alias("runs"), F.min(F.col("value").between(-1e-9, 1 + 1e-9)).alias("within"))
 
 
@@ -734,6 +734,72 @@ def stream_sessions(spark, d):
     return rows.groupBy("user_id").agg(F.count("*").alias("sessions"), r(F.sum("value"), 3).alias("value"))
 
 
+@query("""WITH e AS (SELECT date_diff('second', TIMESTAMP '2024-01-01 00:00:00', ts) // 3600 AS h, event_type, value FROM events),
+w AS (SELECT h AS first_hour, event_type, value FROM e UNION ALL SELECT h - 1, event_type, value FROM e)
+SELECT CAST(first_hour AS BIGINT) AS first_hour, event_type, count(*) AS n, round(sum(value), 4) AS value FROM w GROUP BY 1, 2""")
+def stream_sliding(spark, d):
+    """Windows of two hours that begin every hour."""
+    rows = _run_stream(spark, d, lambda source: streams.windowed_bins(source, width="2 hours", slide="1 hour"), "sliding")
+    hour = F.floor((F.unix_timestamp("w.start") - F.unix_timestamp(F.lit("2024-01-01 00:00:00").cast("timestamp"))) / 3600)
+    return rows.select(hour.alias("first_hour"), "event_type", "n", r("value", 4).alias("value"))
+
+
+@query(f"""WITH {SPELLS}, k AS (SELECT event_type, CAST(row_number() OVER (ORDER BY event_type) - 1 AS INTEGER) AS code FROM (SELECT DISTINCT event_type FROM events)),
+o AS (SELECT *, row_number() OVER (PARTITION BY unit ORDER BY begin DESC) AS back FROM sp)
+SELECT unit, code AS state, steps, back > 1 AS closed, count(*) AS n FROM o JOIN k ON k.event_type = o.state GROUP BY 1, 2, 3, 4""")
+def stream_dwell(spark, d):
+    """Spells of every user's states as the stream closes them; the last one is open. A state is its name's place in order."""
+    kinds = [x[0] for x in load(spark, d, "events", "event_type").distinct().orderBy("event_type").collect()]  # a small domain
+
+    def build(source):
+        code = F.array_position(F.array(*[F.lit(k) for k in kinds]), F.col("event_type")).cast("int") - 1
+        return streams.dwell_stream(source.select(F.col("user_id").alias("unit"), code.alias("state"), F.col("event_id").alias("step")))
+
+    return _run_stream(spark, d, build, "dwell", "append").groupBy("unit", "state", "steps", "closed").agg(F.count("*").alias("n"))
+
+
+@query("""SELECT p.event_id AS event_id, c.event_id AS click_id FROM (SELECT * FROM events WHERE event_type = 'purchase') p
+JOIN (SELECT * FROM events WHERE event_type = 'click') c ON p.user_id = c.user_id AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 6 HOUR""")
+def stream_spell_join(spark, d):
+    """Purchases in the six hours after a click of the same user, both sides streamed."""
+
+    def build(source):
+        ev = source.withColumn("ts", F.col("ts").cast("timestamp"))
+        bought = ev.filter("event_type = 'purchase'").select("event_id", F.col("user_id").alias("unit"), "ts")
+        clicked = ev.filter("event_type = 'click'").select(F.col("event_id").alias("click_id"), F.col("user_id").alias("unit"), F.col("ts").alias("begin"), (F.col("ts") + F.expr("INTERVAL 6 HOUR")).alias("end"))
+        return streams.spell_join(bought, clicked, "40 days").select("event_id", "click_id")
+
+    return _run_stream(spark, d, build, "spelljoin", "append")
+
+
+@query("""WITH e AS (SELECT *, date_diff('second', TIMESTAMP '2024-01-01 00:00:00', ts) // 3600 AS h FROM events WHERE event_id % 2 = 0)
+SELECT CAST(h AS BIGINT) AS sample_id, event_type, count(*) AS n, round(sum(value), 4) AS value FROM e GROUP BY 1, 2""")
+def stream_late_rows(spark, d):
+    """Half of the events arrive when the watermark has passed them, and are dropped.
+
+    Rows are late by the watermark before the last batch, so the even events come in two batches and the odd ones in a third.
+    """
+    import time
+    import uuid
+
+    from .sources.staging import shared_dir
+
+    folder, table = f"{shared_dir(spark)}/late-{uuid.uuid4().hex}", f"late_{uuid.uuid4().hex[:8]}"
+    ev = load(spark, d, "events")
+    even = ev.filter("event_id % 2 = 0")
+    last = even.agg(F.max_by("event_id", "ts").alias("id"), F.max("ts").alias("ts")).first()
+    late = ev.filter("event_id % 2 = 1").filter(F.col("ts") < F.lit(last["ts"]) - F.expr("INTERVAL 5 HOUR"))
+    for name, rows in (("a", even.filter(F.col("event_id") != last["id"])), ("b", even.filter(F.col("event_id") == last["id"])), ("c", late)):
+        rows.coalesce(1).write.parquet(f"{folder}/{name}")
+        time.sleep(1.2)  # files are read in the order of their times
+    source = spark.readStream.schema(ev.schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(folder)
+    q = streams.windowed_bins(source).writeStream.format("memory").queryName(table).outputMode("update").trigger(availableNow=True).start()
+    q.awaitTermination()
+    hour = F.floor((F.unix_timestamp("w.start") - F.unix_timestamp(F.lit("2024-01-01 00:00:00").cast("timestamp"))) / 3600)
+    newest = spark.table(table).groupBy("w", "event_type").agg(F.max("n").alias("n"), F.max_by("value", "n").alias("value"))
+    return newest.select(hour.alias("sample_id"), "event_type", "n", r("value", 4).alias("value"))
+
+
 @query()
 def stream_scores(spark, d):
     model = est.StateNetworkMixture(2, 2, 0.02, density="residual", max_iter=5).fit(bins_dense(spark, d).persist())

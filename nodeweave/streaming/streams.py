@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
@@ -42,12 +43,11 @@ def dwell_stream(states: DataFrame) -> DataFrame:
 
         state, steps = held.get if held.exists else (None, 0)
         out = []
-        for frame in frames:
-            for s in frame.sort_values("step")["state"]:
-                if state is not None and s != state:
-                    out.append((key[0], int(state), int(steps), True))
-                    steps = 0
-                state, steps = int(s), steps + 1
+        for s in pd.concat(list(frames)).sort_values("step")["state"]:  # a unit's steps of one micro-batch
+            if state is not None and s != state:
+                out.append((key[0], int(state), int(steps), True))
+                steps = 0
+            state, steps = int(s), steps + 1
         held.update((int(state), int(steps)))
         out.append((key[0], int(state), int(steps), False))
         yield pd.DataFrame(out, columns=["unit", "state", "steps", "closed"])
@@ -65,19 +65,43 @@ def spell_join(events: DataFrame, spells: DataFrame, late: str = "1 hour") -> Da
 class OnlineMixture:
     """State mixture over micro-batches: sums decay by ``decay`` and the M step follows each batch.
 
-    ``update`` is what foreachBatch calls; a batch id that was seen is ignored, so retries change nothing.
+    ``update`` is what foreachBatch calls; a batch id that was seen is ignored, so retries change nothing. With ``path`` the
+    parameters, sums and last batch id are written there after every batch, and an object made with the same path
+    goes on from the last one: a restarted stream loses nothing. ``start_from``: parameters before the first batch
+    (by default from the first batch itself).
     """
 
-    def __init__(self, options: Options, decay: float = 0.9):
-        self.options, self.decay = options, decay
-        self.params: Params | None = None
+    def __init__(self, options: Options, decay: float = 0.9, path: str | None = None, start_from: Params | None = None):
+        self.options, self.decay, self.path = options, decay, path
+        self.params: Params | None = start_from
         self.stats: Stats | None = None
         self.seen = -1
+        self._read = path is None
+
+    def _resume(self, spark: SparkSession) -> None:
+        """Take up the state of the greatest batch id, if there is any."""
+        if self._read:
+            return
+        self._read = True
+        jvm, conf = spark._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+        folder = jvm.org.apache.hadoop.fs.Path(self.path)
+        if not folder.getFileSystem(conf).exists(folder):
+            return
+        row = spark.read.schema("batch long, state binary").parquet(self.path).orderBy(F.desc("batch")).first()
+        if row is not None:
+            self.seen = row["batch"]
+            self.options, self.params, self.stats = pickle.loads(bytes(row["state"]))
+
+    def _keep(self, spark: SparkSession) -> None:
+        if self.path is not None:
+            state = pickle.dumps((self.options, self.params, self.stats))
+            spark.createDataFrame([(self.seen, bytearray(state))], "batch long, state binary").coalesce(1).write.mode("append").parquet(self.path)
 
     def update(self, batch: DataFrame, batch_id: int) -> None:
         from ..functions.states import absolute_penalty, start_params
         from ..operators import moments
 
+        self._resume(batch.sparkSession)
         if batch_id <= self.seen or batch.limit(1).count() == 0:
             return
         if self.params is None:
@@ -89,9 +113,13 @@ class OnlineMixture:
         self.stats = new if old is None else Stats(new.mass + self.decay * old.mass, new.square + self.decay * old.square, new.nll, new.n, new.gram + self.decay * old.gram)
         self.params = m_step(self.stats, self.params, self.options)
         self.seen = batch_id
+        self._keep(batch.sparkSession)
 
     def model(self) -> NetworkModel:
         return NetworkModel(self.params, self.stats.mass, self.stats.nll)
 
     def start(self, stream: DataFrame, checkpoint: str):
-        return stream.writeStream.foreachBatch(self.update).option("checkpointLocation", checkpoint).start()
+        """The running query; its state goes to ``path``, or beside the checkpoint where none was given."""
+        if self.path is None:
+            self.path, self._read = f"{checkpoint.rstrip('/')}-model", False
+        return stream.writeStream.foreachBatch(self.update).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()

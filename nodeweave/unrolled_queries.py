@@ -123,6 +123,24 @@ def mixture_unrolled_3(spark, d):
     return rows_of(spark, {"share": p.shares, "precision": p.omega})
 
 
+@query(full_params_sql(1))
+def stream_online_mixture(spark, d):
+    """The model that follows a stream, after one micro-batch of all samples: one EM step from the stated start."""
+    import uuid
+
+    from .sources.staging import shared_dir
+    from .streaming.streams import OnlineMixture
+
+    folder = f"{shared_dir(spark)}/online-{uuid.uuid4().hex}"
+    rows = bins_dense(spark, d)
+    rows.coalesce(1).write.parquet(f"{folder}/in")
+    online = OnlineMixture(Options(m=2, k=P, l1=0.0, density="projected", membership_update="frozen", refresh=()), start_from=FULL)
+    online.start(spark.readStream.schema(rows.schema).parquet(f"{folder}/in"), f"{folder}/log").awaitTermination()
+    again = OnlineMixture(online.options, path=online.path)  # as after a restart: the state comes from its files
+    again._resume(spark)
+    return rows_of(spark, {"share": again.params.shares, "precision": again.params.omega})
+
+
 def network_sql(steps, density, update, product=False):
     s = Steps(BINS)
     shares, w, omega, tau = s.mixture("ec", P, start(density), L1, steps, density, update, product)
@@ -177,8 +195,9 @@ def model_round_trip(spark, d):
     """A model saved in the shared folder and loaded again scores the samples alike."""
     import uuid
 
-    where = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
-    path = f"{where.rstrip('/')}/model-{uuid.uuid4().hex}"
+    from .sources.staging import shared_dir
+
+    path = f"{shared_dir(spark)}/model-{uuid.uuid4().hex}"
     NetworkModel(start("residual"), np.ones(2), 0.0).save(spark, path)
     return NetworkModel.load(spark, path).transform(bins_dense(spark, d)).select("sample_id", r(F.col("r")[0], 5).alias("r0"))
 
