@@ -102,19 +102,25 @@ class Machine:
                 continue
             sizes = np.array([len(rows[j]) for j in some])
             starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
-            of = np.repeat(np.arange(len(some)), sizes)
-            at, inside = np.unique(np.concatenate([rows[j] for j in some]), return_inverse=True)
+            every = np.concatenate([rows[j] for j in some])
+            order_of = np.argsort(every, kind="stable")  # merges rows, which are sorted
+            cut = np.flatnonzero(np.diff(every[order_of], prepend=-1))
+            at = every[order_of[cut]]
+            inside = np.empty(len(every), dtype=np.int32)
+            inside[order_of] = np.repeat(np.arange(len(at), dtype=np.int32), np.diff(cut, append=len(every)))
             w, learned = self.weights(at), self.factors(at)
             v = self.begin[at] + learned
-            own = v[inside]
-            s = np.add.reduceat(own, starts, axis=0)
-            logit = self.bias[0] + np.add.reduceat(w[inside], starts) + 0.5 * ((s * s).sum(axis=1) - np.add.reduceat((own * own).sum(axis=1), starts))
+            own = np.concatenate([w[:, None], v, (v * v).sum(axis=1, keepdims=True)], axis=1)[inside]
+            total = np.add.reduceat(own, starts, axis=0).astype(float)
+            s = total[:, 1:-1]
+            logit = self.bias[0] + total[:, 0] + 0.5 * ((s * s).sum(axis=1) - total[:, -1])
             g = 1 / (1 + np.exp(-np.clip(logit, -30, 30))) - labels[some]
             self.bias[1] += g.sum() ** 2
             self.bias[0] -= 0.1 * g.sum() / np.sqrt(self.bias[1] + 1)
-            gw = np.bincount(inside, g[of], len(at))
-            gs = g[:, None] * s
-            gv = np.stack([np.bincount(inside, gs[of, k], len(at)) for k in range(v.shape[1])], axis=1) - v * gw[:, None]
+            of = np.repeat(np.arange(len(some), dtype=np.int32), sizes)[order_of]
+            grad = np.add.reduceat(np.concatenate([g[:, None], g[:, None] * s], axis=1).astype(np.float32)[of], cut, axis=0)
+            gw = grad[:, 0]
+            gv = grad[:, 1:] - v * gw[:, None]
             n = self.n[at]
             more = n + gw * gw
             self.z[at] += gw - (np.sqrt(more) - np.sqrt(n)) / o.rate * w
