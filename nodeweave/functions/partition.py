@@ -64,7 +64,12 @@ def indicators(label, k):
 
 def init_membership(a, k, offset=0.2, seed=0):
     """Indicators of k-means nodes plus an offset, so that no weight starts at the absorbing zero."""
-    return unit_columns(indicators(kmeans_variables(a, k, seed), k) + offset)
+    return offset_membership(kmeans_variables(a, k, seed), k, offset)
+
+
+def offset_membership(label, k, offset=0.2):
+    """Unit columns of a grouping's indicators plus an offset."""
+    return unit_columns(indicators(label, k) + offset)
 
 
 def nmf(a, k, seed=0, max_iter=500, tol=1e-9, start=None):

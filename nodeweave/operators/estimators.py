@@ -285,22 +285,28 @@ def two_stage_moments(kind, found, k, l1=0.02, l2=0.05, seed=0, penalty="group",
     return NetworkModel(params, mass, float(sum(f.loss for f in fits)), [], {"method": f"kmeans+{kind}"})
 
 
-def alternating_two_objective(a, k: int, l1: float, seed: int = 0, rounds: int = 5):
-    """Node and link objectives in turn, each on its own loss: tri-factor steps, then a precision on the found nodes."""
-    w = part.init_membership(a, k, seed=seed)
-    for r in range(rounds):
-        w, _, _ = part.tri_factor(a, k, seed + r, max_iter=50)
-        omega = sparse_precision(symmetric(w.T @ a @ w), l1, jitter=1e-8)
-    return w, omega
-
-
-def contiguous_trifactor(a, k: int, neighbours, weight: float = 0.5, seed: int = 0, max_iter: int = 100):
-    """Tri-factor nodes with a penalty on membership differing between grid neighbours [(i, j), ...]."""
+def alternating_two_objective(a, k: int, l1: float, seed: int = 0, rounds: int = 20, w=None, tol: float = 1e-6):
+    """Node and link objectives in turn, each on its own loss: sparse precision on the present nodes, then a factorisation
+    step of |A| whose middle factor is the covariance that the links imply. Returns W and the precision on it."""
+    w = part.init_membership(a, k, seed=seed) if w is None else w
+    size = np.abs(a)
+    for _ in range(rounds):
+        omega = sparse_precision(symmetric(w.T @ a @ w), l1, jitter=1e-10)
+        aws = size @ w @ np.abs(np.linalg.inv(omega))
+        new = unit_columns(w * np.sqrt(aws / np.maximum(w @ (w.T @ aws), 1e-12)))
+        moved, w = np.abs(new - w).max(), new
+        if moved < tol:
+            break
+    return w, sparse_precision(symmetric(w.T @ a @ w), l1, jitter=1e-10)
+
+
+def contiguous_trifactor(a, k: int, neighbours, weight: float = 0.5, seed: int = 0, max_iter: int = 100, start=None):
+    """Tri-factor nodes with a penalty on membership differing between grid neighbours [(i, j), ...]; ``start``: W and S."""
     near = np.zeros_like(a)
     for i, j in neighbours:
         near[i, j] = near[j, i] = 1.0
     near /= np.maximum(near.sum(axis=1, keepdims=True), 1.0)
-    w, s, _ = part.tri_factor(a, k, seed)
+    w, s = start if start is not None else part.tri_factor(a, k, seed)[:2]
     pull = weight * np.abs(a).mean()
     for _ in range(max_iter):
         aws = np.abs(a) @ w @ s

@@ -88,6 +88,20 @@ def compare_nodes(nodes: DataFrame, first: int, second: int) -> DataFrame:
     return side(first, "first_node").join(side(second, "second_node"), "var_id", "full").groupBy("first_node", "second_node").agg(F.count("*").alias("n"))
 
 
+def align_states(first, second) -> list[int]:
+    """For each state of one model the state of another whose nodes overlap most (lists of memberships, one to one).
+
+    Two states' overlap: variables in matched nodes, nodes matched one to one by shared variables.
+    """
+
+    def shared(a, b) -> float:
+        table = np.zeros((a.shape[1], b.shape[1]))
+        np.add.at(table, (a.argmax(axis=1), b.argmax(axis=1)), 1.0)
+        return float(sum(table[i, j] for i, j in enumerate(assignment(table)) if j >= 0))
+
+    return [int(j) for j in assignment(np.array([[shared(a, b) for b in second] for a in first]))]
+
+
 # the same measures on small arrays, for fits that run inside a task
 
 

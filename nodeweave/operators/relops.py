@@ -85,3 +85,25 @@ def neighbours(variables: DataFrame) -> DataFrame:
         pairs = cells.join(moved, ["a", "b", "c"]).select(F.col("var_id").alias("i"), "j")
         out = pairs if out is None else out.unionByName(pairs)
     return out
+
+
+def quantile_buckets(rows: DataFrame, parts: int, by: str, *within: str) -> DataFrame:
+    """Rows with ``bucket``: equal parts of each group in the order of ``by``."""
+    return rows.withColumn("bucket", F.ntile(parts).over(W.partitionBy(*within).orderBy(by)))
+
+
+def rollup_report(rows: DataFrame, *dims: str) -> DataFrame:
+    """Counts by leading dimensions, with subtotals and the total."""
+    return rows.rollup(*dims).agg(F.count("*").alias("n"))
+
+
+def pair_statistics(rows: DataFrame, x: str, y: str, *by: str) -> DataFrame:
+    """Built-in statistics of two columns: covariance, correlation and the regression of y on x."""
+    a, b = F.col(x), F.col(y)
+    return rows.groupBy(*by).agg(F.covar_pop(a, b).alias("covariance"), F.corr(a, b).alias("correlation"), F.regr_slope(b, a).alias("slope"), F.regr_intercept(b, a).alias("intercept"), F.regr_r2(b, a).alias("r2"))
+
+
+def approximate_profile(rows: DataFrame, column: str, *by: str, bins: int = 10) -> DataFrame:
+    """Approximate distinct values, quartiles and a histogram of a column, each one aggregate pass."""
+    c = F.col(column)
+    return rows.groupBy(*by).agg(F.approx_count_distinct(c).alias("distinct"), F.percentile_approx(c, [0.25, 0.5, 0.75]).alias("quartiles"), F.histogram_numeric(c, F.lit(bins)).alias("histogram"))

@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+from typing import Any
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 
 from ..operators.model import NetworkModel
@@ -32,6 +36,37 @@ def register(spark: SparkSession, model: NetworkModel, signals: DataFrame | None
                         yield a, b, float(values[a * k + b])
 
     spark.udtf.register("edge_rows", EdgeRows)
+    register_moments(spark)
+
+
+def register_moments(spark: SparkSession) -> None:
+    """moment_udaf(x): flat second moment (1/n) X'X of a group's vectors, for few variables; pairs(x): rows (a, b, value) of the products x_a x_b, a <= b."""
+    from pyspark.sql.functions import udtf
+
+    spark.udf.register("moment_udaf", moment_udaf())
+
+    @udtf(returnType="a int, b int, value double")
+    class Pairs:
+        """Products of one vector's components."""
+
+        def eval(self, x: list):
+            for a, u in enumerate(x):
+                for b in range(a, len(x)):
+                    yield a, b, float(u * x[b])
+
+    spark.udtf.register("pairs", Pairs)
+
+
+def moment_udaf():
+    """Grouped-aggregate pandas UDF of the flat second moment; a group is one task's, so for small groups."""
+    from pyspark.sql.functions import pandas_udf
+
+    @pandas_udf("array<double>")
+    def moment(x: pd.Series) -> Any:
+        rows = np.stack(x.to_numpy())
+        return (rows.T @ rows / len(rows)).reshape(-1).tolist()
+
+    return moment
 
 
 def scored(spark: SparkSession, least: float = 0.5) -> DataFrame:

@@ -177,12 +177,17 @@ def product_unrolled_2(spark, d):
     return network_fit(spark, d, 2, "residual", "multiplicative", True)
 
 
-def density_sql():
+def density_parts():
+    """Steps up to the log joint densities under the start of the residual density."""
     s = Steps(BINS)
     p = start("residual")
     shares = s.add(f"SELECT * FROM (VALUES (0, CAST({p.shares[0]} AS DOUBLE)), (1, CAST({p.shares[1]} AS DOUBLE))) t(g, v)")
     tau = s.add(f"SELECT * FROM (VALUES (0, CAST({p.tau[0]} AS DOUBLE)), (1, CAST({p.tau[1]} AS DOUBLE))) t(g, v)")
-    z = s.node_density("ec", shares, s.constant(p.w), s.pair(s.constant(p.omega)), tau, P)
+    return s, s.node_density("ec", shares, s.constant(p.w), s.pair(s.constant(p.omega)), tau, P)
+
+
+def density_sql():
+    s, z = density_parts()
     return s.text(f"SELECT sample_id, round(r, 5) AS r0 FROM {s.posterior(z)} WHERE g = 0")
 
 
