@@ -34,7 +34,7 @@ PREFIXES = (3, 4, 5, 6, 7)
 FACTORS = 4
 THRESHOLD = 0.3
 #: Times through the sample.
-ROUNDS = 5
+ROUNDS = 4
 _WORD = re.compile(r"\w+")
 MEMO = 600_000
 
@@ -50,15 +50,23 @@ def terms(unit: str) -> set[int]:
 
 @dataclass(frozen=True)
 class Learning:
-    """Thresholds and rates of the weights (l1, rate) and of the factors (l1_factors, rate_factors)."""
+    """Thresholds and rates of the weights (l1, rate) and of the factors (l1_factors, rate_factors).
+
+    A threshold grows with the root of the number of rows (``spread``), as sums of gradients that tell nothing do, but is
+    not below its value here: a few rows are no evidence.
+    """
 
     l1: float = 5.0
     rate: float = 0.3
     l1_factors: float = 15.0
+    spread: float = 0.018
     rate_factors: float = 0.1
     batch: int = 32
     start: float = 0.02
 
+    def grown(self, rows: int) -> float:
+        return max(1.0, self.spread * rows**0.5)
+
 
 class Machine:
     """Sums of the proximal rule per bucket, from which weights and factors follow.
@@ -67,10 +75,11 @@ class Machine:
     fixed pattern of plus and minus ``start``, as all-zero factors have no gradient.
     """
 
-    def __init__(self, prior: float, learning: Learning = Learning(), factors: int = FACTORS):
+    def __init__(self, prior: float, rows: int, learning: Learning = Learning(), factors: int = FACTORS):
         import numpy as np
 
         self.learning = learning
+        self.l1, self.l1_factors = (np.float32(x * learning.grown(rows)) for x in (learning.l1, learning.l1_factors))
         self.bias = np.array([np.log(prior / (1 - prior)), 0.0])
         self.z, self.n = np.zeros(SPACE, np.float32), np.zeros(SPACE, np.float32)
         self.zv, self.nv = np.zeros((SPACE, factors), np.float32), np.zeros(SPACE, np.float32)
@@ -80,7 +89,7 @@ class Machine:
         import numpy as np
 
         o, z = self.learning, self.z[at]
-        return np.where(np.abs(z) <= o.l1, 0, -(z - np.sign(z) * np.float32(o.l1)) * np.float32(o.rate) / (1 + np.sqrt(self.n[at])))
+        return np.where(np.abs(z) <= self.l1, 0, -(z - np.sign(z) * self.l1) * np.float32(o.rate) / (1 + np.sqrt(self.n[at])))
 
     def factors(self, at):
         """Learned factors, without their beginning."""
@@ -88,7 +97,7 @@ class Machine:
 
         o, z = self.learning, self.zv[at]
         norm = np.sqrt((z * z).sum(axis=1))
-        keep = np.maximum(1 - np.float32(o.l1_factors) / np.maximum(norm, np.float32(1e-9)), 0)
+        keep = np.maximum(1 - self.l1_factors / np.maximum(norm, np.float32(1e-9)), 0)
         return -z * (keep * np.float32(o.rate_factors) / (1 + np.sqrt(self.nv[at])))[:, None]
 
     def learn(self, rows: list, labels, order) -> None:
@@ -190,7 +199,7 @@ def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, held
         yield pa.RecordBatch.from_arrays([pa.array(on), pa.array(tally[on])], names=["bucket", "n"])
 
     # a bucket's sum grows by less than one a row and round: below the threshold for good, it can be passed over
-    least = int(learning.l1 // rounds) + 1
+    least = int(learning.l1 * learning.grown(n0 + n1) // rounds) + 1
     often = sample.select("at").mapInArrow(seen, "bucket long, n long").groupBy("bucket").agg(F.sum("n").alias("n")).filter(F.col("n") >= least)
     on = np.zeros(SPACE, dtype=bool)
     on[often.select("bucket").toArrow().column(0).to_numpy()] = True  # at most SPACE numbers
@@ -208,7 +217,7 @@ def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, held
             for at in batch.column(1).to_pylist():
                 at = np.frombuffer(at, "<i4")
                 rows.append(at[mask[at]])
-        machine = Machine(prior, learning)
+        machine = Machine(prior, len(rows), learning)
         for turn in range(rounds):  # an order of its own in every round, and the same on any machine
             machine.learn(rows, np.array(y, dtype=float), sorted(range(len(rows)), key=lambda j: (zlib.crc32(rows[j].tobytes(), turn), y[j])))
         used, bias, w, v = machine.kept()
