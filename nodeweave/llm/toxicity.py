@@ -27,8 +27,8 @@ from pyspark.sql import functions as F
 from .encode import forget, slices
 from .store import materialize, remove, small_batches, texts
 
-#: Bound on the labelled sample (rows of least hash).
-TRAIN_ROWS = 20_000
+#: Bound on the labelled sample (rows of least hash), and parts of the hashes that are taken whole.
+TRAIN_ROWS, HASH_PARTS = 20_000, 4096
 SPACE = 1 << 18
 PREFIXES = (3, 4, 5, 6, 7)
 FACTORS = 4
@@ -159,8 +159,16 @@ def train(docs: DataFrame, labels: DataFrame, train_rows: int = TRAIN_ROWS, held
     known = labels.select("doc_id", F.col("toxic").cast("int").alias("toxic")).filter("toxic in (0, 1) and doc_id is not null")
     if held_out:
         known = known.filter(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 != 2)
-    # Bounded by train_rows, so it may be broadcast.
-    known = known.groupBy("doc_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64("doc_id", F.lit(11)), "doc_id").limit(train_rows)
+    # Rows of least hash part by part, train_rows at most, so they may be broadcast; only the parts' sizes reach the driver.
+    part = F.pmod(F.xxhash64("doc_id", F.lit(11)), F.lit(HASH_PARTS))
+    known = known.groupBy("doc_id").agg(F.max("toxic").alias("toxic")).withColumn("part", part)
+    total, parts = 0, HASH_PARTS
+    for row in known.groupBy("part").agg(F.count("*").alias("n")).orderBy("part").collect():
+        total += row["n"]
+        if total > train_rows:
+            parts = row["part"]
+            break
+    known = known.filter(F.col("part") < parts).drop("part")
 
     def indexed(batches) -> Iterator:
         import pyarrow as pa

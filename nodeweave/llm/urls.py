@@ -22,6 +22,8 @@ from collections.abc import Iterator
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .store import materialize, remove
+
 RULES = (("allow", "com", "/"), ("block", "example.com", "/en/"), ("allow", "www.example.com", "/en/"), ("block", "net", "/es/"), ("block", "net", "/fr/"))
 
 # Labelled training names, one name per entry, words joined by hyphens.
@@ -42,11 +44,23 @@ VOCABULARY, LONGEST, SMOOTH = 50_000, 24, 0.1
 
 
 def corpus_words(pages: DataFrame, vocabulary: int = VOCABULARY) -> dict[str, int]:
-    """The most frequent words of all pages' texts with their counts; ``vocabulary`` rows at most reach the driver."""
+    """The most frequent words of all pages' texts with their counts, ``vocabulary`` of them at most.
+
+    A histogram of the counts (a few hundred rows) gives the least count that is kept, so the driver gets the dictionary
+    and no more, however many partitions there are; of words near that count all stay or all go.
+    """
     text = F.regexp_replace(F.lower("html"), r"(?s)<(?:script|style)\b.*?</(?:script|style)>|<[^>]*>|&[#\w]*;", " ")
     words = pages.select(F.explode(F.split(text, r"[^\p{L}]+")).alias("word")).filter(F.length("word").between(2, LONGEST))
-    counts = words.groupBy("word").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "word").limit(vocabulary)
-    return {r["word"]: r["n"] for r in counts.collect()}
+    counts = materialize(words.groupBy("word").agg(F.count("*").alias("n")).withColumn("size", F.floor(F.log2("n") * 16).cast("int")), "words")
+    total, least = 0, 0
+    for row in counts.groupBy("size").agg(F.count("*").alias("words")).orderBy(F.desc("size")).collect():
+        total += row["words"]
+        if total > vocabulary:
+            least = row["size"] + 1
+            break
+    found = {r["word"]: r["n"] for r in counts.filter(F.col("size") >= least).select("word", "n").collect()}
+    remove(counts)
+    return found
 
 
 class NameModel:

@@ -110,8 +110,9 @@ def run_cell(cell: dict, rep: int, ids, methods=METHODS, m: int = 2, seed: int =
 METRICS = "generator string, scenario string, setting double, method string, rep int, metric string, value double"
 
 
-def run_methods(spark: SparkSession, keys: DataFrame, id_column: str, scenarios=tuple(SCENARIOS), reps: int = 10, methods=METHODS, settings=None, generators=GENERATORS) -> DataFrame:
-    """Metric rows of whole sweeps. Sample ids are the least of a key table's (as many as a setting has samples)."""
+def run_methods(spark: SparkSession, keys: DataFrame, id_column: str, scenarios=None, reps: int = 10, methods=METHODS, settings=None, generators=GENERATORS) -> DataFrame:
+    """Metric rows of whole sweeps. Sample ids are the least of a key table's (as many as a setting has samples). ``scenarios``: all by default."""
+    scenarios = tuple(SCENARIOS) if scenarios is None else scenarios
     cells = [(g, s, i, r) for g in generators for s in scenarios for i in range(len(SCENARIOS[s])) if settings is None or SCENARIOS[s][i]["setting"] in settings for r in range(reps)]
     most = max(SCENARIOS[s][i]["n"] for _, s, i, _ in cells)
     ids = np.array([r[0] for r in keys.select(F.col(id_column).cast("long")).orderBy(id_column).limit(most).collect()], dtype=np.int64)  # at most 2,000

@@ -357,7 +357,7 @@ def joint_precision_fused_apart(spark, d):
 def precision_sql():
     s = Steps(BINS)
     a = moment(s)
-    top = s.add(f"SELECT max(abs(v)) AS v FROM {a} WHERE i <> j")
+    top = s.add(f"SELECT max(abs(v)) AS v FROM {a} WHERE i < j")
     # the single strongest pair is linked at a weight just under its moment; all else stays apart
     second = s.add(f"SELECT max(abs(v)) AS v FROM {a} WHERE i < j AND abs(v) < (SELECT v FROM {top})")
     l1 = s.add(f"SELECT (t.v + q.v) / 2 AS v FROM {top} t, {second} q")

@@ -77,3 +77,22 @@ def test_standardize_and_noise(spark):
     assert a == b and a[0]["x"] != [0.0, 5.0]
     units = sig.with_units(sig.to_long(rows), __import__("pyspark.sql.functions", fromlist=["x"]).expr("cast(sample_id % 2 as string)"))
     assert sorted({r["sample_id"] for r in units.collect()}) == list(range(10))
+
+
+def test_online_model_goes_on_after_a_restart(spark, tmp_path):
+    """Two batches by one object, and by two objects with one path, give one model; a batch seen before changes nothing."""
+    from nodeweave.functions.states import Options
+
+    rows = plant_signals(spark.range(120).withColumnRenamed("id", "sample_id"), plant_truth(2, 3, 12, 0)).persist()
+    first, second = rows.filter("sample_id < 60"), rows.filter("sample_id >= 60")
+    opt = Options(m=2, k=3, density="residual", refresh=())
+    whole = streams.OnlineMixture(opt)
+    whole.update(first, 0)
+    whole.update(second, 1)
+    streams.OnlineMixture(opt, path=f"{tmp_path}/model").update(first, 0)
+    again = streams.OnlineMixture(opt, path=f"{tmp_path}/model")
+    again.update(first, 0)
+    again.update(second, 1)
+    for a, b in zip(whole.params.w + whole.params.omega, again.params.w + again.params.omega, strict=True):
+        assert np.allclose(a, b)
+    assert again.seen == 1 and np.allclose(whole.stats.mass, again.stats.mass)
