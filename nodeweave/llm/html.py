@@ -9,7 +9,8 @@ siblings that score nearly as well and with headings just before it.
 
 Null html is empty; a page without text gives an empty string. Character references are decoded;
 white space inside a block is one space; blocks are joined by one space. Broken markup (unclosed
-or stray tags) is closed as browsers close it. Other columns are ignored; an empty table gives no rows.
+or stray tags) is closed as browsers close it. Pages of any length are read whole; time grows with blocks times their
+depth. Repeated rows are extracted alike. Other columns are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations

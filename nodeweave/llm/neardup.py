@@ -202,7 +202,11 @@ def prefix_pairs(some: DataFrame, group: DataFrame, least: float = SIMILARITY) -
 
 
 def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rounds: int = ROUNDS) -> DataFrame:
-    """doc_id and component_id (least doc_id of the group) of every document."""
+    """doc_id and component_id (least doc_id of the group) of every document.
+
+    doc_id has to tell rows apart: rows that share one are taken for one text (``corpus_pipeline`` numbers rows first where ids repeat).
+    Two written tables stay, as the result reads them.
+    """
     made = materialize(sketches(docs), "sketches")
     copies = made.groupBy("same").agg(F.min("doc_id").alias("rep"), F.first("fp").alias("fp"), F.first("keys").alias("keys"), F.first("size").alias("size"), F.count("*").alias("n"))
     copies = materialize(copies, "copies")
