@@ -638,7 +638,7 @@ def baseline_gaussian_mixture(spark, d):
 
 @query()
 def zero_mean_mixture(spark, d):
-    return est.ZeroMeanMixture(2, 5, max_iter=10).fit(bins_dense(spark, d).persist()).states(spark)
+    return est.ZeroMeanMixture(2, 5, max_iter=10).fit(bins_dense(spark, d)).states(spark)
 
 
 @query()
@@ -802,7 +802,7 @@ def stream_late_rows(spark, d):
 
 @query()
 def stream_scores(spark, d):
-    model = est.StateNetworkMixture(2, 2, 0.02, density="residual", max_iter=5).fit(bins_dense(spark, d).persist())
+    model = est.StateNetworkMixture(2, 2, 0.02, density="residual", max_iter=5).fit(bins_dense(spark, d))
     kinds = sig.event_bin_signals(spark, d)[1]
 
     def build(source):

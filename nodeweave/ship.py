@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import os
+import shutil
 import tempfile
 import zipfile
 
@@ -18,12 +20,14 @@ def ship(spark: SparkSession) -> None:
         return
     here = os.path.dirname(os.path.abspath(__file__))
     # on the driver alone: Spark serves the file to executors
-    path = os.path.join(tempfile.mkdtemp(), "nodeweave.zip")
+    folder = tempfile.mkdtemp()
+    atexit.register(shutil.rmtree, folder, ignore_errors=True)
+    path = os.path.join(folder, "nodeweave.zip")
     with zipfile.ZipFile(path, "w", zipfile.ZIP_DEFLATED) as z:
-        for folder, _, names in os.walk(here):
+        for inside, _, names in os.walk(here):
             for name in sorted(names):
                 if name.endswith(".py"):
-                    full = os.path.join(folder, name)
+                    full = os.path.join(inside, name)
                     z.write(full, os.path.relpath(full, os.path.dirname(here)))
     context.addPyFile(path)
     _SENT.add(context.applicationId)
