@@ -36,7 +36,7 @@ THRESHOLD = 0.3
 #: Times through the sample.
 ROUNDS = 4
 _WORD = re.compile(r"\w+")
-MEMO = 600_000
+MEMO = 400_000
 
 
 def terms(unit: str) -> set[int]:
@@ -254,7 +254,7 @@ def score(docs: DataFrame, model, threshold: float = THRESHOLD) -> DataFrame:
         kept, b, w, v = shared.value
         number = {t: i for i, t in enumerate(kept)}
         clean: set[str] = set()
-        hits: dict[str, set[int]] = {}
+        hits: dict[str, tuple[int, ...]] = {}
         for batch in batches:
             text = batch.column(text_at).to_pylist()
             out = []
@@ -264,12 +264,12 @@ def score(docs: DataFrame, model, threshold: float = THRESHOLD) -> DataFrame:
                     for u in set((t or "").lower().split()).difference(clean):
                         f = hits.get(u)
                         if f is None:
-                            f = {number[x] for x in terms(u) if x in number}
+                            f = tuple({number[x] for x in terms(u) if x in number})
                             if not f:
                                 clean.add(u)
                                 continue
                             hits[u] = f
-                        got |= f
+                        got.update(f)
                     at = np.array(sorted(got), dtype=np.int64)
                     own = v[at]
                     z = b + w[at].sum() + 0.5 * (own.sum(axis=0) ** 2 - (own**2).sum(axis=0)).sum()
