@@ -218,8 +218,9 @@ def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rou
     ball_pairs = met.join(firsts.select(F.col("fp").alias("lo"), F.col("d").alias("x")), "lo").join(firsts.select(F.col("fp").alias("hi"), F.col("d").alias("y")), "hi").select("x", "y")
     same_print = prints.join(firsts.select("fp", F.col("d").alias("m")), "fp").filter("d <> m").select(F.col("m").alias("x"), F.col("d").alias("y"))
     direct = ball_pairs.unionByName(same_print).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
-    crowded = windows.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1").select("key")
-    shared = materialize(windows.join(crowded, "key", "left_semi"), "windows")
+    crowded = materialize(windows.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1"), "crowded")
+    shared = materialize(join_one(windows, crowded, "key").select("d", "key"), "windows")
+    remove(crowded)
     open_ = shared
     direct = materialize(direct.distinct(), "direct")
     for used in temps:
@@ -262,8 +263,9 @@ def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rou
     # a bucket whose members are not all in one group by now may hold pairs that no leader has shown
     placed = shared.join(roots.withColumnRenamed("node", "d"), "d", "left").select("key", "d", F.coalesce("root", "d").alias("root"))
     placed = materialize(placed, "placed")
-    unlike = placed.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1")).filter("r0 <> r1").select("key")
-    unsettled = placed.join(unlike, "key", "left_semi").select(F.col("d").alias("doc_id")).unionByName(short).distinct()
+    unlike = placed.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.count("*").alias("n")).filter("r0 <> r1").select("key", "n")
+    unlike = materialize(unlike, "unlike")
+    unsettled = join_one(placed, unlike, "key").select(F.col("d").alias("doc_id")).unionByName(short).distinct()
     found = prefix_pairs(some.join(unsettled, "doc_id", "left_semi"), roots.withColumnRenamed("node", "doc_id"), least)
     pairs = found.join(tried.select("a", "b"), ["a", "b"], "left_anti")
     more = materialize(_verified(pairs, some, least).filter("near").select("a", "b"), "more")
@@ -272,6 +274,6 @@ def near_groups(docs: DataFrame, least: float = SIMILARITY, radius: int = 4, rou
         roots = materialize(components(edges.unionByName(more).distinct()), "roots")
     classes = copies.join(roots.withColumnRenamed("node", "rep"), "rep", "left").select("same", F.coalesce("root", "rep").alias("component_id"), "n")
     classes = materialize(classes, "classes")
-    for used in (*done, open_, some, placed, shared, direct, found, more, roots, copies):
+    for used in (*done, open_, some, placed, unlike, shared, direct, found, more, roots, copies):
         remove(used)
     return join_one(made.select("doc_id", "same"), classes, "same").select("doc_id", "component_id")
