@@ -60,6 +60,10 @@ def pseudonymise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
     return out.drop("n_values", "kinds").withColumnsRenamed({v: k for k, v in mine.items()}).select(*[F.col(f"`{c}`") for c in columns])
 
 
+#: Part of the encoder's memos that a worker fills here, where the executor's heap has grown in the stages before.
+PACK_MEMO = 0.25
+
+
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of all documents in sequences of 2,048 ids; a null text is empty, and its end id a piece.
 
@@ -68,7 +72,7 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
     ship(spark)
-    return packing.pack(docs, public_tokenizers.path("byte_bpe_50k.json"))
+    return packing.pack(docs, public_tokenizers.path("byte_bpe_50k.json"), memo=PACK_MEMO)
 
 
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [

@@ -37,6 +37,8 @@ class UnitEncoder:
         self.library.encode_special_tokens = not specials
         self.specials = [t.content for t in self.library.get_added_tokens_decoder().values()] if specials else []
         self.spaced = spaced
+        #: Part of the bounds that the memos of this encoder may fill; changes memory and time, not results.
+        self.share = 1.0
         self.units: dict[str, bytes | None] = {}
         self.words: dict[str, bytes] = {}
         self.tails: dict[str, bytes] = {}
@@ -96,14 +98,15 @@ class UnitEncoder:
         out.update(zip(other, self._library([lead + u for u in other]), strict=True))
         known = self.words
         new = list({c for _, c, _ in plain}.difference(known))
-        if len(known) + len(new) > MEMO_WORDS:
+        most = int(MEMO_WORDS * self.share)
+        if len(known) + len(new) > most:
             self.words = known = {c: known[c] for _, c, _ in plain if c in known}
         known.update(self._words(new))
         tails = self.tails
         for t in {t for _, _, t in plain if t}.difference(tails):
             tails[t] = self._library([t])[0]
         out.update((u, known[c] + tails[t] if t else known[c]) for u, c, t in plain)
-        if len(known) > MEMO_WORDS:
+        if len(known) > most:
             self.words = {}
         if len(tails) > 10_000:
             self.tails = {}
@@ -133,7 +136,8 @@ class UnitEncoder:
         if self.spaced:
             heads = [parts.pop(0) for parts in split]
         fresh = list(set().union(*split).difference(memo)) if split else []
-        if len(memo) + len(fresh) > MEMO_UNITS:
+        most = int(MEMO_UNITS * self.share)
+        if len(memo) + len(fresh) > most:
             wanted = set().union(*split)
             self.units = memo = {u: memo[u] for u in wanted if u in memo}
         memo.update(self._learn(fresh))
@@ -151,7 +155,7 @@ class UnitEncoder:
                 odd.append(i)
         for i, ids in zip(odd, self._library([texts[i] for i in odd]), strict=True):
             out[i] = ids
-        if len(memo) > MEMO_UNITS:
+        if len(memo) > most:
             self.units = {}
         else:
             for u in fresh:

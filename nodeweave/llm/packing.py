@@ -27,11 +27,11 @@ from .store import fresh, materialize, small_batches, texts
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
 
 
-def pieces(docs: DataFrame, tokenizer: str, capacity: int = 2048, end_id: int = 1, keep_ids: bool = False) -> DataFrame:
+def pieces(docs: DataFrame, tokenizer: str, capacity: int = 2048, end_id: int = 1, keep_ids: bool = False, memo: float = 1.0) -> DataFrame:
     """Cut every document's ids into pieces of at most ``capacity``; map-only.
 
     Returns doc_id, start, length, ids_crc32, doc_tokens and, with ``keep_ids``, the ids as
-    little-endian unsigned 32-bit integers.
+    little-endian unsigned 32-bit integers. ``memo``: part of the encoder's memos that a worker may fill.
     """
     end = end_id.to_bytes(4, "little")
 
@@ -39,6 +39,7 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = 2048, end_id: int =
         import pyarrow as pa
 
         enc = encoder(tokenizer, True)
+        enc.share = memo
         for batch in batches:
             doc, text = batch.column(0).to_pylist(), batch.column(1).to_pylist()
             for lo, hi in slices(text):
@@ -171,10 +172,10 @@ def place(cut: DataFrame, capacity: int = 2048, rows_per_bucket: int = 50_000) -
     return ranked.mapInArrow(run, schema)
 
 
-def pack(docs: DataFrame, tokenizer: str, capacity: int = 2048, end_id: int = 1) -> DataFrame:
+def pack(docs: DataFrame, tokenizer: str, capacity: int = 2048, end_id: int = 1, memo: float = 1.0) -> DataFrame:
     """Pieces of every document with sequence_id and offset (columns of PIECES and these two)."""
     small_batches(docs.sparkSession)
-    cut = materialize(pieces(docs, tokenizer, capacity, end_id), "pieces")
+    cut = materialize(pieces(docs, tokenizer, capacity, end_id, memo=memo), "pieces")
     return place(cut, capacity).select("doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset")
 
 

@@ -46,6 +46,19 @@ def test_unit_encoder_equals_the_library(name, spaced, monkeypatch):
         assert np.frombuffer(small.encode([t])[0], "<u4").tolist() == one(t)
 
 
+@pytest.mark.parametrize("name,spaced", [("byte_bpe_50k.json", True), ("word_bpe_49k.json", False)])
+def test_share_bounds_the_memos(name, spaced, monkeypatch):
+    """An encoder with a share of the memos holds no more than that between calls, and gives the library's ids."""
+    monkeypatch.setattr(encode, "MEMO_UNITS", 400)
+    monkeypatch.setattr(encode, "MEMO_WORDS", 400)
+    one, enc = library(name), encode.UnitEncoder(P.path(name), spaced)
+    enc.share = 0.25
+    for i in range(12):
+        text = " ".join(f"w{chr(97 + j % 26)}{chr(97 + j // 26)}{chr(97 + i)} {i}x{j}" for j in range(40))
+        assert np.frombuffer(enc.encode([text])[0], "<u4").tolist() == one(text)
+        assert len(enc.units) <= 100 and len(enc.words) <= 100
+
+
 @pytest.mark.parametrize("name,spaced", [("byte_bpe_50k.json", True), ("word_bpe_49k.json", False)])
 def test_special_strings_on_demand(name, spaced):
     """By default they are ordinary text; with ``specials`` ids are those of a library as it comes."""
