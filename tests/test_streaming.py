@@ -96,3 +96,15 @@ def test_online_model_goes_on_after_a_restart(spark, tmp_path):
     for a, b in zip(whole.params.w + whole.params.omega, again.params.w + again.params.omega, strict=True):
         assert np.allclose(a, b)
     assert again.seen == 1 and np.allclose(whole.stats.mass, again.stats.mass)
+
+
+def test_stream_results_never_reach_the_driver(spark, sf):
+    """Results of every row of a stream are files that executors write, not tables in the driver's memory."""
+    from nodeweave import queries as q
+
+    events = spark.read.parquet(f"{sf}/events.parquet").count()
+    for name, mode in (("append", "append"), ("complete", "complete")):
+        build = (lambda s: s.select("event_id")) if mode == "append" else (lambda s: s.groupBy("event_id").count())
+        rows = q._run_stream(spark, sf, build, f"kept_{name}", mode)
+        assert rows.count() == events and rows.select("event_id").distinct().count() == events
+        assert rows.inputFiles() and not any(t.name.startswith(f"kept_{name}") for t in spark.catalog.listTables())
