@@ -163,3 +163,16 @@ def test_states_in_threads_give_the_same_fit():
     x = np.random.default_rng(8).normal(size=(200, 6))
     a, b = (states.fit_local(x, states.Options(m=3, k=2, max_iter=4, parallel_states=p)) for p in (False, True))
     assert a.loss == b.loss
+
+
+def test_unguarded_step_follows_the_formulas():
+    """A state of tiny mass gets its own moment's inverse, one without mass none; a guarded step keeps what it had."""
+    from nodeweave.functions.states import Options, Params, Stats, m_step
+
+    grams = np.stack([4e-9 * np.diag([2.0, 5.0]), 10 * np.eye(2)])
+    start = Params(np.array([0.5, 0.5]), [np.eye(2)] * 2, [3 * np.eye(2)] * 2, np.ones(2), "projected")
+    plain = Options(m=2, k=2, l1=0.0, density="projected", membership_update="frozen", refresh=(), guard=False)
+    got = m_step(Stats(np.array([4e-9, 10.0]), np.ones(2), 0.0, 10, grams), start, plain)
+    assert np.allclose(got.omega[0], np.diag([0.5, 0.2])) and np.isclose(got.shares[0], 4e-10)
+    none = m_step(Stats(np.array([0.0, 10.0]), np.ones(2), 0.0, 10, np.stack([np.zeros((2, 2)), 10 * np.eye(2)])), start, plain)
+    assert np.isnan(none.omega[0]).all() and none.shares[0] == 0 and np.allclose(none.omega[1], np.eye(2))
