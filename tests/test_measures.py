@@ -70,3 +70,11 @@ def test_spells(spark):
 def test_neighbours(spark):
     grid = spark.createDataFrame([(a * 2 + b, (a, b, 0)) for a in range(2) for b in range(2)], "var_id int, coord struct<a int, b int, c int>")
     assert sorted(map(tuple, relops.neighbours(grid).collect())) == [(0, 1), (0, 2), (1, 3), (2, 3)]
+
+
+def test_pass_costs_follow_the_table(spark, sf):
+    """Sizes of the passes are those of the events."""
+    from nodeweave.queries import QUERIES
+
+    rows = QUERIES["pass_costs"](spark, sf).filter("strategy = 'gram'").collect()
+    assert sum(r["n"] for r in rows) == spark.read.parquet(f"{sf}/events.parquet").count()
