@@ -176,3 +176,5 @@ def test_unguarded_step_follows_the_formulas():
     assert np.allclose(got.omega[0], np.diag([0.5, 0.2])) and np.isclose(got.shares[0], 4e-10)
     none = m_step(Stats(np.array([0.0, 10.0]), np.ones(2), 0.0, 10, np.stack([np.zeros((2, 2)), 10 * np.eye(2)])), start, plain)
     assert np.isnan(none.omega[0]).all() and none.shares[0] == 0 and np.allclose(none.omega[1], np.eye(2))
+    flat = m_step(Stats(np.array([1.0, 10.0]), np.ones(2), 0.0, 11, np.stack([np.diag([1.0, 0.0]), 10 * np.eye(2)])), start, plain)
+    assert np.isnan(flat.omega[0]).all()
