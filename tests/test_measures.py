@@ -78,3 +78,18 @@ def test_pass_costs_follow_the_table(spark, sf):
 
     rows = QUERIES["pass_costs"](spark, sf).filter("strategy = 'gram'").collect()
     assert sum(r["n"] for r in rows) == spark.read.parquet(f"{sf}/events.parquet").count()
+
+
+def test_top_variables_follow_the_table(spark, sf, duck, tmp_path):
+    """Other events, other weights; still as by the SQL."""
+    from conftest import same_rows
+    from pyspark.sql import functions as F
+
+    from nodeweave.queries import ORACLES, QUERIES
+
+    events = spark.read.parquet(f"{sf}/events.parquet").withColumn("value", F.col("value") * F.length("event_type"))
+    events.coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
+    with duck.cursor() as other:
+        other.execute(f"CREATE TEMP VIEW events AS SELECT * FROM read_parquet('{tmp_path}/events.parquet/*.parquet')")
+        assert same_rows(QUERIES["top_variables"](spark, str(tmp_path)), other, ORACLES["top_variables"]) > 0
+    assert set(QUERIES["top_variables"](spark, str(tmp_path)).collect()) != set(QUERIES["top_variables"](spark, sf).collect())
